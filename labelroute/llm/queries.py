@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, langid, sharding, urlfilter, warc
+from . import bpe, decontaminate, langid, sharding, substrings, urlfilter, warc
 from .common import table
 
 QUERIES = {
@@ -10,6 +10,7 @@ QUERIES = {
     "op2_decontamination": lambda s, d: decontaminate.annotate(table(s, d, "documents"), table(s, d, "benchmark")),
     "op3_language_id": lambda s, d: langid.identify(table(s, d, "documents")),
     "op4_url_filters": lambda s, d: urlfilter.judge(table(s, d, "pages")),
+    "op5_substring_dedup": lambda s, d: substrings.digests(table(s, d, "documents")),
     "op8_bpe": lambda s, d: bpe.round_trip(table(s, d, "documents")),
     "op9_warc": lambda s, d: warc.archive(table(s, d, "pages")),
 }
@@ -18,5 +19,6 @@ ORACLES = {
     "op1_sharding": sharding.ORACLE,
     "op2_decontamination": decontaminate.ORACLE,
     "op4_url_filters": urlfilter.ORACLE,
+    "op5_substring_dedup": substrings.ORACLE,
     "op9_warc": warc.ORACLE,
 }

@@ -105,6 +105,30 @@ def decode_column(df: DataFrame, ids: str = "ids", raw: str = "raw", ranks_path:
     return df.withColumn(raw, run(F.col(ids)))
 
 
+def encode_documents(df: DataFrame, ranks_path: str = RANKS) -> DataFrame:
+    """``df`` with ids, n_tokens and whether decoding gives the text's bytes back.
+
+    A column of ``df`` with one of these names is replaced."""
+    common.tune_arrow(df.sparkSession)
+    df = df.drop("ids", "n_tokens", "round_trip")
+    at = df.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enc = encoder(ranks_path)
+        for b in batches:
+            ids, same = [], []
+            for t in b.column(at).to_pylist():
+                ids.append(encode(t or "", enc))
+                same.append(enc.decode_bytes(ids[-1]) == (t or "").encode())
+            yield pa.RecordBatch.from_arrays(
+                [*b.columns, pa.array(ids, pa.list_(pa.int32())), pa.array([len(x) for x in ids], pa.int64()), pa.array(same)],
+                [*b.schema.names, "ids", "n_tokens", "round_trip"],
+            )
+
+    schema = df.schema.add("ids", "array<int>").add("n_tokens", "long").add("round_trip", "boolean")
+    return df.mapInArrow(run, schema)
+
+
 def round_trip(df: DataFrame, ranks_path: str = RANKS) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of every whole text."""
     common.tune_arrow(df.sparkSession)

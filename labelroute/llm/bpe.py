@@ -22,6 +22,7 @@ import regex
 import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import common
 
@@ -125,7 +126,9 @@ def encode_documents(df: DataFrame, ranks_path: str = RANKS) -> DataFrame:
                 [*b.schema.names, "ids", "n_tokens", "round_trip"],
             )
 
-    schema = df.schema.add("ids", "array<int>").add("n_tokens", "long").add("round_trip", "boolean")
+    schema = T.StructType(
+        [*df.schema.fields, T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("n_tokens", T.LongType()), T.StructField("round_trip", T.BooleanType())]
+    )
     return df.mapInArrow(run, schema)
 
 

@@ -432,7 +432,7 @@ def _(s, d):
         DOC.replace("'lang:' || d.lang,", "'lang:' || d.lang, 'source:' || source,"),
         "t AS (SELECT label FROM (SELECT unnest(labels) AS label FROM base) GROUP BY label ORDER BY count(*) DESC, label LIMIT 8)",
     )
-    + f"SELECT vec_id, {skey('l')} AS labels FROM (SELECT vec_id, list_filter(labels, lambda x: list_contains((SELECT list(label) FROM t), x)) AS l FROM base)",
+    + f"SELECT vec_id, {skey('l')} AS labels FROM (SELECT vec_id, list_sort(list_intersect(labels, (SELECT list(label) FROM t))) AS l FROM base)",
 )
 def _(s, d):
     return _keys(lb.top_labels(ds.doc_labels(s, d, source=True), 8))

@@ -25,6 +25,8 @@ MIN_REVISIT_BYTES = 0
 # Fixed: the base32 alphabet, and the date written to every record.
 _B32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 DATE = "2024-01-01T00:00:00Z"
+#: Stands for a null page_id inside the archive, so that it sorts last.
+_NO_ID = (1 << 63) - 1
 
 
 def base32(hex40: Column) -> Column:
@@ -64,7 +66,9 @@ def write(pages: DataFrame, root: str, min_revisit_bytes: int = MIN_REVISIT_BYTE
     """Write ``root/payloads`` (one row per payload) and ``root/records``."""
     # a column of its own in the input is never mixed up: everything is renamed here
     payload = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
-    keyed = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url"), payload.alias("payload")).withColumn(
+    keyed = pages.select(
+        F.coalesce(F.col("page_id").cast("long"), F.lit(_NO_ID)).alias("page_id"), F.col("url").cast("string").alias("url"), payload.alias("payload")
+    ).withColumn(
         "address", F.unhex(F.sha2("payload", 256))
     )
     facts = keyed.select(
@@ -78,15 +82,13 @@ def write(pages: DataFrame, root: str, min_revisit_bytes: int = MIN_REVISIT_BYTE
         F.min("size").alias("size"),
         F.min("digest").alias("digest"),
         ((F.min("size") == F.max("size")) & (F.min("digest") == F.max("digest"))).alias("verified"),
-        F.count("*").alias("copies"),
     )
-    # payload bytes: rows that are the first of their digest; a row repeated
-    # whole gives the same bytes, so distinct addresses keep one
+    # payload bytes: the first row of each digest; rows repeated whole are one.
+    # Join and duplicate removal share their keys, so payloads move once.
     stored = (
-        keyed.select("address", "payload", "page_id")
-        .join(first.select("address", "first_id", "size", "digest", "verified"), "address")
-        .filter(F.col("page_id").eqNullSafe(F.col("first_id")))
-        .dropDuplicates(["address"])
+        keyed.select("address", "page_id", "payload")
+        .join(first.select("address", F.col("first_id").alias("page_id"), "size", "digest", "verified"), ["address", "page_id"])
+        .dropDuplicates(["address", "page_id"])
         .select(
             "address",
             F.when(F.col("verified"), F.col("payload")).otherwise(F.raise_error("two payloads share a digest")).alias("payload"),
@@ -96,13 +98,14 @@ def write(pages: DataFrame, root: str, min_revisit_bytes: int = MIN_REVISIT_BYTE
     )
     stored.write.parquet(f"{root}/payloads")
     kind = F.when(
-        (F.col("size") >= min_revisit_bytes) & (F.col("copies") > 1) & ~F.col("page_id").eqNullSafe(F.col("first_id")), "revisit"
+        (F.col("size") >= min_revisit_bytes) & (F.col("page_id") != F.col("first_id")), "revisit"
     ).otherwise("response")
     records = (
         facts.select("page_id", "url", "address")
         .join(first, "address")
         .withColumn("kind", kind)
         .withColumn("refers_to", F.when(F.col("kind") == "revisit", F.col("first_id")))
+        .withColumn("page_id", F.when(F.col("page_id") != _NO_ID, F.col("page_id")))
         .select(
             "page_id",
             "refers_to",

@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import labels as lb
+from ..operators.search import cut
 from ..sources.sinks import scratch
 from . import cells, graph
 
@@ -104,9 +105,5 @@ def work(parts: DataFrame) -> DataFrame:
 
 
 def merge(parts: DataFrame, queries: DataFrame) -> DataFrame:
-    from pyspark.sql import Window
-
-    w = Window.partitionBy("qid").orderBy("dist", "vec_id")
     found = parts.filter("vec_id IS NOT NULL").select("qid", "vec_id", "dist").distinct()
-    k = queries.select("qid", "k").distinct()
-    return found.join(k, "qid").withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= F.col("k")).select("qid", "rank", "vec_id", "dist")
+    return cut(found.join(queries.select("qid", "k").distinct(), "qid"), queries)

@@ -36,12 +36,21 @@ def candidates(base: DataFrame, queries: DataFrame, mode: str = "contain") -> Da
 def exact_knn(base: DataFrame, queries: DataFrame, metric: str = "l2", mode: str = "contain") -> DataFrame:
     """qid, rank, vec_id, dist of the nearest ``k`` matches; fewer if fewer match."""
     pairs = candidates(base, queries, mode).select("qid", "k", "vec_id", vx.distance("qvec", "vec", metric).alias("dist"))
-    return _cut(pairs)
+    return cut(pairs, queries)
 
 
-def _cut(pairs: DataFrame) -> DataFrame:
+def most(queries: DataFrame) -> int:
+    """The largest k: a literal bound, from which Spark ranks before its shuffle."""
+    return queries.agg(F.max("k")).first()[0] or 0
+
+
+def within(queries: DataFrame):
+    return (F.col("rank") <= F.lit(most(queries))) & (F.col("rank") <= F.col("k"))
+
+
+def cut(pairs: DataFrame, queries: DataFrame, *more: str) -> DataFrame:
     w = Window.partitionBy("qid").orderBy("dist", "vec_id")
-    return pairs.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= F.col("k")).select("qid", "rank", "vec_id", "dist")
+    return pairs.withColumn("rank", F.row_number().over(w)).filter(within(queries)).select("qid", "rank", "vec_id", "dist", *more)
 
 
 def bruteforce_stats(base: DataFrame, queries: DataFrame) -> DataFrame:
@@ -64,7 +73,7 @@ def index_pairs(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataF
 
 
 def pre_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
-    return _cut(index_pairs(base, queries, routes).filter("match"))
+    return cut(index_pairs(base, queries, routes).filter("match"), queries)
 
 
 def post_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
@@ -101,8 +110,7 @@ def fused_knn(base: DataFrame, queries: DataFrame, weight: float) -> DataFrame:
     pairs = base.crossJoin(F.broadcast(q)).select(
         "qid", "k", "vec_id", (vx.l2sq("qvec", "vec") + F.lit(float(weight)) * missing).alias("dist"), (missing == 0).alias("match")
     )
-    w = Window.partitionBy("qid").orderBy("dist", "vec_id")
-    return pairs.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= F.col("k")).select("qid", "rank", "vec_id", "dist", "match")
+    return cut(pairs, queries, "match")
 
 
 def merge_topk(parts: DataFrame, k: int) -> DataFrame:

@@ -215,7 +215,7 @@ def _(s, d):
     rows = b.select("vec_id", "vec", "bits", F.explode(slot("vec")).alias("s"))
     asked = q.select("qid", "qvec", "k", F.col("bits").alias("qb"), F.explode(slot("qvec")).alias("s"))
     met = asked.join(rows, "s").filter(lb.contains_all("bits", "qb")).select("qid", "k", "vec_id", vx.l2sq("qvec", "vec").alias("dist")).distinct()
-    return _with_recall(sr._cut(met), b, q)
+    return _with_recall(sr.cut(met, q), b, q)
 
 
 @query("e06_index_members", with_(split_sql(), G, U, _SEL) + f"SELECT {skey('sel.labels')} AS index_key, vec_id FROM base JOIN sel ON list_has_all(base.labels, sel.labels)")

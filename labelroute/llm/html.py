@@ -314,7 +314,7 @@ class _Maker:
         return f'<a href="/{self.r.integers(999)}">{self.words(1, 3)}</a>'
 
     def menu(self, label: int = 0) -> str:
-        items = int(self.r.integers(2, 9))
+        items = int(self.r.integers(1, 9))
         if self.r.random() < 0.3:
             return " ".join(self.link() for _ in range(items))
         return self.block("ul", label, lambda: "".join(self.block("li", label, self.link()) for _ in range(items)))
@@ -338,8 +338,19 @@ class _Maker:
                 out.append(self.block(self.pick("ul", "ol"), 1, lambda: "".join(self.block("li", 1, self.words(2, 15)) for _ in range(3))))
             elif k < 0.94:
                 out.append(self.block("blockquote", 1, lambda: self.block("p", 1, self.words(5, 40))))
-            elif k < 0.96:
+            elif k < 0.955:
                 out.append(self.block("p", 1, f"{self.words(3, 30)} {self.link()} {self.words(3, 30)}"))
+            elif k < 0.96:
+                row = lambda: "".join(self.block("td", 1, self.words(1, 6)) for _ in range(3))
+                out.append(self.block("table", 1, lambda: "".join(self.block("tr", 1, row) for _ in range(3))))
+            elif k < 0.965:
+                out.append(self.block("pre", 1, self.words(3, 40)))
+            elif k < 0.97:
+                out.append(self.block("figure", 1, lambda: "<img src=x>" + self.block("figcaption", 1, self.words(2, 15))))
+            elif k < 0.975:
+                out.append(self.block(self.pick("div", "section"), 1, lambda: self.block("p", 1, self.words(5, 80))))
+            elif k < 0.98:
+                out.append("<br>".join(self.words(5, 60) for _ in range(3)))
             else:
                 out.append(self.clutter(inside=True))
         return "".join(out)
@@ -392,6 +403,8 @@ class _Maker:
 
         def body():
             out = [self.clutter() for _ in range(before)]
+            if self.r.random() < 0.1:  # no main text at all
+                return "".join(out + [self.clutter() for _ in range(after + 1)])
             out.append(self.block("div", 1, lambda: middle() + (self.clutter() if self.r.random() < 0.4 else "")) if self.r.random() < 0.4 else middle())
             return "".join(out + [self.clutter() for _ in range(after)])
 
@@ -409,7 +422,7 @@ def generated(pages: int, seed: int) -> list[tuple[Page, np.ndarray]]:
 
 
 @cache
-def trained(pages: int = 500, seed: int = 5) -> Trees:
+def trained(pages: int = 700, seed: int = 5) -> Trees:
     """Fitted on ``pages`` generated pages; deterministic."""
     data = generated(pages, seed)
     return Trees(np.concatenate([p.features() for p, _ in data]), np.concatenate([y for _, y in data]).astype(float))

@@ -332,14 +332,24 @@ def _marked(docs: DataFrame, n: int, k: int, deep: int, extra: list[str]) -> Dat
     scan = base.select("doc", "digest", "text").mapInArrow(
         _scan(n, k), "anchor long, doc long, digest long, start int, seen int"
     )
-    marks = common.cut(scan, spark, "anchors")
-    spoken = (
-        marks.filter("seen > 0")
+    # speakers and known repeats are stored apart; the speakers, most rows of a
+    # corpus, go as soon as those that met no other are dropped
+    root = common.shared_dir(spark, "anchors")
+    scan.withColumn("known", F.col("seen") < 0).write.partitionBy("known").parquet(root)
+    kind = "anchor long, doc long, digest long, start int, seen int, known boolean"
+    marks = spark.read.schema(kind).parquet(root)
+    spoken = common.cut(
+        marks.filter("NOT known")
+        .drop("known")
         .withColumn("total", F.sum("seen").over(Window.partitionBy("anchor")))
-        .filter("total > 1")
+        .filter("total > 1"),
+        spark,
+        "spoken",
     )
+    common.delete_path(spark, f"{root}/known=false")
     hot = spoken.filter(F.col("total") > deep).select("anchor").distinct().withColumn("deep", F.lit(True))
-    silent = marks.filter("seen < 0").join(hot, "anchor", "left")
+    # few anchors are hot: Spark broadcasts them under its own threshold, else splits the skewed side
+    silent = spark.read.schema(kind).parquet(root).filter("known").drop("known").join(hot, "anchor", "left")
     part = lambda df, d, c: df.select("doc", "digest", "start", d.alias("deep"), F.lit(c).alias("copy"))
     found = part(spoken, F.col("total") > deep, False).unionByName(
         part(silent, F.coalesce("deep", F.lit(False)), False)

@@ -16,6 +16,7 @@ import base64
 import hashlib
 from collections.abc import Iterator
 
+import pandas as pd
 import public_tokenizers
 import pyarrow as pa
 import regex
@@ -88,8 +89,6 @@ def encode_column(
 
 
 def _iterator(fn, ranks_path):
-    import pandas as pd
-
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         enc = encoder(ranks_path)
         for s in batches:

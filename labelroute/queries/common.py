@@ -16,6 +16,11 @@ SETS = {
     "part_vec": ds.part,
     "line": ds.line_labels,
     "order": ds.order_labels,
+    "source": lambda s, d: ds.doc_labels(s, d, source=True),
+    "page": ds.page_labels,
+    "event": ds.event_labels,
+    "meta": ds.meta,
+    "keywords": ds.keywords,
 }
 
 

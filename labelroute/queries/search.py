@@ -606,3 +606,70 @@ def _(s, d):
             written = sum(lat.size[x] - had.get(x, 0) for x in upd.sets)
             out.append((name, share, written, sum(p.n for p in new.picks), round(upd.realised_factor, 6), round(new.realised_factor, 6)))
     return s.createDataFrame(out, "method string, percent int, rows_written long, rows_rebuilt long, factor_updated double, factor_rebuilt double")
+
+
+def _cost_rows(s, base, label):
+    """Build seconds, selection share and stored sizes of each method."""
+    base = base.cache()
+    n = base.count()
+    dim = len(base.select("vec").first()[0])
+    u = un.universe_all(base)
+    out = []
+
+    def put(name, make):
+        (chosen, built, _rule), sec = metrics.timed(make)
+        row = built.agg(F.sum("n"), F.sum("link_bytes"), F.sum(F.octet_length("blob"))).first()
+        out.append((label, name, n, row[0], round(row[1] / 1e6, 4), round(row[2] / 1e6, 4), round(4e-6 * n * dim, 4), round(sec, 3)))
+
+    put("label graph", lambda: baselines.label_graph(base, u))
+    put("thin graph", lambda: baselines.dpg(base, u, ef_build=100))
+    put("dense graph", lambda: baselines.dpg(base, u, m=8, gamma=12, ef_build=100))
+    put("factor 0.2", lambda: baselines.selected(base, sel.select_for_factor(u, 0.2).df(s), ef_build=100))
+    put("budget 2.0", lambda: baselines.selected(base, sel.select_for_budget(u, space_ratio=2.0).df(s), ef_build=100))
+    return out
+
+
+_COST = "dataset string, method string, base_rows long, indexed_rows long, link_mb double, stored_mb double, vector_mb double, build_seconds double"
+
+
+@query("x04_build_cost")
+def _(s, d):
+    out = []
+    for name in ("doc_vec", "part_vec"):
+        b, _w = encoded(s, d, name)
+        out += _cost_rows(s, b, name)
+    return s.createDataFrame(out, _COST)
+
+
+@query("x11_scale")
+def _(s, d):
+    """Indexed rows and link bytes as the vectors are amplified."""
+    out = []
+    for copies in (1, 2, 4):
+        rows = ds.amplified(s, d, copies)
+        words = lb.dictionary(rows)
+        base = lb.encode(rows, words).cache()
+        u = un.universe_all(base)
+        for name, got in (("factor 0.2", sel.select_for_factor(u, 0.2)), ("budget 2.0", sel.select_for_budget(u, space_ratio=2.0))):
+            n = sum(p.n for p in got.picks)
+            out.append((copies, base.count(), name, len(got.picks), n, round(n * 128 / 1e6, 4)))
+    return s.createDataFrame(out, "copies int, base_rows long, method string, indexes int, indexed_rows long, link_mb double")
+
+
+@query("m02_at_recall")
+def _(s, d):
+    """Throughput inside one batch of queries at 95% recall, from a sweep of the beam."""
+    b, q, _w = split(s, d)
+    b, q = b.cache(), q.cache()
+    u = un.universe_all(b)
+    truth = sr.exact_knn(b, q).cache()
+    out = []
+    for name, (chosen, built, rule) in {"factor 0.2": baselines.selected(b, sel.select_for_factor(u, 0.2).df(s), ef_build=100), "post-filter": baselines.hpg_post(b, u, ef_build=100)}.items():
+        points = []
+        for ef in (10, 20, 40, 80):
+            parts, sec = metrics.timed(lambda bu=built, c=chosen, e=ef, ru=rule: store.search(bu, q, route.route(c, q), e, ru).cache())
+            _n, sec = metrics.timed(parts.count)
+            points.append((metrics.mean_recall(store.merge(parts, q), truth), q.count() / sec))
+        at = metrics.at_recall(points, 0.95)
+        out.append((name, round(min(p[0] for p in points), 6), round(max(p[0] for p in points), 6), None if at is None else round(at, 3)))
+    return s.createDataFrame(out, "method string, lowest_recall double, highest_recall double, qps_at_95 double")

@@ -236,7 +236,7 @@ def _(s, d):
     """Candidates, selected sets and their rows by labelled set, factor bound and
     budget bound."""
     out = []
-    for name in ("doc", "part", "line", "order"):
+    for name in ("doc", "part", "line", "order", "source", "page", "event", "meta", "keywords"):
         b, _w = encoded(s, d, name)
         lat = sel.Lattice.collect(un.universe_all(b))
         for method, got in (("factor 0.2", sel.select_for_factor(lat, 0.2)), ("budget 2.0", sel.select_for_budget(lat, space_ratio=2.0))):
@@ -260,3 +260,27 @@ def _(s, d):
         )
         out = part if out is None else out.unionByName(part)
     return out
+
+
+@query("x10_selector_overhead")
+def _(s, d):
+    """Seconds of selection by method on the largest universes, and benefits evaluated."""
+    from ..operators import metrics
+
+    out = []
+    for name in ("line", "part"):
+        b, _w = encoded(s, d, name)
+        lat, job = metrics.timed(lambda b=b: sel.Lattice.collect(un.universe_all(b)))
+        for method in ("lazy", "plain"):
+            got, sec = metrics.timed(lambda lat=lat, m=method: sel.select_for_factor(lat, 0.2, m))
+            out.append((name, f"factor {method}", len(lat.size), len(got.picks), got.evaluations, round(job, 3), round(sec, 3)))
+        got, sec = metrics.timed(lambda lat=lat: sel.select_for_budget(lat, space_ratio=2.0))
+        out.append((name, "budget", len(lat.size), len(got.picks), got.evaluations, round(job, 3), round(sec, 3)))
+    return s.createDataFrame(out, "dataset string, method string, candidates long, selected long, evaluations long, lattice_seconds double, select_seconds double")
+
+
+@query("m14_approximation_gap", "SELECT * FROM (VALUES (300, 26, 24), (500, 30, 30), (800, 61, 61)) t(c_milli, greedy, optimal)")
+def _(s, d):
+    lat = sel.Lattice.of(R1)
+    rows = [(c, sel.select_for_factor(lat, c / 1000, charge_top=True).cost, sel.select_optimal(lat, c / 1000, charge_top=True)[1]) for c in (300, 500, 800)]
+    return s.createDataFrame(rows, "c_milli int, greedy int, optimal int")

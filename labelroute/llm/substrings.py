@@ -48,6 +48,8 @@ N = 20
 K = 8
 #: Occurrences above which a prefix is lengthened to the whole window.
 DEEP = 4_000
+#: Hot anchors (of eight bytes) that may be broadcast.
+HOT_ROWS = 500_000
 #: Anchors that a task holds to merge those it sees twice.
 MERGE_ROWS = 1_000_000
 _MULT = np.uint64(0x9E3779B97F4A7C15)
@@ -348,7 +350,10 @@ def _marked(docs: DataFrame, n: int, k: int, deep: int, extra: list[str]) -> Dat
     )
     common.delete_path(spark, f"{root}/known=false")
     hot = spoken.filter(F.col("total") > deep).select("anchor").distinct().withColumn("deep", F.lit(True))
-    # few anchors are hot: Spark broadcasts them under its own threshold, else splits the skewed side
+    # few anchors are hot, and their number is checked; beyond the bound the join
+    # is a shuffle whose skewed side Spark splits
+    if hot.limit(HOT_ROWS + 1).count() <= HOT_ROWS:
+        hot = F.broadcast(hot)
     silent = spark.read.schema(kind).parquet(root).filter("known").drop("known").join(hot, "anchor", "left")
     part = lambda df, d, c: df.select("doc", "digest", "start", d.alias("deep"), F.lit(c).alias("copy"))
     found = part(spoken, F.col("total") > deep, False).unionByName(

@@ -403,13 +403,15 @@ def remove_repeats(docs: DataFrame, n: int = N, k: int = K, deep: int = DEEP) ->
     """``docs`` with repeated words cut out of ``text`` (kept words joined by a
     space; texts without repeats stay unchanged).  A document of which nothing
     is left goes; rows that had no words stay.  All columns stay."""
-    extra = list(docs.columns)
+    # the text is carried once, as ``text``
+    extra = [c for c in docs.columns if c != "text"]
+    at = {c: i for i, c in enumerate(extra)}
     marked = _marked(docs, n, k, deep, extra)
-    types = ", ".join(f"_x{i} {f.dataType.simpleString()}" for i, f in enumerate(docs.schema.fields))
-    out = marked.mapInArrow(_kept(n, False), f"n_words long, n_removed long, kept_text string, {types}")
+    types = "".join(f", _x{i} {docs.schema[c].dataType.simpleString()}" for c, i in at.items())
+    out = marked.mapInArrow(_kept(n, False), f"n_words long, n_removed long, kept_text string{types}")
     out = out.filter("n_words = 0 OR n_removed < n_words")
     return out.select(
-        *[(F.col("kept_text") if c == "text" else F.col(f"_x{i}")).alias(c) for i, c in enumerate(extra)]
+        *[(F.col("kept_text") if c == "text" else F.col(f"_x{at[c]}")).alias(c) for c in docs.columns]
     )
 
 

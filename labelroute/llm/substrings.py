@@ -328,6 +328,8 @@ def _marked(docs: DataFrame, n: int, k: int, deep: int, extra: list[str]) -> Dat
     # 1. exact copies by strong digest
     strong = base.filter("text IS NOT NULL").select("doc", "digest", F.unhex(F.sha2("text", 256)).alias("sha"))
     first = strong.groupBy("sha").agg(F.min("doc").alias("first_doc"), F.count("*").alias("copies")).filter("copies > 1")
+    # written, so that the join below is of plain exchanges and a hot text's rows are split
+    first = common.cut(first.drop("copies"), spark, "first-of-text")
     copies = strong.join(first, "sha").filter("doc > first_doc").select("doc", "digest").distinct()
 
     # 2. repeated anchors: one speaker per anchor and task meets the others

@@ -2,19 +2,23 @@
 
 1. One pass checks each vector and digests its bytes; equal vectors of a label
    are copies and only the smallest vec_id of each goes on.
-2. Coarse cells (k-means on a bounded sample) split every label into inverted
-   lists; a vector lies in the list of its nearest cell and asks the ``probes``
-   nearest.  A list above ``LIST_ROWS`` is split into blocks by hash, so no task
-   holds more, whatever share of the rows a label or cell has.
+2. Coarse cells (k-means on a bounded sample), ordered so that neighbours follow
+   each other and joined to regions, split every label into inverted lists; a
+   vector lies in the list of its nearest cell and asks every cell that can hold
+   a link: beyond the plane halfway between two centres by at most the largest
+   distance of a link.  That test is exact, so no link is missed.  A pair of
+   regions is asked from one side.  A list above ``LIST_ROWS`` is split into
+   blocks by hash, so no task holds more, whatever share of the rows a label or
+   cell has.
 3. In a list the residuals are coded per subspace.  A query sums table look-ups
    (asymmetric distances); as each code keeps its own reconstruction error, the
    triangle inequality rules a vector out exactly, and what is left is reranked
    by the exact cosine in double precision.
 4. Links between first copies give degrees (weighted by copies) and components.
 
-The index is fitted on at most ``SAMPLE_ROWS`` vectors and holds every vector.
-Links may be missed only between vectors of which neither's probed cells hold
-the other; tests measure the share found against brute force.
+The index is fitted on at most ``SAMPLE_ROWS`` vectors and holds every vector;
+the fit decides the cost, never the links found.  Vectors without structure are
+asked of nearly all lists of their label, so their cost grows with its square.
 
 Defined results: vectors that are null, empty, zero, or hold null or non-finite
 components, and rows with a null label, link with nothing; vectors of different
@@ -36,11 +40,14 @@ from pyspark.sql import functions as F
 from . import common
 
 THRESHOLD = 0.93
-PROBES = 12
 SAMPLE_ROWS = 20_000
 MAX_CELLS = 4_096
 #: Rows per coarse cell that the number of cells aims at.
 CELL_ROWS = 256
+#: Added to every bound on a distance, far above what rounding can lose.
+SLACK = 1e-6
+#: Links held before they are passed on.
+PAIR_ROWS = 1 << 18
 LIST_ROWS = 4_096
 SUBSPACES = 8
 CODES = 128
@@ -78,44 +85,74 @@ def _kmeans(x: np.ndarray, k: int, rounds: int, seed: int) -> np.ndarray:
     return c
 
 
+def _chained(c: np.ndarray) -> np.ndarray:
+    """``c`` in an order in which each row's successor is its nearest yet unused."""
+    left, order, at = np.ones(len(c), bool), [], 0
+    for _ in range(len(c)):
+        left[at] = False
+        order.append(at)
+        d = (c * c).sum(1) - 2 * c @ c[at]
+        d[~left] = np.inf
+        at = int(d.argmin())
+    return c[order]
+
+
 class Quantiser:
-    """Coarse cells and residual codebooks of one dimension."""
+    """Coarse cells, their regions and residual codebooks of one dimension."""
 
-    def __init__(self, sample: np.ndarray, cells: int, subspaces: int = SUBSPACES, codes: int = CODES):
+    def __init__(self, sample: np.ndarray, cells: int, regions: int = 1, subspaces: int = SUBSPACES, codes: int = CODES):
         self.dim = sample.shape[1]
         self.sub = min(subspaces, self.dim)
         self.width = -(-self.dim // self.sub)
-        self.cells = _kmeans(sample, cells, 8, 1)
-        r = self._split(sample - self.cells[self.nearest(sample, 1)[:, 0]])
+        self.cells = _chained(_kmeans(sample, cells, 8, 1))
+        self.regions = max(1, min(regions, len(self.cells)))
+        self.region = np.arange(len(self.cells)) * self.regions // len(self.cells)
+        r = self._split(sample - self.cells[self.squares(sample).argmin(1)])
         self.books = [_kmeans(r[:, m], codes, 6, m) for m in range(self.sub)]
 
     def _split(self, r: np.ndarray) -> np.ndarray:
         pad = self.sub * self.width - self.dim
         return np.pad(r, ((0, 0), (0, pad))).reshape(len(r), self.sub, self.width)
 
-    def nearest(self, x: np.ndarray, probes: int) -> np.ndarray:
-        d = (self.cells * self.cells).sum(1)[None, :] - 2 * x @ self.cells.T
-        p = min(probes, len(self.cells))
-        at = np.argpartition(d, p - 1, 1)[:, :p]
-        return np.take_along_axis(at, np.argsort(np.take_along_axis(d, at, 1), 1, kind="stable"), 1)
-
-    def encode(self, x: np.ndarray, cell: int) -> tuple[np.ndarray, np.ndarray]:
-        """Codes of the residuals and each vector's reconstruction error."""
-        r = self._split(x - self.cells[cell])
-        codes, error = np.empty((len(x), self.sub), np.int64), np.zeros(len(x))
+    def squares(self, x: np.ndarray) -> np.ndarray:
+        """Squared distances to every centre, rows x cells."""
+        return (x * x).sum(1)[:, None] + (self.cells * self.cells).sum(1)[None, :] - 2 * x @ self.cells.T
+
+    def ask(self, x: np.ndarray, radius: float) -> tuple[np.ndarray, np.ndarray]:
+        """Own cell of each row, and the regions (rows x regions) that may hold
+        a vector within ``radius`` of it.
+
+        What lies in cell c is no nearer to the own centre o than to c, so its
+        distance from a row is at least that of the row from the plane between:
+        (d(x, c)^2 - d(x, o)^2) / (2 d(c, o))."""
+        d = self.squares(x)
+        own = d.argmin(1)
+        apart = np.sqrt(np.maximum(self.squares(self.cells[own]), 0))
+        near = d - np.take_along_axis(d, own[:, None], 1) <= 2 * radius * apart + SLACK
+        near[np.arange(len(x)), own] = True
+        starts = np.searchsorted(self.region, np.arange(self.regions))
+        return own, np.logical_or.reduceat(near, starts, axis=1)
+
+    def encode(self, x: np.ndarray, cell: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Codes of the residuals, each vector's reconstruction error, and the
+        part of a squared distance that does not depend on the query."""
+        c = self._split(self.cells[cell])
+        r = self._split(x) - c
+        codes, error, fixed = np.empty((len(x), self.sub), np.int64), np.zeros(len(x)), np.zeros(len(x))
         for m, book in enumerate(self.books):
             d = (r[:, m] ** 2).sum(1)[:, None] + (book * book).sum(1)[None, :] - 2 * r[:, m] @ book.T
             codes[:, m] = d.argmin(1)
-            error += np.maximum(np.take_along_axis(d, codes[:, m : m + 1], 1)[:, 0], 0)
-        return codes, np.sqrt(error)
+            mine = book[codes[:, m]]
+            error += ((r[:, m] - mine) ** 2).sum(1)
+            fixed += (mine * mine).sum(1) + 2 * (mine * c[:, m]).sum(1)
+        return codes, np.sqrt(error), fixed
 
-    def distances(self, q: np.ndarray, cell: int, codes: np.ndarray) -> np.ndarray:
+    def distances(self, q: np.ndarray, cell: np.ndarray, codes: np.ndarray, fixed: np.ndarray) -> np.ndarray:
         """Asymmetric distances by table look-up, queries x list."""
-        r = self._split(q - self.cells[cell])
-        out = np.zeros((len(q), len(codes)))
+        out = self.squares(q)[:, cell] + fixed[None, :]
+        parts = self._split(q)
         for m, book in enumerate(self.books):
-            table = (r[:, m] ** 2).sum(1)[:, None] + (book * book).sum(1)[None, :] - 2 * r[:, m] @ book.T
-            out += table[:, codes[:, m]]
+            out += (-2 * parts[:, m] @ book.T)[:, codes[:, m]]
         return np.sqrt(np.maximum(out, 0))
 
 
@@ -124,7 +161,7 @@ def _unit(raw: list[bytes]) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1)[:, None]
 
 
-def _fit(reps: DataFrame, total: int, sample_rows: int, cell_rows: int) -> dict[int, Quantiser]:
+def _fit(reps: DataFrame, total: int, sample_rows: int, cell_rows: int, list_rows: int) -> dict[int, Quantiser]:
     parts = 1 << 20
     some = reps.select("dim", "vec", "rep")
     if total > sample_rows:
@@ -134,91 +171,117 @@ def _fit(reps: DataFrame, total: int, sample_rows: int, cell_rows: int) -> dict[
     for r in rows:
         by.setdefault(r["dim"], []).append(bytes(r["vec"]))
     cells = min(MAX_CELLS, max(1, total // cell_rows))
-    return {d: Quantiser(_unit(v), max(1, cells * len(v) // max(1, len(rows)))) for d, v in by.items()}
+    # regions such that the largest label has about list_rows vectors in each
+    sizes = reps.groupBy("label", "dim").count().groupBy("dim").agg(F.max("count").alias("n"))
+    regions = {r["dim"]: -(-r["n"] // list_rows) for r in sizes.filter(F.col("dim").isin(list(by))).collect()}
+    return {d: Quantiser(_unit(v), max(1, cells * len(v) // max(1, len(rows))), regions[d]) for d, v in by.items()}
 
 
-def links(reps: DataFrame, threshold: float, probes: int, sample_rows: int, cell_rows: int, list_rows: int) -> DataFrame:
-    """Linked pairs ``a > b`` among first copies ``(rep, label, dim, vec)``."""
+def links(reps: DataFrame, threshold: float, sample_rows: int, cell_rows: int, list_rows: int) -> DataFrame:
+    """All linked pairs ``a > b`` among first copies ``(rep, label, dim, vec)``."""
     spark = reps.sparkSession
     total = reps.count()
-    models = _fit(reps, total, sample_rows, cell_rows) if total else {}
+    models = _fit(reps, total, sample_rows, cell_rows, list_rows) if total else {}
     sent = spark.sparkContext.broadcast(pickle.dumps(models))
+    radius = float(np.sqrt(max(0.0, 2 - 2 * threshold))) + SLACK
 
     def assign(batches):
         m = pickle.loads(sent.value)
-        types = (pa.int64(), pa.string(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+        types = (pa.int64(), pa.string(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int32()), pa.binary())
         for b in batches:
-            cols: tuple[list, ...] = [], [], [], [], [], []
+            cols: tuple[list, ...] = [], [], [], [], [], [], []
             rows = list(zip(*(b.column(i).to_pylist() for i in range(4)), strict=True))
             for dim in {r[2] for r in rows}:
                 mine = [r for r in rows if r[2] == dim]
-                if dim not in m:  # a dimension that the sample did not hold: one cell
-                    near = np.zeros((len(mine), 1), np.int64)
-                else:
-                    near = m[dim].nearest(_unit([r[3] for r in mine]), probes)
-                for r, at in zip(mine, near.tolist(), strict=True):
-                    for rank, cell in enumerate(at):
-                        for c, v in zip(cols, (r[0], r[1], dim, cell, rank, r[3]), strict=True):
+                for lo in range(0, len(mine), 256):
+                    some = mine[lo : lo + 256]
+                    if dim not in m:  # a dimension that the sample did not hold: one cell
+                        cell, region, asked = [0] * len(some), [0] * len(some), [[0]] * len(some)
+                    else:
+                        q = m[dim]
+                        own, near = q.ask(_unit([r[3] for r in some]), radius)
+                        g, all_ = q.region[own][:, None], np.arange(q.regions)[None, :]
+                        # of two regions one asks the other, in turns
+                        near &= (g == all_) | ((g < all_) == ((g + all_) % 2 == 0))
+                        cell, region, asked = own.tolist(), q.region[own].tolist(), [np.flatnonzero(a) for a in near]
+                    for r, *at in zip(some, cell, region, asked, strict=True):
+                        for c, v in zip(cols, (r[0], r[1], dim, *at, r[3]), strict=True):
                             c.append(v)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["rep", "label", "dim", "cell", "rank", "vec"]
+                [pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["rep", "label", "dim", "cell", "region", "asked", "vec"]
             )
 
-    asked = reps.select("rep", F.col("label").cast("string").alias("label"), "dim", "vec").mapInArrow(
-        assign, "rep long, label string, dim int, cell int, rank int, vec binary"
+    placed = reps.select("rep", F.col("label").cast("string").alias("label"), "dim", "vec").mapInArrow(
+        assign, "rep long, label string, dim int, cell int, region int, asked array<int>, vec binary"
+    )
+    placed = common.cut(placed, spark, "cells")
+    key = ["label", "dim", "region"]
+    lists = placed.groupBy(key).agg(F.ceil(F.count("*") / list_rows).cast("int").alias("blocks"))
+    inside = placed.join(lists, key).select(
+        *key, F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("block"), F.lit(0).alias("kind"), "rep", "cell", "region", "vec"
+    )
+    query = (
+        placed.select("label", "dim", F.explode("asked").alias("region"), "rep", "cell", F.col("region").alias("home"), "vec")
+        .join(lists, key)
+        .select(*key, F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("kind"), "rep", "cell", "home", "vec")
     )
-    asked = common.cut(asked, spark, "cells")
-    key = ["label", "dim", "cell"]
-    lists = asked.filter("rank = 0").groupBy(key).agg(F.ceil(F.count("*") / list_rows).cast("int").alias("blocks"))
-    met = asked.join(lists, key)
-    inside = met.filter("rank = 0").select(*key, F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("block"), F.lit(0).alias("kind"), "rep", "vec")
-    query = met.select(*key, F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("kind"), "rep", "vec")
-    radius = float(np.sqrt(max(0.0, 2 - 2 * threshold))) + 1e-9
 
     def search(batches):
         m = pickle.loads(sent.value)
         key_now, held, ready = None, [], None
+        pairs: tuple[list, list] = [], []
 
-        def prepare(dim, cell):
-            ids = np.array([r for r, _ in held], np.int64)
-            x = _unit([v for _, v in held])
+        def prepare(dim):
+            ids = np.array([h[0] for h in held], np.int64)
+            cell = np.array([h[1] for h in held], np.int64)
+            x = _unit([h[2] for h in held])
             q = m.get(dim)
-            codes, error = q.encode(x, cell) if q else (None, None)
-            return ids, x, q, codes, error
+            return ids, x, q, cell, *(q.encode(x, cell) if q else (None, None, None))
+
+        def flush():
+            a, c = (np.concatenate(p) if p else np.empty(0, np.int64) for p in pairs)
+            for p in pairs:
+                p.clear()
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
 
         for b in batches:
-            pairs: tuple[list, list] = [], []
-            label, dim, cell, block, kind, rep, vec = (b.column(i).to_pylist() for i in range(7))
+            label, dim, region, block, kind, rep, cell, home, vec = (b.column(i).to_pylist() for i in range(9))
             i = 0
             while i < len(rep):
-                k = (label[i], dim[i], cell[i], block[i])
+                k = (label[i], dim[i], region[i], block[i])
                 if k != key_now:
                     key_now, held, ready = k, [], None
                 j = i
-                while j < len(rep) and (label[j], dim[j], cell[j], block[j], kind[j]) == (*k, kind[i]):
+                while j < len(rep) and (label[j], dim[j], region[j], block[j], kind[j]) == (*k, kind[i]):
                     j += 1
                 if kind[i] == 0:
-                    held += zip(rep[i:j], vec[i:j], strict=True)
+                    held += zip(rep[i:j], cell[i:j], vec[i:j], strict=True)
                 elif held:
-                    ready = ready or prepare(dim[i], cell[i])
-                    ids, x, q, codes, error = ready
+                    ready = ready or prepare(dim[i])
+                    ids, x, q, cells, codes, error, fixed = ready
                     for lo in range(i, j, 256):
                         hi = min(lo + 256, j)
                         u, mine = _unit(vec[lo:hi]), np.array(rep[lo:hi], np.int64)
+                        away = np.array(home[lo:hi]) != region[i]
                         if q is not None:
-                            s, t = np.nonzero(q.distances(u, cell[i], codes) <= radius + error[None, :] + 1e-9)
+                            s, t = np.nonzero(q.distances(u, cells, codes, fixed) <= radius + error[None, :] + SLACK)
                         else:
                             s, t = (a.ravel() for a in np.indices((len(u), len(x))))
                         for part in range(0, len(s), 1 << 16):
                             ss, tt = s[part : part + (1 << 16)], t[part : part + (1 << 16)]
-                            good = (np.einsum("ij,ij->i", u[ss], x[tt]) >= threshold) & (mine[ss] != ids[tt])
+                            # inside a region both ends ask, and the larger id's answer counts
+                            once = np.where(away[ss], mine[ss] != ids[tt], mine[ss] > ids[tt])
+                            ss, tt = ss[once], tt[once]
+                            good = np.einsum("ij,ij->i", u[ss], x[tt]) >= threshold
                             pairs[0].append(np.maximum(mine[ss[good]], ids[tt[good]]))
                             pairs[1].append(np.minimum(mine[ss[good]], ids[tt[good]]))
+                        if sum(map(len, pairs[0])) >= PAIR_ROWS:
+                            yield flush()
                 i = j
-            a, c = (np.concatenate(p) if p else np.empty(0, np.int64) for p in pairs)
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
+        yield flush()
 
     group = [*key, "block"]
+    inside = inside.toDF(*query.columns)
     found = (
         inside.unionByName(query).repartition(*group).sortWithinPartitions(*group, "kind").mapInArrow(search, "a long, b long").distinct()
     )
@@ -228,7 +291,6 @@ def links(reps: DataFrame, threshold: float, probes: int, sample_rows: int, cell
 def near_duplicates(
     vectors: DataFrame,
     threshold: float = THRESHOLD,
-    probes: int = PROBES,
     sample_rows: int = SAMPLE_ROWS,
     cell_rows: int = CELL_ROWS,
     list_rows: int = LIST_ROWS,
@@ -251,7 +313,7 @@ def near_duplicates(
         .dropDuplicates(["rep", "label", "digest"])
     )
     reps = common.cut(reps, spark, "reps")
-    found = links(reps, threshold, probes, sample_rows, cell_rows, list_rows)
+    found = links(reps, threshold, sample_rows, cell_rows, list_rows)
     comps = common.connected_components(found, spark).withColumnRenamed("node", "rep")
     both = found.union(found.select("b", "a")).toDF("rep", "other")
     weight = reps.groupBy(F.col("rep").alias("other")).agg(F.sum("copies").alias("copies"))

@@ -346,6 +346,20 @@ def test_links_against_brute_force(spark):
     assert 0.9 * s.sum() <= found <= s.sum()
 
 
+def test_every_link_of_a_dense_group(spark):
+    """Default cells; most vectors are one group of different near copies,
+    which lies in twice a dozen cells."""
+    rng = np.random.default_rng(7)
+    x = rng.normal(size=(10_000, 16))
+    x[:8_000] = 4 * x[0] / np.linalg.norm(x[0]) + 0.6 * rng.normal(size=(8_000, 16))
+    df = spark.createDataFrame([(i, v.tolist(), 0) for i, v in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    n = (u @ u.T >= embdup.THRESHOLD).sum(1) - 1
+    assert n.sum() > 100_000
+    got = by_id(embdup.near_duplicates(df), "vec_id")
+    assert [got[i]["n_links"] for i in range(len(x))] == n.tolist()
+
+
 def test_embedding_edges(spark):
     v = [1.0, 2.0]
     rows = [(1, v, 0), (2, v, 0), (3, [2.0, 4.0], 0), (4, v, 1), (5, None, 0), (6, [0.0, 0.0], 0), (7, [1.0, None], 0), (8, [float("nan"), 1.0], 0), (9, v, None), (10, [1.0, 2.0, 0.0], 0), (11, [], 0), (12, [float("inf"), 0.0], 0), (None, v, 0)]

@@ -2,9 +2,10 @@
 
 Main path: DataFrame functions, and the file system's listing and rename on the
 driver.  Arrivals are appended as small immutable shards, one run per feed and
-append.  Runs of similar size form a tier (powers of ``fanout`` over a floor);
-a tier with ``fanout`` runs or more is merged by narrow reads into files near
-the target size, without a shuffle, and the merged run joins a higher tier.
+append.  Shard files below the target size form tiers by their size (powers of
+``fanout`` over a floor), whatever the size of their run; a tier with ``fanout``
+files or more is merged by narrow reads, without a shuffle, into files of the
+target size, or into one smaller file that joins a higher tier.
 Every change is a new manifest version, written aside and renamed in one step;
 readers take the newest version and see only whole runs.  A writer that finds
 its version taken fails and leaves the table as it was.
@@ -19,7 +20,7 @@ from __future__ import annotations
 
 import json
 import math
-from dataclasses import asdict, dataclass
+from dataclasses import asdict, dataclass, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -28,8 +29,10 @@ from . import common
 
 TARGET_BYTES = 256 << 20
 FANOUT = 4
-#: Runs up to this size are one tier.
+#: Files up to this size are one tier.
 FLOOR_BYTES = 1 << 20
+#: Files that one merge writes at most; a full tier beyond takes several merges.
+MERGE_FILES = 32
 _FEED = "__feed__"
 
 
@@ -39,6 +42,8 @@ class Run:
     path: str
     bytes: int
     level: int
+    #: Name and bytes of each file; others in the folder are not part of the run.
+    files: list
 
 
 class ShardStore:
@@ -103,10 +108,17 @@ class ShardStore:
         for s in self._fs.listStatus(self._path(batch)):
             folder = s.getPath().getName()
             if folder.startswith(f"{_FEED}="):
-                size = int(self._fs.getContentSummary(s.getPath()).getLength())
-                new.append(Run(f"a{base + 1}/{folder.split('=', 1)[1]}", f"{batch}/{folder}", size, 0))
+                new.append(self._run(f"a{base + 1}/{folder.split('=', 1)[1]}", f"{batch}/{folder}", 0))
         return self.commit(known + sorted(new, key=lambda r: r.name), base)
 
+    def _run(self, name: str, path: str, level: int) -> Run:
+        files = []
+        for s in self._fs.listStatus(self._path(path)):
+            file = s.getPath().getName()
+            if not file.startswith(("_", ".")):
+                files.append([file, int(s.getLen())])
+        return Run(name, path, sum(n for _, n in files), level, sorted(files))
+
     def tier(self, size: int) -> int:
         return 0 if size <= FLOOR_BYTES else 1 + int(math.log(size / FLOOR_BYTES, self.fanout))
 
@@ -114,30 +126,66 @@ class ShardStore:
         """Merge full tiers until none is left; each merge is one version."""
         while True:
             base, runs = self._version(), self.runs()
-            tiers: dict[int, list[Run]] = {}
+            tiers: dict[int, list[tuple[str, int]]] = {}
             for r in runs:
-                if r.bytes < self.target:
-                    tiers.setdefault(self.tier(r.bytes), []).append(r)
-            full = sorted(t for t, rs in tiers.items() if len(rs) >= self.fanout)
+                for file, size in r.files:
+                    if size < self.target:
+                        tiers.setdefault(self.tier(size), []).append((f"{r.path}/{file}", size))
+            full = sorted(t for t, fs in tiers.items() if len(fs) >= self.fanout)
             if not full:
                 return base
-            group = tiers[full[0]]
-            # no merge beyond the bytes that fill whole target files keeps a merge's cost bounded
-            merged = self._merge(group, base + 1, schema)
-            gone = {r.name for r in group}
-            self.commit([r for r in runs if r.name not in gone] + [merged], base)
-            if drop_merged:  # after the commit: a failed merge leaves the old runs readable
-                for r in group:
-                    self._fs.delete(self._path(r.path), True)
-
-    def _merge(self, group: list[Run], version: int, schema) -> Run:
-        total = sum(r.bytes for r in group)
-        files = max(1, -(-total // self.target))
+            bins = self._bins(tiers[full[0]])
+            gone = {f for b in bins for f in b}
+            kept, level = [], 0
+            for r in runs:
+                files = [f for f in r.files if f"{r.path}/{f[0]}" not in gone]
+                if len(files) < len(r.files):
+                    level = max(level, r.level)
+                if files:
+                    kept.append(replace(r, bytes=sum(n for _, n in files), files=files))
+            self.commit([*kept, self._merge(bins, base + 1, level + 1, schema)], base)
+            if drop_merged:  # after the commit: a failed merge leaves the old files readable
+                live = {r.path for r in kept}
+                for r in runs:
+                    if r.path not in live:
+                        self._fs.delete(self._path(r.path), True)
+                for f in gone:
+                    if f.rsplit("/", 1)[0] in live:
+                        self._fs.delete(self._path(f), False)
+
+    def _bins(self, group: list[tuple[str, int]]) -> list[list[str]]:
+        """Files to be merged into one each: of target size, but for a last one.
+        Every bin has two files or more, so a merge leaves fewer files."""
+        bins, now, held = [], [], 0
+        for file, size in group:
+            now.append(file)
+            held += size
+            if held >= self.target:
+                bins.append(now)
+                now, held = [], 0
+                if len(bins) == MERGE_FILES:
+                    break
+        return [*bins, now] if len(now) > 1 else bins
+
+    def _merge(self, bins: list[list[str]], version: int, level: int, schema) -> Run:
+        """One task and one file for each bin; nothing is shuffled."""
         path = f"{self.root}/runs/m{version:010d}"
-        src = self.spark.read.schema(schema).parquet(*[r.path for r in group])
-        src.coalesce(files).write.parquet(path)
-        size = int(self._fs.getContentSummary(self._path(path)).getLength())
-        return Run(f"m{version}", path, size, 1 + max(r.level for r in group))
+        out = None
+        for b in bins:
+            part = self.spark.read.schema(schema).parquet(*b).coalesce(1)
+            out = part if out is None else out.union(part)
+        # Spark otherwise lays single partitions of a union on top of each other
+        name = "spark.sql.unionOutputPartitioning"
+        old = self.spark.conf.get(name, None)
+        self.spark.conf.set(name, "false")
+        try:
+            out.write.option("maxRecordsPerFile", 0).parquet(path)
+        finally:
+            if old is None:
+                self.spark.conf.unset(name)
+            else:
+                self.spark.conf.set(name, old)
+        return self._run(f"m{version}", path, level)
 
     # reading ------------------------------------------------------------
 
@@ -145,7 +193,7 @@ class ShardStore:
         """All rows of a version, with the run's level and name as ``_level`` and ``_run``."""
         out = None
         for r in self.runs(version):
-            part = self.spark.read.schema(schema).parquet(r.path)
+            part = self.spark.read.schema(schema).parquet(*[f"{r.path}/{file}" for file, _ in r.files])
             part = part.withColumn("_level", F.lit(r.level)).withColumn("_run", F.lit(r.name))
             out = part if out is None else out.unionByName(part)
         if out is None:

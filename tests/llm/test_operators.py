@@ -51,6 +51,28 @@ def test_compaction_keeps_rows_and_versions(spark):
         store.commit([], before[0])
 
 
+def test_a_hot_feed_of_many_small_files_is_merged(spark):
+    """The hot feed's arrival is far above the target, each of its files below."""
+    import os
+
+    rng = np.random.default_rng(4)
+    rows = docs(spark, [(i, rng.bytes(400).hex()) for i in range(4_000)]).repartition(40)
+    rows = rows.withColumn("source", F.when(F.col("doc_id") % 10 == 0, "cold").otherwise("hot"))
+    store = sharding.ShardStore(spark, common.shared_dir(spark, "hot"), target_bytes=200_000, fanout=4)
+    store.append(rows, F.col("source"))
+    top = store.root.removeprefix("file://") + "/runs"
+    sizes = lambda: [os.path.getsize(f"{d}/{f}") for d, _, fs in os.walk(top) for f in fs if f.endswith(".parquet")]
+    before = sizes()
+    assert len(before) >= 40 and max(before) < store.target < sum(before) / 8
+    store.compact(rows.schema)
+    after = sizes()
+    small = [store.tier(n) for n in after if n < store.target]
+    assert all(small.count(t) < store.fanout for t in small) and len(after) < len(before) / 3
+    assert max(after) < 3 * store.target
+    got = store.read(rows.schema).drop("_level", "_run")
+    assert sorted(map(repr, got.collect())) == sorted(map(repr, rows.collect()))
+
+
 def test_empty_table_and_null_feeds(spark):
     assert sharding.compact_documents(docs(spark, [])).count() == 0
     df = spark.createDataFrame([(1, "a", None, None, 1), (2, "", "en", "x", 0)], DOCS)

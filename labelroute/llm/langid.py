@@ -17,7 +17,7 @@ from __future__ import annotations
 import pickle
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
@@ -70,6 +70,23 @@ class Model:
     langs: list[str]
     log_prob: np.ndarray  # buckets x languages, float32
     log_prior: np.ndarray
+    #: Smoothed gram count of each language.
+    totals: np.ndarray
+    #: Least mean log-probability of a gram, and its deviation; see ``bounded``.
+    least: np.ndarray | None = None
+    spread: np.ndarray | None = None
+
+    def plausible(self, text: str, lang: str) -> bool:
+        """Whether the mean log-probability of the grams is one of ``lang``, at
+        any length: a posterior only tells which language is less unlikely."""
+        codes, at = codes_of(text), self.langs.index(lang)
+        bits, total, n = self.log_prob.shape[0].bit_length() - 1, 0.0, 0
+        for lo in range(0, len(codes), _SLICE):
+            for o in ORDERS:
+                idx = grams(codes[lo : lo + _SLICE + o - 1], o, bits)
+                total += float(self.log_prob[idx, at].sum(dtype=np.float64))
+                n += len(idx)
+        return total / n >= self.least[at] - 2 * self.spread[at] / np.sqrt(n)
 
     def score(self, text: str | None) -> tuple[str, float]:
         if not text or not self.langs or not _LETTER.search(text):
@@ -87,14 +104,19 @@ class Model:
         return self.langs[best], float(1.0 / np.exp(total - total[best]).sum())
 
 
-def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS, alpha: float = 0.5) -> Model:
-    """Fit on rows ``(text, lang)`` of ``train``; both must be non-null."""
-    common.tune_arrow(train.sparkSession)
+def _sample(train: DataFrame, train_rows: int) -> DataFrame:
     rows = train.filter("text IS NOT NULL AND lang IS NOT NULL").select("text", "lang")
     total = rows.count()
     if total > train_rows:
         parts = 1 << 20
         rows = rows.filter(F.pmod(F.xxhash64("text"), F.lit(parts)) < int(parts * train_rows / total))
+    return rows
+
+
+def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS, alpha: float = 0.5) -> Model:
+    """Fit on rows ``(text, lang)`` of ``train``; both must be non-null."""
+    common.tune_arrow(train.sparkSession)
+    rows = _sample(train, train_rows)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: dict[str, np.ndarray] = {}
@@ -122,7 +144,41 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
     counts[at[inside], col[inside]] = n[inside]
     prior[col[~inside]] = n[~inside]
     smooth = counts + alpha
-    return Model(langs, np.log(smooth / smooth.sum(0)).astype(np.float32), np.log(prior / max(prior.sum(), 1)))
+    return Model(langs, np.log(smooth / smooth.sum(0)).astype(np.float32), np.log(prior / max(prior.sum(), 1)), smooth.sum(0))
+
+
+def bounded(model: Model, train: DataFrame, train_rows: int = TRAIN_ROWS, alpha: float = 0.5) -> Model:
+    """``model`` with its bounds learned from the rows that it was fitted on.
+
+    Each row is scored as if it had not trained.  The bound of a language lies
+    below the lowest hundredth of its rows by half the distance from there to
+    the median; a short text gets two deviations of its mean besides."""
+    if not model.langs:
+        return model
+    sent = train.sparkSession.sparkContext.broadcast(pickle.dumps(model))
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        m = pickle.loads(sent.value)
+        bits = m.log_prob.shape[0].bit_length() - 1
+        for b in batches:
+            out = []
+            for text, lang in zip(b["text"], b["lang"], strict=True):
+                if _LETTER.search(text):
+                    own, i = counts_of(text, bits), m.langs.index(lang)
+                    at = np.flatnonzero(own)
+                    n = own[at]
+                    rest = np.maximum(np.exp(m.log_prob[at, i].astype(np.float64)) * m.totals[i] - n, alpha)
+                    out.append((lang, float((n * np.log(rest / (m.totals[i] - n.sum()))).sum() / n.sum())))
+            yield pd.DataFrame(out, columns=["lang", "mean"])
+
+    means = _sample(train, train_rows).mapInPandas(run, "lang string, mean double")
+    found = {
+        r["lang"]: r["q"] for r in means.groupBy("lang").agg(F.percentile_approx("mean", [0.01, 0.5], 10_000).alias("q")).collect()
+    }
+    low, mid = (np.array([found[x][j] for x in model.langs]) for j in (0, 1))
+    log_p = model.log_prob.astype(np.float64)
+    p = np.exp(log_p)
+    return replace(model, least=low - (mid - low) / 2, spread=np.sqrt((p * log_p**2).sum(0) - (p * log_p).sum(0) ** 2))
 
 
 def predict(docs: DataFrame, model: Model, key: list[str]) -> DataFrame:
@@ -159,17 +215,22 @@ def identify(docs: DataFrame, train_rows: int = TRAIN_ROWS) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame, min_score: float = 0.5, train_rows: int = TRAIN_ROWS) -> DataFrame:
-    """``docs`` without the rows whose language is rejected: ``und``, or a
-    posterior under ``min_score``.  All columns of ``docs`` stay."""
+    """``docs`` without the rows whose language is rejected: ``und``, a
+    posterior under ``min_score``, or grams too unlikely in every language
+    learned.  All columns of ``docs`` stay."""
     spark = docs.sparkSession
-    model = fit(docs.filter(~is_held_out()), train_rows=train_rows)
+    train = docs.filter(~is_held_out())
+    model = bounded(fit(train, train_rows=train_rows), train, train_rows)
     sent = spark.sparkContext.broadcast(pickle.dumps(model))
     at = docs.columns.index("text")
 
     def run(batches):
         m = pickle.loads(sent.value)
         for b in batches:
-            got = [m.score(t) for t in b.column(at).to_pylist()]
-            yield b.filter(pa.array([g[0] != UND and g[1] >= min_score for g in got], pa.bool_()))
+            kept = []
+            for t in b.column(at).to_pylist():
+                lang, score = m.score(t)
+                kept.append(lang != UND and score >= min_score and m.plausible(t, lang))
+            yield b.filter(pa.array(kept, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -130,6 +130,18 @@ def test_language_edges(spark):
     assert {r["lang_pred"] for r in langid.identify(unlabelled).collect()} == {"und"}
 
 
+def test_texts_of_no_learned_language_go(spark, small):
+    given = spark.read.parquet(f"{small}/documents.parquet")
+    letters = np.random.default_rng(0).choice(list("abcdefghijklmnopqrstuvwxyz     "), 400)
+    go = ["qzx wvk jjpq xxrtw kkzq vbnm qwrtz", "".join(letters), "これは日本語の文章です", "Это предложение на русском языке", "Ovo je rečenica na jeziku koji nije naučen"]
+    stay = ["That it.", "The and of the.", "There and that is to the of in."]
+    planted = [(10**9 + i, t, None, "s", len(t)) for i, t in enumerate(go + stay)]
+    got = by_id(langid.keep_identified(given.select("doc_id", "text", "lang", "source", "n_chars").unionByName(spark.createDataFrame(planted, DOCS))))
+    assert [i for i in range(len(planted)) if 10**9 + i in got] == list(range(len(go), len(planted)))
+    wordy = given.filter("text RLIKE '[a-z]'").count()
+    assert len(got) - len(stay) >= 0.995 * wordy
+
+
 def test_slices_count_every_gram():
     text = "abcdefg" * 1000
     whole = langid.counts_of(text)

@@ -1,11 +1,14 @@
 """Benchmark decontamination by a broadcast set of normalised test n-grams.
 
 The benchmark's windows (``n`` consecutive words; an item with fewer is one
-window of its own length) go to every executor behind a check of their size; a
-benchmark above the bound is taken in blocks, one scan each, and the blocks'
-hits are merged by document.  A document's words are mapped to the benchmark's
-vocabulary; only runs of known words are hashed, looked up and then verified
-word by word.
+window of its own length) go to every executor as sorted hashes with the place
+of each window among the items' word numbers, about 24 bytes a word and the
+vocabulary.  The benchmark is measured first: one above ``BLOCK_BYTES`` of text
+is taken in blocks, gathered, scanned and released one after the other, and the
+hits of all blocks are merged by row before anything is decided or cut, so the
+number of blocks never changes a result.  A document's words are mapped to the
+benchmark's vocabulary; only runs of known words are hashed, looked up and then
+verified word by word.
 
 Defined results: null or wordless texts have no words and are clean; items
 without words have no windows; repeated items count once per distinct item_id;
@@ -29,7 +32,7 @@ from . import common
 
 N = 10
 #: Bytes of benchmark text in one broadcast block.
-BLOCK_BYTES = 64 << 20
+BLOCK_BYTES = 16 << 20
 #: A document with at least this share of hit words is dropped, else its spans go.
 DROP_SHARE = 0.8
 
@@ -50,35 +53,41 @@ class Grams:
 
     def __init__(self, items: list[tuple[str, str | None]], n: int = N):
         self.vocab: dict[bytes, int] = {}
-        self.windows: dict[int, dict[bytes, list[str]]] = {}
+        self.names = sorted({item for item, _ in items})
+        name_at = {x: i for i, x in enumerate(self.names)}
+        ids, starts, owners, sizes, end = [], [], [], [], 0
         for item, text in items:
             w = words_of(text)
             if not w:
                 continue
-            for x in w:
-                self.vocab.setdefault(x, len(self.vocab) + 1)
+            ids.append(np.array([self.vocab.setdefault(x, len(self.vocab) + 1) for x in w], np.int32))
             size = min(n, len(w))
-            known = self.windows.setdefault(size, {})
-            for i in range(len(w) - size + 1):
-                owners = known.setdefault(b" ".join(w[i : i + size]), [])
-                if item not in owners:
-                    owners.append(item)
-        self.hashes = {
-            size: np.unique(
-                np.array(
-                    [self._roll(np.array([self.vocab[x] for x in k.split(b" ")], np.uint64), size)[0] for k in known],
-                    np.uint64,
-                )
-            )
-            for size, known in self.windows.items()
-        }
+            m = len(w) - size + 1
+            starts.append(np.arange(end, end + m))
+            owners.append(np.full(m, name_at[item], np.int32))
+            sizes.append(np.full(m, size, np.int16))
+            end += len(w)
+        join = lambda xs, t: np.concatenate(xs) if xs else np.empty(0, t)
+        self.ids = join(ids, np.int32)
+        start, owner, length = join(starts, np.int64), join(owners, np.int32), join(sizes, np.int16)
+        #: size -> hashes (sorted), place of each window, and its owners from one offset to the next
+        self.windows: dict[int, tuple[np.ndarray, ...]] = {}
+        for size in np.unique(length).tolist():
+            at, own = start[length == size], owner[length == size]
+            _, first, same = np.unique(self.ids[at[:, None] + np.arange(size)], axis=0, return_index=True, return_inverse=True)
+            hashes = self._roll(self.ids, at[first], size)
+            order = np.argsort(hashes, kind="stable")
+            rank = np.empty(len(order), np.int64)
+            rank[order] = np.arange(len(order))
+            pairs = np.unique(rank[same.reshape(-1)] * len(self.names) + own)
+            offsets = np.searchsorted(pairs, np.arange(len(order) + 1) * len(self.names))
+            self.windows[size] = hashes[order], at[first][order], offsets, (pairs % len(self.names)).astype(np.int32)
 
     @staticmethod
-    def _roll(ids: np.ndarray, size: int) -> np.ndarray:
-        m = len(ids) - size + 1
-        acc = np.zeros(m, np.uint64)
+    def _roll(ids: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
+        acc = np.zeros(len(at), np.uint64)
         for j in range(size):
-            acc = acc * _MULT + ids[j : j + m]
+            acc = acc * _MULT + ids[at + j].astype(np.uint64)
         return acc
 
     def hits(self, w: list[bytes]) -> tuple[np.ndarray, set[str]]:
@@ -87,35 +96,43 @@ class Grams:
         if not w or not self.windows:
             return hit, found
         get = self.vocab.get
-        ids = np.array([get(x, 0) for x in w], np.uint64)
+        ids = np.array([get(x, 0) for x in w], np.int32)
         known = np.concatenate(([0], np.cumsum(ids > 0)))
-        for size, table in self.windows.items():
+        for size, (hashes, places, offsets, owners) in self.windows.items():
             if len(w) < size:
                 continue
             at = np.flatnonzero(known[size:] - known[:-size] == size)
             if not len(at):
                 continue
-            acc = np.zeros(len(at), np.uint64)
-            for j in range(size):
-                acc = acc * _MULT + ids[at + j]
-            near = self.hashes[size]
-            at = at[near[np.minimum(np.searchsorted(near, acc), len(near) - 1)] == acc]
-            for i in at.tolist():
-                owners = table.get(b" ".join(w[i : i + size]))
-                if owners:
-                    hit[i : i + size] = True
-                    found.update(owners)
+            acc = self._roll(ids, at, size)
+            slot = np.searchsorted(hashes, acc)
+            span = np.arange(size)
+            while len(at):  # once more for every window that shares the hash
+                on = slot < len(hashes)
+                on[on] = hashes[slot[on]] == acc[on]
+                at, acc, slot = at[on], acc[on], slot[on]
+                same = (ids[at[:, None] + span] == self.ids[places[slot][:, None] + span]).all(1)
+                hit[(at[same][:, None] + span).ravel()] = True
+                for k in np.unique(slot[same]).tolist():
+                    found.update(self.names[o] for o in owners[offsets[k] : offsets[k + 1]].tolist())
+                slot = slot + 1
         return hit, found
 
 
-def _blocks(benchmark: DataFrame, block_bytes: int) -> Iterator[list[tuple[str, str]]]:
-    """The benchmark in driver-sized blocks; its size is measured first."""
-    items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), F.col("text").alias("t"))
+def _blocks(benchmark: DataFrame, block_bytes: int, n: int) -> Iterator[Grams]:
+    """The benchmark in blocks of a size measured first, one at a time."""
+    items = benchmark.select(
+        F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), F.col("text").alias("t")
+    ).distinct()
     total = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    n = -(-total // block_bytes) if total else 1
-    for k in range(n):
-        part = items if n == 1 else items.filter(F.pmod(F.xxhash64("i", "t"), F.lit(n)) == k)
-        yield [tuple(r) for r in part.collect()]
+    parts = max(1, -(-total // block_bytes))
+    for k in range(parts):
+        part = items if parts == 1 else items.filter(F.pmod(F.xxhash64("i", "t"), F.lit(parts)) == k)
+        yield Grams([tuple(r) for r in part.collect()], n)
+
+
+def _single(benchmark: DataFrame, block_bytes: int) -> bool:
+    return (benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0) <= block_bytes
 
 
 def annotate(docs: DataFrame, benchmark: DataFrame, n: int = N, block_bytes: int = BLOCK_BYTES) -> DataFrame:
@@ -123,9 +140,8 @@ def annotate(docs: DataFrame, benchmark: DataFrame, n: int = N, block_bytes: int
     spark = docs.sparkSession
     common.tune_arrow(spark)
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    blocks = list(_blocks(benchmark, block_bytes))
-    if len(blocks) == 1:
-        sent = spark.sparkContext.broadcast(pickle.dumps(Grams(blocks[0], n)))
+    if _single(benchmark, block_bytes):
+        sent = spark.sparkContext.broadcast(pickle.dumps(next(_blocks(benchmark, block_bytes, n))))
 
         def run(batches):
             grams = pickle.loads(sent.value)
@@ -144,31 +160,35 @@ def annotate(docs: DataFrame, benchmark: DataFrame, n: int = N, block_bytes: int
         out = base.mapInArrow(run, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string")
         return out.withColumn("contaminated", F.col("n_hit") > 0)
 
-    # Several blocks: each scan emits hit words and items, merged per document row.
-    keyed = base.withColumn("k", F.xxhash64("text"))
-    parts = None
-    for block in blocks:
-        sent = spark.sparkContext.broadcast(pickle.dumps(Grams(block, n)))
-        part = keyed.mapInArrow(_scan(sent), "doc_id long, k long, hit array<int>, found array<string>")
-        parts = part if parts is None else parts.unionByName(part)
-    # one document's hits, bounded by its length; repeated rows merge to the same sets
-    merged = parts.groupBy("doc_id", "k").agg(
-        F.size(F.array_distinct(F.flatten(F.collect_set("hit")))).cast("long").alias("n_hit"),
-        F.array_sort(F.array_distinct(F.flatten(F.collect_set("found")))).alias("found"),
-    )
-    joined = keyed.join(
-        merged.withColumnRenamed("doc_id", "d").withColumnRenamed("k", "kk"),
-        F.col("doc_id").eqNullSafe(F.col("d")) & F.col("k").eqNullSafe(F.col("kk")),
-        "left",
-    )
+    rows = common.cut(base.withColumn("_row", F.monotonically_increasing_id()), spark, "numbered")
+    merged = _merged(rows, benchmark, block_bytes, n)
     n_words = F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(r"([^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+)"), 1))
-    return joined.select(
+    return rows.join(merged, "_row", "left").select(
         "doc_id",
         n_words.cast("long").alias("n_words"),
-        F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"),
+        F.coalesce(F.size("hit"), F.lit(0)).cast("long").alias("n_hit"),
         F.coalesce(F.size("found"), F.lit(0)).cast("long").alias("n_items"),
         F.sha2(F.concat_ws(",", F.coalesce("found", F.array().cast("array<string>"))), 256).alias("items_sha256"),
-        (F.coalesce("n_hit", F.lit(0)) > 0).alias("contaminated"),
+        (F.coalesce(F.size("hit"), F.lit(0)) > 0).alias("contaminated"),
+    )
+
+
+def _merged(rows: DataFrame, benchmark: DataFrame, block_bytes: int, n: int) -> DataFrame:
+    """``_row, hit, found`` of the rows ``(_row, text)`` that any block hits.
+
+    Each block's scan is written and its broadcast released before the next
+    block is gathered."""
+    spark, parts = rows.sparkSession, None
+    for grams in _blocks(benchmark, block_bytes, n):
+        sent = spark.sparkContext.broadcast(pickle.dumps(grams))
+        found = rows.select("_row", "text").mapInArrow(_scan(sent), "_row long, hit array<int>, found array<string>")
+        found = common.cut(found, spark, "block-hits")
+        sent.destroy()
+        parts = found if parts is None else parts.unionByName(found)
+    # one row's hits, bounded by its length
+    return parts.groupBy("_row").agg(
+        F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"),
+        F.array_sort(F.array_distinct(F.flatten(F.collect_list("found")))).alias("found"),
     )
 
 
@@ -176,20 +196,34 @@ def _scan(sent):
     def run(batches):
         grams = pickle.loads(sent.value)
         for b in batches:
-            out = [], [], [], []
-            for d, t, k in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+            out = [], [], []
+            for row, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 hit, found = grams.hits(words_of(t))
                 if found:
-                    for col, v in zip(out, (d, k, np.flatnonzero(hit).tolist(), sorted(found)), strict=True):
+                    for col, v in zip(out, (row, np.flatnonzero(hit).tolist(), sorted(found)), strict=True):
                         col.append(v)
-            types = (pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.string()))
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(c, t) for c, t in zip(out, types, strict=True)], ["doc_id", "k", "hit", "found"]
-            )
+            types = (pa.int64(), pa.list_(pa.int32()), pa.list_(pa.string()))
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], ["_row", "hit", "found"])
 
     return run
 
 
+def cut_spans(text: str, hit: np.ndarray) -> str:
+    """``text`` without the words that ``hit`` marks and what stands between them."""
+    spans = [m.span() for m in _WORD.finditer(_lower(text))]
+    out, at, i = [], 0, 0
+    while i < len(hit):
+        if hit[i]:
+            j = i
+            while j + 1 < len(hit) and hit[j + 1]:
+                j += 1
+            out.append(text[at : spans[i][0]])
+            at = spans[j][1]
+            i = j
+        i += 1
+    return "".join(out) + text[at:]
+
+
 def clean_text(text: str, grams: Grams, drop_share: float = DROP_SHARE) -> str | None:
     """``text`` without the spans of its hit words; null if it is mostly hits.
 
@@ -202,23 +236,10 @@ def clean_text(text: str, grams: Grams, drop_share: float = DROP_SHARE) -> str |
         hit, found = grams.hits(w)
         if not found:
             return text
-        if first is None:
-            first = len(w)
-        spans = [m.span() for m in _WORD.finditer(_lower(text))]
-        left = len(w) - int(hit.sum())
-        if left <= (1 - drop_share) * first:
+        first = first or len(w)
+        if len(w) - int(hit.sum()) <= (1 - drop_share) * first:
             return None
-        out, at, i = [], 0, 0
-        while i < len(w):
-            if hit[i]:
-                j = i
-                while j + 1 < len(w) and hit[j + 1]:
-                    j += 1
-                out.append(text[at : spans[i][0]])
-                at = spans[j][1]
-                i = j
-            i += 1
-        text = "".join(out) + text[at:]
+        text = cut_spans(text, hit)
 
 
 _UPPER = {c: c + 32 for c in range(65, 91)}
@@ -236,20 +257,62 @@ def remove(
     spark = docs.sparkSession
     common.tune_arrow(spark)
     at, schema = docs.columns.index("text"), docs.schema
-    for block in _blocks(benchmark, block_bytes):
-        sent = spark.sparkContext.broadcast(pickle.dumps(Grams(block, n)))
+    if not _single(benchmark, block_bytes):
+        return _remove_in_blocks(docs, benchmark, n, drop_share, block_bytes)
+    sent = spark.sparkContext.broadcast(pickle.dumps(next(_blocks(benchmark, block_bytes, n))))
 
-        def run(batches, sent=sent):
-            grams = pickle.loads(sent.value)
-            for b in batches:
-                texts = b.column(at).to_pylist()
-                new = [t if t is None else clean_text(t, grams, drop_share) for t in texts]
-                keep = pa.array([a is None or c is not None for a, c in zip(texts, new, strict=True)])
-                cols = [pa.array(new, pa.string()) if i == at else c for i, c in enumerate(b.columns)]
-                yield pa.RecordBatch.from_arrays(cols, b.schema.names).filter(keep)
-
-        docs = docs.mapInArrow(run, schema)
-    return docs
+    def run(batches):
+        grams = pickle.loads(sent.value)
+        for b in batches:
+            texts = b.column(at).to_pylist()
+            new = [t if t is None else clean_text(t, grams, drop_share) for t in texts]
+            keep = pa.array([a is None or c is not None for a, c in zip(texts, new, strict=True)], pa.bool_())
+            cols = [pa.array(new, pa.string()) if i == at else c for i, c in enumerate(b.columns)]
+            yield pa.RecordBatch.from_arrays(cols, b.schema.names).filter(keep)
+
+    return docs.mapInArrow(run, schema)
+
+
+def _remove_in_blocks(docs: DataFrame, benchmark: DataFrame, n: int, drop_share: float, block_bytes: int) -> DataFrame:
+    """The same rounds as ``clean_text``, each over all blocks: scan, merge the
+    hits of a row, drop or cut it.  Only rows that were cut are scanned again."""
+    spark, names = docs.sparkSession, docs.columns
+    # own names, so that no column of the input clashes
+    rows = docs.select(
+        F.monotonically_increasing_id().alias("_row"), F.col("text").alias("text"), *[F.col(f"`{c}`").alias(f"_x{i}") for i, c in enumerate(names) if c != "text"]
+    )
+    rows = common.cut(rows, spark, "numbered")
+    active, done, cuts = rows.select("_row", "text", F.lit(0).alias("first")), None, 0
+
+    def cut_rows(batches):
+        for b in batches:
+            out = [], [], []
+            for row, t, first, hit in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+                mark = np.zeros(len(words_of(t)), bool)
+                mark[hit] = True
+                first = first or len(mark)
+                left = len(mark) - int(mark.sum())
+                for col, v in zip(out, (row, None if left <= (1 - drop_share) * first else cut_spans(t, mark), first), strict=True):
+                    col.append(v)
+            types = (pa.int64(), pa.string(), pa.int32())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], ["_row", "text", "first"])
+
+    while True:
+        hits = common.cut(_merged(active, benchmark, block_bytes, n), spark, "merged-hits")
+        if cuts:  # cut rows that are hit no more
+            settled = active.join(hits, "_row", "left_anti").select("_row", F.col("text").alias("_new"))
+            done = settled if done is None else done.unionByName(settled)
+        if not hits.limit(1).count():
+            break
+        changed = active.join(hits, "_row").select("_row", "text", "first", "hit").mapInArrow(cut_rows, "_row long, text string, first int")
+        active, cuts = common.cut(changed, spark, "cut-rows"), cuts + 1
+    if done is None:
+        return docs
+    kept = rows.join(done.withColumn("_cut", F.lit(True)), "_row", "left")
+    text = F.when(F.col("_cut"), F.col("_new")).otherwise(F.col("text"))
+    return kept.filter("_cut IS NULL OR _new IS NOT NULL").select(
+        *[(text if c == "text" else F.col(f"_x{i}")).alias(c) for i, c in enumerate(names)]
+    )
 
 
 ORACLE = r"""

@@ -110,6 +110,30 @@ def test_spans_go_and_clean_rows_stay(spark):
     assert decontaminate.remove(rows.limit(0), _bench(spark)).count() == 0
 
 
+@pytest.mark.parametrize("block_bytes", [10**9, 40])
+def test_blocks_never_change_a_removal(spark, block_bytes):
+    """Words that a cut brings together are seen by every block, and the drop share is the document's."""
+    a, b = ([f"{x}{i}" for i in range(10)] for x in "ab")
+    bench = spark.createDataFrame([(1, " ".join(a)), (2, " ".join(b)), (None, "null item here"), (2, " ".join(b))], "item_id long, text string")
+    good = [f"g{i}" for i in range(60)]
+    nested = a[:5] + b + a[5:]  # item 1 stands only after item 2 is cut
+    rows = docs(spark, [(1, " ".join(good + nested + good)), (2, " ".join(a + b)), (3, " ".join(good)), (4, None), (5, " ".join(nested)), (6, "x null item here"), (6, "x null item here")])
+    rows = rows.withColumn("_row", F.lit("clash")).withColumn("hit", F.lit(7))
+    out = decontaminate.remove(rows, bench, block_bytes=block_bytes)
+    got = {r["doc_id"]: (r["text"] or "").split() if r["text"] is not None else None for r in out.collect()}
+    assert out.columns == rows.columns and {r["_row"] for r in out.collect()} == {"clash"}
+    assert got == {1: good + good, 3: good, 4: None, 6: ["x"]}
+    assert out.filter("doc_id = 6").count() == 2
+    marks = decontaminate.annotate(rows, bench, block_bytes=block_bytes)
+    assert {r["doc_id"]: r["n_items"] for r in marks.collect()} == {1: 1, 2: 2, 3: 0, 4: 0, 5: 1, 6: 1}
+
+
+def test_a_short_item_owned_by_many():
+    grams = decontaminate.Grams([(str(i), "hot words") for i in range(20_000)])
+    hit, found = grams.hits([b"hot", b"words", b"hot"])
+    assert hit.tolist() == [True, True, False] and len(found) == 20_000 and len(grams.windows[2][0]) == 1
+
+
 # 3 language ID ------------------------------------------------------------------------------
 
 

@@ -5,23 +5,31 @@ driver.  Arrivals are appended as small immutable shards, one run per feed and
 append.  Shard files below the target size form tiers by their size (powers of
 ``fanout`` over a floor), whatever the size of their run; a tier with ``fanout``
 files or more is merged by narrow reads, without a shuffle, into files of the
-target size, or into one smaller file that joins a higher tier.
-Every change is a new manifest version, written aside and renamed in one step;
-readers take the newest version and see only whole runs.  A writer that finds
-its version taken fails and leaves the table as it was.
+target size, or into one smaller file that joins a higher tier.  A merge step
+takes at most ``MERGE_FILES`` target files; the next step goes on with the rest.
+
+Every change is a new manifest version, written aside and published by a rename
+that fails if the version exists; readers see only whole runs.  (A store without
+an atomic rename needs a committer of its own in ``_publish``.)  Folders have
+unique names, so what a crashed writer left behind blocks nobody.  A writer that
+finds its version taken fails and leaves the table as it was.  Files are deleted
+by ``vacuum`` only: until then every older version stays readable.
 
 Defined results: null feeds form a feed of their own; null and empty texts are
 kept as they are; repeated rows are kept as often as they come; an empty arrival
-commits a version without new runs; extra columns are stored, and a column that
-has the name of the feed's partition column is kept beside it.
+commits a version without new runs; extra columns are stored whatever their
+names; an empty store reads as an empty table.
 """
 
 from __future__ import annotations
 
 import json
 import math
+import re
+import uuid
 from dataclasses import asdict, dataclass, replace
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -33,7 +41,6 @@ FANOUT = 4
 FLOOR_BYTES = 1 << 20
 #: Files that one merge writes at most; a full tier beyond takes several merges.
 MERGE_FILES = 32
-_FEED = "__feed__"
 
 
 @dataclass(frozen=True)
@@ -80,18 +87,30 @@ class ShardStore:
 
     def commit(self, runs: list[Run], base: int) -> int:
         """Publish ``runs`` as version ``base + 1``; fails if that exists."""
-        final = self._path(f"{self.root}/manifest/v{base + 1:010d}.json")
-        aside = self._path(f"{self.root}/manifest/.tmp-{self._jvm.java.util.UUID.randomUUID().toString()}")
+        aside = self._path(f"{self.root}/manifest/.tmp-{uuid.uuid4().hex}")
         out = self._fs.create(aside, False)
         try:
             out.write(json.dumps({"version": base + 1, "runs": [asdict(r) for r in runs]}).encode())
         finally:
             out.close()
-        if self._fs.exists(final) or not self._fs.rename(aside, final):
+        if not self._publish(aside, self._path(f"{self.root}/manifest/v{base + 1:010d}.json")):
             self._fs.delete(aside, False)
             raise RuntimeError(f"version {base + 1} was committed by another writer")
         return base + 1
 
+    def _publish(self, aside, final) -> bool:
+        """Rename that never replaces what is there."""
+        conf = self.spark.sparkContext._jsc.hadoopConfiguration()
+        options = self.spark.sparkContext._gateway.new_array(self._jvm.org.apache.hadoop.fs.Options.Rename, 0)
+        try:
+            files = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._fs.getUri(), conf)
+            files.rename(self._fs.makeQualified(aside), self._fs.makeQualified(final), options)
+        except Py4JJavaError as e:
+            if "FileAlreadyExists" in e.java_exception.getClass().getName():
+                return False
+            raise
+        return True
+
     def _version(self) -> int:
         known = self.versions()
         return known[-1] if known else 0
@@ -101,13 +120,16 @@ class ShardStore:
     def append(self, df: DataFrame, feed: Column | None = None) -> int:
         """One immutable run per feed (null feeds are one), no shuffle."""
         base, known = self._version(), self.runs()
-        batch = f"{self.root}/runs/a{base + 1:010d}"
+        batch = f"{self.root}/runs/a{base + 1:010d}-0-{uuid.uuid4().hex}"
+        taken, part = {c.lower() for c in df.columns}, "__feed__"
+        while part in taken:  # names are compared without case
+            part += "_"
         name = F.lit("all") if feed is None else F.coalesce(feed.cast("string"), F.lit("__null__"))
-        df.withColumn(_FEED, name).write.partitionBy(_FEED).parquet(batch)
+        df.withColumn(part, name).write.partitionBy(part).parquet(batch)
         new = []
         for s in self._fs.listStatus(self._path(batch)):
             folder = s.getPath().getName()
-            if folder.startswith(f"{_FEED}="):
+            if folder.startswith(f"{part}="):
                 new.append(self._run(f"a{base + 1}/{folder.split('=', 1)[1]}", f"{batch}/{folder}", 0))
         return self.commit(known + sorted(new, key=lambda r: r.name), base)
 
@@ -122,8 +144,10 @@ class ShardStore:
     def tier(self, size: int) -> int:
         return 0 if size <= FLOOR_BYTES else 1 + int(math.log(size / FLOOR_BYTES, self.fanout))
 
-    def compact(self, schema, drop_merged: bool = True) -> int:
-        """Merge full tiers until none is left; each merge is one version."""
+    def compact(self, schema) -> int:
+        """Merge full tiers until none is left; each merge is one version.
+
+        Merged files stay for the readers of older versions; see ``vacuum``."""
         while True:
             base, runs = self._version(), self.runs()
             tiers: dict[int, list[tuple[str, int]]] = {}
@@ -144,14 +168,18 @@ class ShardStore:
                 if files:
                     kept.append(replace(r, bytes=sum(n for _, n in files), files=files))
             self.commit([*kept, self._merge(bins, base + 1, level + 1, schema)], base)
-            if drop_merged:  # after the commit: a failed merge leaves the old files readable
-                live = {r.path for r in kept}
-                for r in runs:
-                    if r.path not in live:
-                        self._fs.delete(self._path(r.path), True)
-                for f in gone:
-                    if f.rsplit("/", 1)[0] in live:
-                        self._fs.delete(self._path(f), False)
+
+    def vacuum(self, keep: int = 1) -> int:
+        """Forget all but the newest ``keep`` versions and delete the files that
+        only the forgotten ones named; returns how many files went."""
+        known = self.versions()
+        old, live = known[:-keep], {f"{r.path}/{f[0]}" for v in known[-keep:] for r in self.runs(v) for f in r.files}
+        gone = {f"{r.path}/{f[0]}" for v in old for r in self.runs(v) for f in r.files} - live
+        for v in old:  # a version goes before its files, so none is ever half there
+            self._fs.delete(self._path(f"{self.root}/manifest/v{v:010d}.json"), False)
+        for f in gone:
+            self._fs.delete(self._path(f), False)
+        return len(gone)
 
     def _bins(self, group: list[tuple[str, int]]) -> list[list[str]]:
         """Files to be merged into one each: of target size, but for a last one.
@@ -169,7 +197,7 @@ class ShardStore:
 
     def _merge(self, bins: list[list[str]], version: int, level: int, schema) -> Run:
         """One task and one file for each bin; nothing is shuffled."""
-        path = f"{self.root}/runs/m{version:010d}"
+        path = f"{self.root}/runs/m{version:010d}-{level}-{uuid.uuid4().hex}"
         out = None
         for b in bins:
             part = self.spark.read.schema(schema).parquet(*b).coalesce(1)
@@ -189,16 +217,20 @@ class ShardStore:
 
     # reading ------------------------------------------------------------
 
-    def read(self, schema, version: int | None = None) -> DataFrame:
-        """All rows of a version, with the run's level and name as ``_level`` and ``_run``."""
-        out = None
-        for r in self.runs(version):
-            part = self.spark.read.schema(schema).parquet(*[f"{r.path}/{file}" for file, _ in r.files])
-            part = part.withColumn("_level", F.lit(r.level)).withColumn("_run", F.lit(r.name))
-            out = part if out is None else out.unionByName(part)
-        if out is None:
-            out = self.spark.createDataFrame([], schema).withColumn("_level", F.lit(0)).withColumn("_run", F.lit(""))
-        return out
+    def read(self, schema, version: int | None = None, origin: str | None = None) -> DataFrame:
+        """All rows of a version, in one scan of its files.
+
+        ``origin`` names a struct column (level, batch) to be added, which says
+        in what merge or append a row was written last."""
+        if origin and origin.lower() in {f.name.lower() for f in schema.fields}:
+            raise ValueError(f"the table has a column {origin}")
+        files = [f"{r.path}/{file}" for r in self.runs(version) for file, _ in r.files]
+        out = self.spark.read.schema(schema).parquet(*files) if files else self.spark.createDataFrame([], schema)
+        if not origin:
+            return out
+        at = re.escape(f"{self.root.rsplit('/', 1)[-1]}/runs/")
+        part = lambda i: F.regexp_extract(F.input_file_name(), rf"{at}([am]\d+)-(\d+)-", i)
+        return out.withColumn(origin, F.struct(part(2).cast("int").alias("level"), part(1).alias("batch")))
 
 
 def compact_documents(docs: DataFrame, feed: str = "source", target_bytes: int = TARGET_BYTES, fanout: int = FANOUT) -> DataFrame:

@@ -47,6 +47,39 @@ def cut(df: DataFrame, spark: SparkSession, purpose: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Words of 64 bits in the bitmap that ``may_be_in`` sends, its bound at any size.
+BITMAP_WORDS = 1 << 19
+
+
+def free_name(name: str, *frames: DataFrame) -> str:
+    """``name``, lengthened until no column of ``frames`` has it."""
+    taken = {c.lower() for df in frames for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def may_be_in(rows: DataFrame, key: str, ids: DataFrame, flag: str) -> DataFrame:
+    """``rows`` with a boolean ``flag`` that is true wherever ``key`` is among
+    the values of the only column of ``ids``, and rarely elsewhere.
+
+    The values are hashed to a bitmap of ``BITMAP_WORDS`` words, summed on the
+    executors and broadcast, so rows that a join would drop need not be shuffled
+    for it.  Far more values than bits prune less; the join decides in any case.
+    """
+    bits = BITMAP_WORDS * 64
+    at = lambda c: F.pmod(F.xxhash64(F.col(f"`{c}`").cast("string")), F.lit(bits))
+    mask = lambda bit: F.expr(f"shiftleft(1L, cast({bit} % 64 AS int))")
+    word, held, bit = (free_name(n, rows) for n in ("_word", "_held", "_bit"))
+    table = (
+        ids.select(at(ids.columns[0]).alias("bit"))
+        .groupBy(F.expr("bit div 64").alias(word))
+        .agg(F.bit_or(mask("bit")).alias(held))
+    )
+    probed = rows.withColumn(bit, at(key)).withColumn(word, F.expr(f"{bit} div 64")).join(F.broadcast(table), word, "left")
+    return probed.withColumn(flag, F.coalesce(F.col(held).bitwiseAND(mask(bit)) != 0, F.lit(False))).select(*[f"`{c}`" for c in rows.columns], flag)
+
+
 def delete_path(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     p = jvm.org.apache.hadoop.fs.Path(path)

@@ -348,10 +348,37 @@ def test_components_equal_brute_force(spark, k, percent, limit):
     assert all(r["kept"] == (r["doc_id"] == r["component_id"]) for r in got)
 
 
+@pytest.mark.parametrize("limit", [10_000, 3])
+def test_a_doc_id_with_several_texts_is_one_document(spark, limit):
+    rng = np.random.default_rng(8)
+    base = [[f"s{i}" for i in rng.integers(0, 10**6, 150)] for _ in range(3)]
+    near = lambda w, k: " ".join([*w[:-1], f"end{k}"])
+    rows = [(5, near(base[0], 1)), (5, near(base[1], 1)), (5, near(base[1], 1)), (3, near(base[0], 2)), (9, near(base[1], 2)), (7, near(base[2], 1)), (4, near(base[2], 1)), (7, near(base[0], 9))]
+    got = neardup.components(docs(spark, rows), cluster_docs=limit).collect()
+    assert {(r["doc_id"], r["component_id"]) for r in got} == {(d, 3) for d in (5, 3, 9, 7, 4)} and len(got) == len(rows)
+
+
+def test_a_large_cluster_takes_few_rounds(spark, monkeypatch):
+    """All near copies of one text are reached by the first block."""
+    rng = np.random.default_rng(9)
+    base = [f"w{i}" for i in rng.integers(0, 10**6, 300)]
+    rows = [(d, " ".join([*base, f"e{d}"])) for d in range(120)]
+    made, cut = [], common.cut
+    monkeypatch.setattr(common, "cut", lambda df, s, why: made.append(why) or cut(df, s, why))
+    got = neardup.components(docs(spark, rows), cluster_docs=10, block=8).collect()
+    assert {r["component_id"] for r in got} == {0} and made.count("neardup-large") == 3
+    # a block bounded by bytes asks at least one member
+    got = neardup.components(docs(spark, rows[:12]), cluster_docs=10, block_bytes=1).collect()
+    assert {r["component_id"] for r in got} == {0}
+
+
 def test_near_duplicate_edges(spark):
-    df = docs(spark, [(1, "a b c d e f"), (1, "a b c d e f"), (2, "a b c d e f"), (3, None), (3, None)])
-    assert sorted(r["doc_id"] for r in neardup.keep_first(df).collect()) in ([1, 3], [1, 3, 3])
-    assert neardup.components(df.limit(0)).count() == 0
+    df = docs(spark, [(1, "a b c d e f"), (1, "a b c d e f"), (2, "a b c d e f"), (3, None), (3, None), (None, "a b c d e f"), (6, "one text"), (6, None), (6, "one text"), (6, "another text")])
+    df = df.withColumn("_id", F.lit(0)).withColumn("_maybe", F.lit("clash"))
+    kept = neardup.keep_first(df)
+    assert kept.columns == df.columns
+    assert sorted(((r["doc_id"], r["text"]) for r in kept.collect()), key=repr) == sorted([(1, "a b c d e f"), (3, None), (3, None), (None, "a b c d e f"), (6, "one text"), (6, None), (6, "another text")], key=repr)
+    assert neardup.components(df.limit(0)).count() == 0 and neardup.keep_first(df.limit(0)).count() == 0
 
 
 def test_sketches_merge_and_estimate():

@@ -1,7 +1,9 @@
 """Embedding near-duplicates by product quantisation.
 
 1. One pass checks each vector and digests its bytes; equal vectors of a label
-   are copies and only the smallest vec_id of each goes on.
+   are one node, and only one row of each node goes on (rows that a bounded
+   bitmap rules out are not exchanged for it).  Vectors travel in the precision
+   in which they are given and are compared in double precision.
 2. Coarse cells (k-means on a bounded sample), ordered so that neighbours follow
    each other and joined to regions, split every label into inverted lists; a
    vector lies in the list of its nearest cell and asks every cell that can hold
@@ -14,7 +16,10 @@
    (asymmetric distances); as each code keeps its own reconstruction error, the
    triangle inequality rules a vector out exactly, and what is left is reranked
    by the exact cosine in double precision.
-4. Links between first copies give degrees (weighted by copies) and components.
+4. Links are counted where they are found: a task passes on, for each block of a
+   list, one partial count per node and an edge to the smallest node that it is
+   connected with there, never the links themselves, so what is exchanged grows with the nodes asked and not
+   with the square of a group.
 
 The index is fitted on at most ``SAMPLE_ROWS`` vectors and holds every vector;
 the fit decides the cost, never the links found.  Vectors without structure are
@@ -22,7 +27,8 @@ asked of nearly all lists of their label, so their cost grows with its square.
 
 Defined results: vectors that are null, empty, zero, or hold null or non-finite
 components, and rows with a null label, link with nothing; vectors of different
-dimension never link; a repeated row counts as a copy; a null vec_id has a null
+dimension never link; a repeated row counts as a copy; rows that share a vec_id
+but not the vector or label have each their own links; a null vec_id has a null
 component and is kept.  Extra columns of the input are not read.
 """
 
@@ -46,30 +52,38 @@ MAX_CELLS = 4_096
 CELL_ROWS = 256
 #: Added to every bound on a distance, far above what rounding can lose.
 SLACK = 1e-6
-#: Links held before they are passed on.
-PAIR_ROWS = 1 << 18
-LIST_ROWS = 4_096
+LIST_ROWS = 8_192
+#: Questions to a block whose counts are held before they are passed on.
+ASK_ROWS = 1 << 16
 SUBSPACES = 8
 CODES = 128
 
 
-def _checked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Digest and double-precision bytes of valid vectors; null for the others."""
-    for b in batches:
-        dims, digests, raws = [], [], []
-        for v in b.column(2).to_pylist():
-            ok = None
-            if v and None not in v:
-                a = np.array(v, np.float64) + 0.0  # -0.0 becomes 0.0
-                if np.isfinite(a).all() and a.any():
-                    ok = (a / np.abs(a).max()).astype(np.float64)
-            dims.append(None if ok is None else len(ok))
-            digests.append(None if ok is None else hashlib.blake2b(a.tobytes(), digest_size=16).digest())
-            raws.append(None if ok is None else ok.tobytes())
-        yield pa.RecordBatch.from_arrays(
-            [b.column(0), b.column(1), pa.array(dims, pa.int32()), pa.array(digests, pa.binary()), pa.array(raws, pa.binary())],
-            ["vec_id", "label", "dim", "digest", "vec"],
-        )
+def _checked(whole: bool):
+    """Dimension and digest of valid vectors, null for the others; ``whole`` adds
+    the components as bytes and leaves the others out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lists = b.column(2)
+            values = lists.values.to_numpy(zero_copy_only=False)  # null components are NaN
+            values = values + values.dtype.type(0)  # -0.0 becomes 0.0
+            wrong, full = (np.concatenate(([0], np.cumsum(x))) for x in (~np.isfinite(values), values != 0))
+            at = lists.offsets.to_numpy()
+            good = (wrong[at[1:]] == wrong[at[:-1]]) & (full[at[1:]] > full[at[:-1]]) & lists.is_valid().to_numpy(zero_copy_only=False)
+            dims, digests, raws = np.diff(at).astype(np.int32), [], []
+            for ok, lo, hi in zip(good.tolist(), at[:-1].tolist(), at[1:].tolist(), strict=True):
+                raw = values[lo:hi].tobytes() if ok else None
+                digests.append(hashlib.blake2b(raw, digest_size=16).digest() if ok else None)
+                raws.append(raw if whole else None)
+            cols = [b.column(0), b.column(1), pa.array(dims, mask=~good), pa.array(digests, pa.binary())]
+            if whole:
+                got = pa.RecordBatch.from_arrays([*cols, pa.array(raws, pa.binary())], ["vec_id", "label", "dim", "digest", "vec"])
+                yield got.filter(pa.array(good))
+            else:
+                yield pa.RecordBatch.from_arrays(cols, ["vec_id", "label", "dim", "digest"])
+
+    return run
 
 
 def _kmeans(x: np.ndarray, k: int, rounds: int, seed: int) -> np.ndarray:
@@ -156,135 +170,198 @@ class Quantiser:
         return np.sqrt(np.maximum(out, 0))
 
 
-def _unit(raw: list[bytes]) -> np.ndarray:
-    x = np.stack([np.frombuffer(r, np.float64) for r in raw])
+def _unit(raw: list[bytes], dim: int) -> np.ndarray:
+    """Unit vectors in double precision of vectors of either precision."""
+    if not raw:
+        return np.empty((0, dim))
+    x = np.stack([np.frombuffer(r, np.float32 if len(r) == 4 * dim else np.float64) for r in raw]).astype(np.float64)
+    x /= np.abs(x).max(1)[:, None]
     return x / np.linalg.norm(x, axis=1)[:, None]
 
 
-def _fit(reps: DataFrame, total: int, sample_rows: int, cell_rows: int, list_rows: int) -> dict[int, Quantiser]:
+def _fit(vectors: DataFrame, nodes: DataFrame, sample_rows: int, cell_rows: int, list_rows: int) -> dict[int, Quantiser]:
+    """Quantisers by dimension, of about ``sample_rows`` different vectors;
+    ``vectors(label, dim, vec)``, ``nodes(label, dim)``."""
     parts = 1 << 20
-    some = reps.select("dim", "vec", "rep")
+    total = nodes.count()
     if total > sample_rows:
-        some = some.filter(F.pmod(F.xxhash64("rep", "vec"), F.lit(parts)) < int(parts * sample_rows / total))
-    rows = some.select("dim", "vec").collect()  # about sample_rows at most
+        vectors = vectors.filter(F.pmod(F.xxhash64("label", "vec"), F.lit(parts)) < int(parts * sample_rows / total))
+    rows = vectors.select("dim", "label", "vec").distinct().collect()
     by: dict[int, list] = {}
     for r in rows:
         by.setdefault(r["dim"], []).append(bytes(r["vec"]))
     cells = min(MAX_CELLS, max(1, total // cell_rows))
     # regions such that the largest label has about list_rows vectors in each
-    sizes = reps.groupBy("label", "dim").count().groupBy("dim").agg(F.max("count").alias("n"))
+    sizes = nodes.groupBy("label", "dim").count().groupBy("dim").agg(F.max("count").alias("n"))
     regions = {r["dim"]: -(-r["n"] // list_rows) for r in sizes.filter(F.col("dim").isin(list(by))).collect()}
-    return {d: Quantiser(_unit(v), max(1, cells * len(v) // max(1, len(rows))), regions[d]) for d, v in by.items()}
-
-
-def links(reps: DataFrame, threshold: float, sample_rows: int, cell_rows: int, list_rows: int) -> DataFrame:
-    """All linked pairs ``a > b`` among first copies ``(rep, label, dim, vec)``."""
+    return {d: Quantiser(_unit(sorted(v), d), max(1, cells * len(v) // max(1, len(rows))), regions[d]) for d, v in by.items()}
+
+
+def _joined(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """``label`` (each number's smallest known companion) after the links a-b."""
+    while len(a):
+        x, y = label[a], label[b]
+        open_ = x != y
+        a, b, x, y = a[open_], b[open_], x[open_], y[open_]
+        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+        while True:
+            up = label[label]
+            if (up == label).all():
+                break
+            label = up
+    return label
+
+
+class _Block:
+    """Vectors of one block of a list and what asks it."""
+
+    def __init__(self, key, quantiser: Quantiser | None, radius: float, threshold: float):
+        self.key, self.q, self.radius, self.threshold = key, quantiser, radius, threshold
+        self.ids, self.copies, self.cell, self.vec = [], [], [], []
+        self.held = None
+
+    def hold(self, ids, copies, cell, vec) -> None:
+        self.ids += ids
+        self.copies += copies
+        self.cell += cell
+        self.vec += vec
+
+    def _ready(self) -> None:
+        """Code what is held and link it among itself."""
+        if self.held is not None:
+            return
+        self.held, dim = len(self.ids), self.key[1]
+        self.x, self.weight = _unit(self.vec, dim), np.array(self.copies, np.int64)
+        self.cells = np.array(self.cell, np.int64)
+        self.codes = self.q.encode(self.x, self.cells) if self.q else None
+        self.vec = self.cell = None
+        self._clear()
+        self._link(self.x, self.weight, 0, True)
+
+    def _clear(self) -> None:
+        self.count, self.label, self.found = np.zeros(self.held, np.int64), np.arange(self.held), []
+
+    def ask(self, ids, copies, vec) -> None:
+        self._ready()
+        at = len(self.ids)
+        self.ids += ids
+        self.count = np.concatenate((self.count, np.zeros(len(ids), np.int64)))
+        self.label = np.concatenate((self.label, np.arange(at, len(self.ids))))
+        self._link(_unit(vec, self.key[1]), np.array(copies, np.int64), at, False)
+
+    def _link(self, u: np.ndarray, copies: np.ndarray, at: int, same: bool) -> None:
+        """Count the links of the rows ``u``, whose numbers start at ``at``."""
+        x = self.x
+        for lo in range(0, len(u) if len(x) else 0, 256):
+            v = u[lo : lo + 256]
+            near = np.ones((len(v), len(x)), bool)
+            if self.q is not None:
+                codes, error, fixed = self.codes
+                near = self.q.distances(v, self.cells, codes, fixed) <= self.radius + error[None, :] + SLACK
+            if same:  # each pair once
+                near &= np.arange(len(x))[None, :] < np.arange(lo, lo + len(v))[:, None]
+            s, t = np.nonzero(near)
+            if len(s) > 1 << 16:  # most are near: one product is cheaper than the pairs
+                s, t = np.nonzero(near & (v @ x.T >= self.threshold))
+            else:
+                good = np.einsum("ij,ij->i", v[s], x[t]) >= self.threshold
+                s, t = s[good], t[good]
+            s = s + lo
+            self.count += np.bincount(at + s, self.weight[t], len(self.count)).astype(np.int64)
+            self.count[: self.held] += np.bincount(t, copies[s], self.held).astype(np.int64)
+            self.label = _joined(self.label, at + s, t)
+
+    def close(self) -> pa.RecordBatch:
+        """Counts and edges so far; what is held stays for more questions."""
+        self._ready()
+        ids = np.array(self.ids, np.int64)
+        counted, tied = np.flatnonzero(self.count), np.flatnonzero(self.label != np.arange(len(ids)))
+        a = np.concatenate((ids[counted], ids[tied]))
+        b = np.concatenate((np.zeros(len(counted), np.int64), ids[self.label[tied]]))
+        n = np.concatenate((self.count[counted], np.zeros(len(tied), np.int64)))
+        is_edge = np.arange(len(a)) >= len(counted)
+        self.ids = self.ids[: self.held]
+        self._clear()
+        return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b, mask=~is_edge), pa.array(n, mask=is_edge)], ["a", "b", "n"])
+
+
+def links(reps: DataFrame, models: dict[int, Quantiser], threshold: float, list_rows: int) -> DataFrame:
+    """All links among the nodes ``(node, label, dim, copies, vec)``, as rows
+    ``a, b, n``: either an edge to a linked node (``n`` null), enough of them to
+    connect what is connected, or a partial count of the vectors that ``a`` is
+    linked with (``b`` null)."""
     spark = reps.sparkSession
-    total = reps.count()
-    models = _fit(reps, total, sample_rows, cell_rows, list_rows) if total else {}
     sent = spark.sparkContext.broadcast(pickle.dumps(models))
     radius = float(np.sqrt(max(0.0, 2 - 2 * threshold))) + SLACK
+    kind = "node long, label string, dim int, copies long, cell int, region int, asked array<int>, vec binary"
 
     def assign(batches):
         m = pickle.loads(sent.value)
-        types = (pa.int64(), pa.string(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int32()), pa.binary())
         for b in batches:
-            cols: tuple[list, ...] = [], [], [], [], [], [], []
-            rows = list(zip(*(b.column(i).to_pylist() for i in range(4)), strict=True))
-            for dim in {r[2] for r in rows}:
-                mine = [r for r in rows if r[2] == dim]
+            placed = [None] * b.num_rows
+            dims, raws = b.column(2).to_pylist(), b.column(4).to_pylist()
+            for dim in set(dims):
+                mine = [i for i, d in enumerate(dims) if d == dim]
                 for lo in range(0, len(mine), 256):
                     some = mine[lo : lo + 256]
                     if dim not in m:  # a dimension that the sample did not hold: one cell
-                        cell, region, asked = [0] * len(some), [0] * len(some), [[0]] * len(some)
-                    else:
-                        q = m[dim]
-                        own, near = q.ask(_unit([r[3] for r in some]), radius)
-                        g, all_ = q.region[own][:, None], np.arange(q.regions)[None, :]
-                        # of two regions one asks the other, in turns
-                        near &= (g == all_) | ((g < all_) == ((g + all_) % 2 == 0))
-                        cell, region, asked = own.tolist(), q.region[own].tolist(), [np.flatnonzero(a) for a in near]
-                    for r, *at in zip(some, cell, region, asked, strict=True):
-                        for c, v in zip(cols, (r[0], r[1], dim, *at, r[3]), strict=True):
-                            c.append(v)
+                        for i in some:
+                            placed[i] = 0, 0, []
+                        continue
+                    q = m[dim]
+                    own, near = q.ask(_unit([raws[i] for i in some], dim), radius)
+                    g, all_ = q.region[own][:, None], np.arange(q.regions)[None, :]
+                    # of two regions one asks the other, in turns; the own one needs no asking
+                    near &= (g != all_) & ((g < all_) == ((g + all_) % 2 == 0))
+                    for i, c, r, at in zip(some, own.tolist(), q.region[own].tolist(), near, strict=True):
+                        placed[i] = c, r, np.flatnonzero(at)
+            cell, region, asked = zip(*placed, strict=True) if placed else ((), (), ())
             yield pa.RecordBatch.from_arrays(
-                [pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["rep", "label", "dim", "cell", "region", "asked", "vec"]
+                [*(b.column(i) for i in range(4)), pa.array(cell, pa.int32()), pa.array(region, pa.int32()), pa.array(asked, pa.list_(pa.int32())), b.column(4)],
+                ["node", "label", "dim", "copies", "cell", "region", "asked", "vec"],
             )
 
-    placed = reps.select("rep", F.col("label").cast("string").alias("label"), "dim", "vec").mapInArrow(
-        assign, "rep long, label string, dim int, cell int, region int, asked array<int>, vec binary"
-    )
-    placed = common.cut(placed, spark, "cells")
+    placed = common.cut(reps.select("node", "label", "dim", "copies", "vec").mapInArrow(assign, kind), spark, "cells")
     key = ["label", "dim", "region"]
     lists = placed.groupBy(key).agg(F.ceil(F.count("*") / list_rows).cast("int").alias("blocks"))
-    inside = placed.join(lists, key).select(
-        *key, F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("block"), F.lit(0).alias("kind"), "rep", "cell", "region", "vec"
-    )
-    query = (
-        placed.select("label", "dim", F.explode("asked").alias("region"), "rep", "cell", F.col("region").alias("home"), "vec")
-        .join(lists, key)
-        .select(*key, F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("kind"), "rep", "cell", "home", "vec")
-    )
+    block = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    # a vector is held by its own block and asks the blocks before it, which so
+    # meets each pair of a list once; it asks all blocks of the other lists
+    away = placed.withColumn("target", F.explode("asked")).withColumn("home", F.col("region"))
+    away = away.drop("region").withColumnRenamed("target", "region").join(lists, key)
+    every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    before = F.explode(F.sequence(F.lit(0), F.col("mine")))
+    shape = ["label", "dim", "region", "block", "kind", "node", "copies", "cell", "vec"]
+    inside = placed.join(lists, key).withColumn("mine", block).select("*", before.alias("block"))
+    inside = inside.withColumn("kind", F.when(F.col("block") == F.col("mine"), 0).otherwise(1)).select(shape)
+    outside = away.select("*", every.alias("block")).withColumn("kind", F.lit(1)).select(shape)
 
     def search(batches):
-        m = pickle.loads(sent.value)
-        key_now, held, ready = None, [], None
-        pairs: tuple[list, list] = [], []
-
-        def prepare(dim):
-            ids = np.array([h[0] for h in held], np.int64)
-            cell = np.array([h[1] for h in held], np.int64)
-            x = _unit([h[2] for h in held])
-            q = m.get(dim)
-            return ids, x, q, cell, *(q.encode(x, cell) if q else (None, None, None))
-
-        def flush():
-            a, c = (np.concatenate(p) if p else np.empty(0, np.int64) for p in pairs)
-            for p in pairs:
-                p.clear()
-            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
-
+        m, block = pickle.loads(sent.value), None
         for b in batches:
-            label, dim, region, block, kind, rep, cell, home, vec = (b.column(i).to_pylist() for i in range(9))
+            label, dim, region, part, role, node, copies, cell, vec = (b.column(i).to_pylist() for i in range(9))
             i = 0
-            while i < len(rep):
-                k = (label[i], dim[i], region[i], block[i])
-                if k != key_now:
-                    key_now, held, ready = k, [], None
+            while i < len(node):
+                key = (label[i], dim[i], region[i], part[i])
+                if block is None or key != block.key:
+                    if block is not None:
+                        yield block.close()
+                    block = _Block(key, m.get(dim[i]), radius, threshold)
                 j = i
-                while j < len(rep) and (label[j], dim[j], region[j], block[j], kind[j]) == (*k, kind[i]):
+                while j < len(node) and (label[j], dim[j], region[j], part[j], role[j]) == (*key, role[i]):
                     j += 1
-                if kind[i] == 0:
-                    held += zip(rep[i:j], cell[i:j], vec[i:j], strict=True)
-                elif held:
-                    ready = ready or prepare(dim[i])
-                    ids, x, q, cells, codes, error, fixed = ready
-                    for lo in range(i, j, 256):
-                        hi = min(lo + 256, j)
-                        u, mine = _unit(vec[lo:hi]), np.array(rep[lo:hi], np.int64)
-                        away = np.array(home[lo:hi]) != region[i]
-                        if q is not None:
-                            s, t = np.nonzero(q.distances(u, cells, codes, fixed) <= radius + error[None, :] + SLACK)
-                        else:
-                            s, t = (a.ravel() for a in np.indices((len(u), len(x))))
-                        for part in range(0, len(s), 1 << 16):
-                            ss, tt = s[part : part + (1 << 16)], t[part : part + (1 << 16)]
-                            # inside a region both ends ask, and the larger id's answer counts
-                            once = np.where(away[ss], mine[ss] != ids[tt], mine[ss] > ids[tt])
-                            ss, tt = ss[once], tt[once]
-                            good = np.einsum("ij,ij->i", u[ss], x[tt]) >= threshold
-                            pairs[0].append(np.maximum(mine[ss[good]], ids[tt[good]]))
-                            pairs[1].append(np.minimum(mine[ss[good]], ids[tt[good]]))
-                        if sum(map(len, pairs[0])) >= PAIR_ROWS:
-                            yield flush()
+                if role[i] == 0:
+                    block.hold(node[i:j], copies[i:j], cell[i:j], vec[i:j])
+                else:
+                    block.ask(node[i:j], copies[i:j], vec[i:j])
+                    if len(block.ids) - block.held > ASK_ROWS:
+                        yield block.close()
                 i = j
-        yield flush()
+        if block is not None:
+            yield block.close()
 
-    group = [*key, "block"]
-    inside = inside.toDF(*query.columns)
-    found = (
-        inside.unionByName(query).repartition(*group).sortWithinPartitions(*group, "kind").mapInArrow(search, "a long, b long").distinct()
-    )
+    group = ["label", "dim", "region", "block"]
+    found = inside.unionByName(outside).repartition(*group).sortWithinPartitions(*group, "kind").mapInArrow(search, "a long, b long, n long")
     return common.cut(found, spark, "links")
 
 
@@ -298,37 +375,49 @@ def near_duplicates(
     """vec_id, n_links, component_id, kept of every row of ``vectors``."""
     spark = vectors.sparkSession
     common.tune_arrow(spark)
+    single = vectors.schema["embedding"].dataType.simpleString() == "array<float>"
     base = vectors.select(
-        F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("string").alias("label"), F.col("embedding").cast("array<double>").alias("e")
-    )
-    rows = common.cut(
-        base.mapInArrow(_checked, "vec_id long, label string, dim int, digest binary, vec binary"), spark, "vectors"
+        F.col("vec_id").cast("long").alias("vec_id"),
+        F.col("label").cast("string").alias("label"),
+        F.col("embedding").cast("array<float>" if single else "array<double>").alias("e"),
     )
+    rows = common.cut(base.mapInArrow(_checked(False), "vec_id long, label string, dim int, digest binary"), spark, "vectors")
     valid = rows.filter("digest IS NOT NULL AND label IS NOT NULL AND vec_id IS NOT NULL")
-    first = valid.groupBy("label", "digest").agg(F.min("vec_id").alias("rep"), F.count("*").alias("copies"))
+    first = valid.groupBy("label", "digest", "dim").agg(F.min("vec_id").alias("rep"), F.count("*").alias("copies"))
+    # written, so that numbers are fixed and a hot vector's rows are split in the joins
+    first = common.cut(first.withColumn("node", F.monotonically_increasing_id()), spark, "first-of-vector")
+    whole = base.mapInArrow(_checked(True), "vec_id long, label string, dim int, digest binary, vec binary").filter("label IS NOT NULL")
+    models = _fit(whole, first, sample_rows, cell_rows, list_rows)
     reps = (
-        valid.join(first, ["label", "digest"])
-        .filter("vec_id = rep")
-        .select("rep", "label", "dim", "digest", "vec", "copies")
-        .dropDuplicates(["rep", "label", "digest"])
+        whole.withColumnRenamed("vec_id", "rep")
+        .join(first.drop("dim"), ["label", "digest", "rep"])
+        .dropDuplicates(["label", "digest", "rep"])
+        .select("node", "label", "dim", "copies", "vec")
     )
-    reps = common.cut(reps, spark, "reps")
-    found = links(reps, threshold, sample_rows, cell_rows, list_rows)
-    comps = common.connected_components(found, spark).withColumnRenamed("node", "rep")
-    both = found.union(found.select("b", "a")).toDF("rep", "other")
-    weight = reps.groupBy(F.col("rep").alias("other")).agg(F.sum("copies").alias("copies"))
-    degree = both.join(weight, "other").groupBy("rep").agg(F.sum("copies").alias("others"))
-    known = valid.select("vec_id", "label", "digest").distinct().join(first, ["label", "digest"])
-    per_row = known.join(degree, "rep", "left").join(comps, "rep", "left").select(
-        "vec_id",
-        "digest",
-        "label",
-        (F.coalesce("others", F.lit(0)) + F.col("copies") - 1).alias("n_links"),
-        F.coalesce("component", "rep").alias("component_id"),
+    found = links(reps, models, threshold, list_rows)
+    degree = found.filter("n IS NOT NULL").groupBy(F.col("a").alias("node")).agg(F.sum("n").alias("others"))
+    comps = common.connected_components(found.filter("n IS NULL").select("a", "b"), spark)
+    placed = common.cut(comps.join(first.select("node", "rep"), "node"), spark, "placed")
+    least = common.cut(placed.groupBy("component").agg(F.min("rep").alias("least")), spark, "least")
+    facts = (
+        first.join(degree, "node", "left")
+        .join(placed.join(least, "component").select("node", "least"), "node", "left")
+        .select(
+            "label",
+            "digest",
+            (F.coalesce("others", F.lit(0)) + F.col("copies") - 1).alias("n_links"),
+            F.coalesce("least", "rep").alias("component_id"),
+        )
     )
+    facts = common.cut(facts, spark, "facts")
     return (
-        rows.select("vec_id", "digest", "label")
-        .join(per_row, ["vec_id", "digest", "label"], "left")
+        rows.join(facts, ["label", "digest"], "left")
+        .select(
+            "vec_id",
+            # a row without an id is no copy of any
+            F.when(F.col("vec_id").isNotNull(), F.col("n_links")).alias("n_links"),
+            F.when(F.col("vec_id").isNotNull(), F.col("component_id")).alias("component_id"),
+        )
         .select(
             "vec_id",
             F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),

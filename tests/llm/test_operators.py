@@ -438,18 +438,58 @@ def test_records_come_back_exactly(spark):
 # 10 embeddings ------------------------------------------------------------------------------------------------------------
 
 
-def test_links_against_brute_force(spark):
+def _exact(x, label, threshold=0.93):
+    """Degrees and smallest reachable rows by brute force, a stripe at a time."""
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    n, comp = np.zeros(len(x), int), np.arange(len(x))
+    pairs = []
+    for lo in range(0, len(x), 1000):
+        s, t = np.nonzero((u[lo : lo + 1000] @ u.T >= threshold) & (label[lo : lo + 1000, None] == label[None]))
+        s, t = s[s + lo != t] + lo, t[s + lo != t]
+        n += np.bincount(s, minlength=len(x))
+        pairs.append((s, t))
+    a, b = (np.concatenate(c) for c in zip(*pairs, strict=True))
+    while True:
+        old = comp.copy()
+        np.minimum.at(comp, a, comp[b])
+        if (comp == old).all():
+            return n, comp
+        comp = comp[comp]
+
+
+@pytest.mark.parametrize("kind", ["double", "float"])
+def test_links_against_brute_force(spark, kind):
+    """Groups of every width, several labels, copies, small cells and lists."""
     rng = np.random.default_rng(6)
     base = rng.normal(size=(60, 16))
     x = np.concatenate([b + rng.normal(size=(12, 16)) * s for b, s in zip(base, np.linspace(0.02, 0.4, 60), strict=True)])
     label = rng.integers(0, 3, len(x))
+    x[100:110], label[100:110] = x[5], label[5]
+    if kind == "float":
+        x = x.astype(np.float32).astype(np.float64)
     rows = [(i, [float(v) for v in x[i]], int(label[i])) for i in range(len(x))]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
-    u = x / np.linalg.norm(x, axis=1)[:, None]
-    s = (u @ u.T >= 0.93) & (label[:, None] == label[None]) & ~np.eye(len(x), dtype=bool)
-    got = embdup.near_duplicates(df, cell_rows=16, list_rows=20).collect()
-    found = sum(r["n_links"] for r in got)
-    assert 0.9 * s.sum() <= found <= s.sum()
+    df = spark.createDataFrame(rows, f"vec_id long, embedding array<{kind}>, label int")
+    n, comp = _exact(x, label)
+    got = by_id(embdup.near_duplicates(df, cell_rows=16, list_rows=20), "vec_id")
+    assert [got[i]["n_links"] for i in range(len(x))] == n.tolist()
+    assert [got[i]["component_id"] for i in range(len(x))] == comp.tolist()
+
+
+def test_twenty_thousand_vectors_one_by_one(spark):
+    """Production parameters, many cells: every degree and component, so recall
+    is 1 here; 0.9 is what is asked."""
+    rng = np.random.default_rng(17)
+    centres = rng.normal(size=(2_500, 32))
+    x = centres[rng.integers(0, 2_500, 24_000)] + rng.normal(size=(24_000, 32)) * rng.choice([0.05, 0.25, 0.6], (24_000, 1))
+    x = x.astype(np.float32)
+    x[7_000:9_000] = x[6_999]
+    label = np.where(np.arange(len(x)) % 3 == 0, rng.integers(0, 8, len(x)), 8)
+    df = spark.createDataFrame([(i, v.tolist(), int(y)) for i, (v, y) in enumerate(zip(x, label, strict=True))], "vec_id long, embedding array<float>, label int")
+    n, comp = _exact(x.astype(np.float64), label)
+    got = by_id(embdup.near_duplicates(df), "vec_id")
+    mine = np.array([got[i]["n_links"] for i in range(len(x))])
+    assert len(x) // embdup.CELL_ROWS > 50 and (mine <= n).all() and mine.sum() >= 0.9 * n.sum()
+    assert (mine == n).all() and (np.array([got[i]["component_id"] for i in range(len(x))]) == comp).all()
 
 
 def test_every_link_of_a_dense_group(spark):

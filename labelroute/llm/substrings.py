@@ -1,9 +1,9 @@
 """Exact substring deduplication by prefix-partitioned suffix trees over words.
 
 A window is ``n`` consecutive words; a word goes when a window over it has a
-word sequence that also starts earlier.  Windows are the suffixes of the corpus
-cut at depth ``n``, and equal windows are the leaves under one node of depth
-``n`` of its suffix tree.  The tree is never built as a whole:
+word sequence that also starts earlier.  Windows are what the suffixes of the
+corpus begin with, so equal windows are the leaves under one node of depth ``n``
+or more of its suffix tree.  The tree is built in parts that fit into memory:
 
 1. Exact copies of a text are found by digest; a copy is wholly repeated, so
    only the first of each text goes on.
@@ -13,13 +13,17 @@ cut at depth ``n``, and equal windows are the leaves under one node of depth
    window: its suffixes lead to no internal node and are left out.  Tasks first
    merge the anchors that they see twice, so a hot passage crosses the network
    once per task.
-3. The suffixes of repeated anchors are partitioned by the anchor prefix.  A
-   prefix with more than ``deep`` occurrences is lengthened to the whole window
-   (variable-length prefixes), which keeps every group within memory; tasks
-   again merge equal windows before they are sent.
-4. Each task sorts a group's suffixes and takes the common-prefix lengths of
-   neighbours: runs at depth ``n`` are the internal nodes, compared by their
-   words and not by hashes.  All but the first leaf of a node are repeats.
+3. The suffixes of a repeated anchor are one group.  Suffixes of an anchor with
+   more than ``deep`` occurrences are partitioned by a prefix of their own
+   instead, which is lengthened a step at a time, from ``k`` words to ``n``,
+   wherever a group still has more than ``deep`` rows (variable-length
+   prefixes).  A group that is too large at ``n`` words is one window; its first
+   leaf is found by an aggregate.
+4. Each task builds the subtree of one group at a time: it sorts the suffixes,
+   takes the common-prefix lengths of neighbours in words, and closes the
+   internal nodes of depth ``n`` or more from the deepest up.  Such a node is a
+   repeat that cannot be extended to the right; a leaf that is not the earliest
+   of its node repeats as many words as the deepest such node has.
 5. Repeats return to their documents as spans.
 
 The documents' text is exchanged once; both joins reuse that exchange.
@@ -46,7 +50,7 @@ from . import common
 
 N = 20
 K = 8
-#: Occurrences above which a prefix is lengthened to the whole window.
+#: Occurrences of a prefix above which it is lengthened.
 DEEP = 4_000
 #: Hot anchors (of eight bytes) that may be broadcast.
 HOT_ROWS = 500_000
@@ -142,96 +146,160 @@ def _scan(n: int, k: int):
     return run
 
 
+def lengths(n: int, k: int) -> tuple[int, ...]:
+    """Words of the prefixes that a frequent anchor's suffixes are grouped by."""
+    return (*range(k, n, 4), n)
+
+
 def _suffixes(n: int, k: int):
     """Suffix rows of a document's repeated anchors, words and all."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = _Hashes()
-        names = ["prefix", "doc", "digest", "start", "windows", "words"]
         types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
         for b in batches:
-            deep_first: dict[bytes, tuple[int, int, int]] = {}
-            known: list[tuple] = []
             out: tuple[list, ...] = [], [], [], [], [], []
-
-            def put(*row):
-                for c, v in zip(out, row, strict=True):  # noqa: B023
-                    c.append(v)
-
             for d, x, t, starts, deep, copy in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
                 if not starts or copy:
                     continue
                 w = words_of(t)
                 h = np.fromiter(map(cache.__getitem__, w), np.uint64, len(w))
                 a, first, last = anchors(h, n, k)
-                where = {int(s): i for i, s in enumerate(first.tolist())}
-                far = set(deep or ())
-                for s in sorted(set(starts)):
+                where = {s: i for i, s in enumerate(first.tolist())}
+                for s in sorted(set(starts).difference(deep or ())):
                     i = where[s]
                     e = int(last[i])
-                    if s not in far:
-                        put(int(a[i]), d, x, s, e - s + 1, b" ".join(w[s : e + n]))
-                        continue
-                    for p in range(s, e + 1):
-                        key = b" ".join(w[p : p + n])
-                        now = (d, x, p)
-                        was = deep_first.get(key)
+                    for c, v in zip(out, (int(a[i]), d, x, s, e - s + 1, b" ".join(w[s : e + n])), strict=True):
+                        c.append(v)
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], _SUFFIX)
+
+    return run
+
+
+_SUFFIX = ["prefix", "doc", "digest", "start", "windows", "words"]
+
+
+def _windows(n: int, k: int):
+    """The windows of a document's frequent anchors with the hashes of their
+    prefixes; of equal windows in a batch only the first carries its words."""
+    steps = lengths(n, k)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cache = _Hashes()
+        types = (pa.list_(pa.int64()), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
+        for b in batches:
+            best: dict[bytes, tuple[int, int, int]] = {}
+            again: list[tuple[int, int, int]] = []
+            for d, x, t, deep in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+                w = words_of(t)
+                h = np.fromiter(map(cache.__getitem__, w), np.uint64, len(w))
+                _, first, last = anchors(h, n, k)
+                where = {s: i for i, s in enumerate(first.tolist())}
+                for s in sorted(set(deep)):
+                    for p in range(s, int(last[where[s]]) + 1):
+                        key, now = b" ".join(w[p : p + n]), (d, x, p)
+                        was = best.get(key)
                         if was is None or now < was:
-                            deep_first[key], now = now, was
-                        if now:  # an earlier one is in this very batch
-                            known.append(now)
-            for key, (d, x, p) in deep_first.items():
-                put(xxhash.xxh64_intdigest(key) - (1 << 63), d, x, p, 0, key)
-            known.sort()
+                            best[key], now = now, was
+                        if now:
+                            again.append(now)
+            rows = []
+            for key, (d, x, p) in best.items():
+                ends, at = [], -1
+                for _ in range(n - 1):
+                    at = key.find(b" ", at + 1)
+                    ends.append(at)
+                ends.append(len(key))
+                rows.append(([xxhash.xxh64_intdigest(key[: ends[m - 1]], m) - (1 << 63) for m in steps], d, x, p, 1, key))
+            again.sort()
             i = 0
-            while i < len(known):
+            while i < len(again):  # neighbours of one document are one row
                 j = i
-                while j + 1 < len(known) and known[j + 1] == (*known[j][:2], known[j][2] + 1):
+                while j + 1 < len(again) and again[j + 1] == (*again[j][:2], again[j][2] + 1):
                     j += 1
-                d, x, p = known[i]
-                put(hash((d, p)), d, x, p, j - i + 1, None)
+                rows.append((None, *again[i], j - i + 1, None))
                 i = j + 1
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], names)
+            cols = list(zip(*rows, strict=True)) or [[]] * 6
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["hashes", *_SUFFIX[1:]])
 
     return run
 
 
+def _common(a: bytes, b: bytes, least: int) -> int:
+    """Words that two suffixes share; 0 if their first ``least`` bytes differ.
+    Every word ends with a space."""
+    if a[:least] != b[:least]:
+        return 0
+    if a == b:
+        return a.count(b" ")
+    lo, hi = least, min(len(a), len(b))
+    while lo < hi:
+        mid = (lo + hi + 1) // 2
+        if a[lo:mid] == b[lo:mid]:
+            lo = mid
+        else:
+            hi = mid - 1
+    return a[:lo].count(b" ")
+
+
+def subtree(leaves: list[tuple], n: int) -> Iterator[tuple[tuple, int]]:
+    """Every leaf that repeats an earlier one, with the most words it repeats.
+
+    ``leaves`` are ``(suffix, bytes of its first n words, place)``.  Sorted, their
+    common-prefix lengths give the internal nodes; a stack holds the open nodes
+    of depth ``n`` or more as ``[depth, earliest leaf]``."""
+    leaves.sort()
+    stack: list[list] = []
+    before, now = None, None  # the last suffix, and the earliest leaf of what was closed last
+    for suffix, least, place in leaves:
+        depth = 0 if before is None else _common(before, suffix, least)
+        depth = depth if depth >= n else 0
+        while stack and stack[-1][0] > depth:
+            d, first = stack.pop()
+            if first != now:  # equal where a row repeats
+                yield max(first, now), d
+            now = min(first, now)
+        if depth and stack and stack[-1][0] == depth:
+            if stack[-1][1] != now:
+                yield max(stack[-1][1], now), depth
+            stack[-1][1] = min(stack[-1][1], now)
+        elif depth:
+            stack.append([depth, now])
+        before, now = suffix, place
+    while stack:
+        d, first = stack.pop()
+        if first != now:
+            yield max(first, now), d
+        now = min(first, now)
+
+
 def _subtrees(n: int):
-    """Spans of repeated windows, group by group of a sorted partition."""
+    """Spans of repeated words, group by group of a sorted partition."""
 
-    def leaves(group):
-        rows = []
+    def repeats(group):
+        if len(group) == 1 and group[0][3] == 1:
+            return
+        leaves = []
         for d, x, s, m, words in group:
-            ends, at = [-1], words.find(b" ")
+            words += b" "
+            ends, at = [0], words.find(b" ")
             while at >= 0:
-                ends.append(at)
+                ends.append(at + 1)
                 at = words.find(b" ", at + 1)
-            ends.append(len(words))
             for i in range(m):
-                rows.append((words[ends[i] + 1 : ends[i + n]], d, x, s + i))
-        return rows
-
-    def repeats(group):
-        if len(group) == 1 and group[0][3] == 1:
-            return
-        rows = sorted(leaves(group))
-        again: dict[tuple[int, int], list[int]] = {}
-        node = None
-        for words, *leaf in rows:
-            # the common prefix with the node's first leaf reaches depth n, or a node starts
-            if node is None or node[0] != words:
-                node = words, leaf
-            elif leaf != node[1]:
-                again.setdefault((leaf[0], leaf[1]), []).append(leaf[2])
-        for (d, x), starts in again.items():
-            starts.sort()
-            i = 0
-            while i < len(starts):
-                j = i
-                while j + 1 < len(starts) and starts[j + 1] <= starts[j] + 1:
-                    j += 1
-                yield d, x, starts[i], starts[j] + n
-                i = j + 1
+                leaves.append((words[ends[i] :], ends[i + n] - ends[i], (d, x, s + i)))
+        again: dict[tuple[int, int], list[tuple[int, int]]] = {}
+        for (d, x, s), words in subtree(leaves, n):
+            again.setdefault((d, x), []).append((s, s + words))
+        for (d, x), spans in again.items():
+            spans.sort()
+            lo, hi = spans[0]
+            for s, e in spans:
+                if s > hi:
+                    yield d, x, lo, hi
+                    lo, hi = s, e
+                hi = max(hi, e)
+            yield d, x, lo, hi
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         types = (pa.int64(), pa.int64(), pa.int32(), pa.int32())
@@ -240,29 +308,17 @@ def _subtrees(n: int):
 
         def batch():
             cols = list(zip(*out, strict=True)) or [[]] * 4
-            got = pa.RecordBatch.from_arrays(
-                [pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["doc", "digest", "from_word", "to_word"]
-            )
+            got = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], _SPAN)
             out.clear()
             return got
 
-        whole: dict[bytes, tuple[int, int, int]] = {}  # first leaf of each lengthened prefix
         for b in batches:
-            for p, d, x, s, m, words in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
+            for p, *row in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
                 if p != key:
                     if group:
                         out.extend(repeats(group))
-                    group, key, whole = [], p, {}
-                if words is None:
-                    out.append((d, x, s, s + m - 1 + n))
-                elif m:
-                    group.append((d, x, s, m, words))
-                else:  # any number of leaves: only the first is held
-                    now = (d, x, s)
-                    was = whole.setdefault(words, now)
-                    if now != was:
-                        whole[words], late = min(now, was), max(now, was)
-                        out.append((*late, late[2] + n))
+                    group, key = [], p
+                group.append(row)
             yield batch()
         if group:
             out.extend(repeats(group))
@@ -271,6 +327,31 @@ def _subtrees(n: int):
     return run
 
 
+_SPAN = ["doc", "digest", "from_word", "to_word"]
+
+
+def _lengthened(found: DataFrame, n: int, k: int, deep: int) -> tuple[DataFrame, DataFrame]:
+    """Groups of the windows ``found`` (of ``_windows``) by prefixes as long as
+    need be, as suffix rows, and the spans that need no subtree."""
+    spark = found.sparkSession
+    spans = found.filter("words IS NULL").select("doc", "digest", F.col("start").alias("from_word"), (F.col("start") + F.col("windows") - 1 + n).alias("to_word"))
+    left, groups = found.filter("words IS NOT NULL"), None
+    for i in range(len(lengths(n, k))):
+        keyed = left.withColumn("prefix", F.col("hashes")[i])
+        over = common.cut(keyed.groupBy("prefix").count().filter(F.col("count") > deep).select("prefix"), spark, "long-prefixes")
+        some = over.limit(1).count() > 0
+        fit = (keyed.join(over, "prefix", "left_anti") if some else keyed).select(_SUFFIX)
+        groups = fit if groups is None else groups.unionByName(fit)
+        if not some:
+            return groups, spans
+        left = common.cut(keyed.join(over, "prefix", "left_semi").drop("prefix"), spark, "long-prefixes")
+    # one window each, however often: only its first leaf stays
+    leaf = F.struct("doc", "digest", "start")
+    lead = common.cut(left.groupBy("words").agg(F.min(leaf).alias("lead")), spark, "first-leaves")
+    late = left.join(lead, "words").filter(leaf > F.col("lead"))
+    return groups, spans.unionByName(late.select("doc", "digest", F.col("start").alias("from_word"), (F.col("start") + n).alias("to_word")))
+
+
 def _kept(n: int, digest: bool):
     def words(t, spans, copy):
         w = words_of(t)
@@ -352,6 +433,7 @@ def _marked(docs: DataFrame, n: int, k: int, deep: int, extra: list[str]) -> Dat
     )
     common.delete_path(spark, f"{root}/known=false")
     hot = spoken.filter(F.col("total") > deep).select("anchor").distinct().withColumn("deep", F.lit(True))
+    any_hot = hot.limit(1).count() > 0
     # few anchors are hot, and their number is checked; beyond the bound the join
     # is a shuffle whose skewed side Spark splits
     if hot.limit(HOT_ROWS + 1).count() <= HOT_ROWS:
@@ -374,13 +456,23 @@ def _marked(docs: DataFrame, n: int, k: int, deep: int, extra: list[str]) -> Dat
     suffixes = base.join(per_doc, keys, "left").select(names).mapInArrow(
         _suffixes(n, k), "prefix long, doc long, digest long, start int, windows int, words binary"
     )
+    known = None
+    if any_hot:
+        far = common.cut(per_doc.filter("NOT copy AND size(far) > 0").select("doc", "digest", "far"), spark, "far")
+        texts = common.may_be_in(base.select("doc", "digest", "text"), "doc", far.select("doc"), "maybe").filter("maybe")
+        windows = texts.join(far, keys).select("doc", "digest", "text", "far").mapInArrow(
+            _windows(n, k), "hashes array<long>, doc long, digest long, start int, windows int, words binary"
+        )
+        groups, known = _lengthened(common.cut(windows, spark, "windows"), n, k, deep)
+        suffixes = suffixes.unionByName(groups)
     spans = (
         suffixes.repartition("prefix")
         .sortWithinPartitions("prefix")
         .mapInArrow(_subtrees(n), "doc long, digest long, from_word int, to_word int")
-        .groupBy("doc", "digest")
-        .agg(F.collect_list(F.struct("from_word", "to_word")).alias("spans"))
     )
+    if known is not None:
+        spans = spans.unionByName(known)
+    spans = spans.groupBy("doc", "digest").agg(F.collect_list(F.struct("from_word", "to_word")).alias("spans"))
     flagged = copies.withColumn("copy", F.lit(True))
     # 5. spans return to the rows; the exchange of the text is the one of step 3
     side = spans.join(flagged, keys, "full")

@@ -2,20 +2,26 @@
 
 Payload bytes are stored once per digest; the exact header block of every
 record is stored separately with the payload's digest; original records are
-rebuilt by joining the two.  The digest that addresses a payload is SHA-256,
-verified on writing (every row of a digest must have one length and one SHA-1)
-and on reading (the stored bytes are hashed again).
+rebuilt by joining the two, byte by byte, and parsed from those bytes.  The
+digest that addresses a payload is SHA-256, verified on writing (every row of a
+digest must have one length and one SHA-1) and on reading (the block cut out of
+a rebuilt record by its Content-Length is hashed again and must have the digest
+that its header names).  ``export`` writes the rebuilt records as plain WARC
+files; ``read_files`` reads such files in splits, as any text.
 
 Defined results: a null payload is empty; among records with equal payloads of
 at least ``min_revisit_bytes`` bytes the smallest page_id is the response and
 the others are revisits that refer to it, smaller payloads are all responses; a
 null page_id sorts last; repeated page_ids with equal payloads beyond the
-smallest record stay one response per row; an empty table writes an empty
-archive.  Extra columns of the input are not stored.
+smallest record stay one response per row; line breaks in a url become spaces;
+an empty table writes an empty archive.  Extra columns of the input are not
+stored.
 """
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -37,16 +43,20 @@ def base32(hex40: Column) -> Column:
 
 
 def record_id(page_id: Column) -> Column:
-    h = F.md5(F.coalesce(page_id.cast("string"), F.lit("null")))
-    cuts = ((1, 8), (9, 4), (13, 4), (17, 4), (21, 12))
-    return F.concat(F.lit("<urn:uuid:"), F.concat_ws("-", *[F.substring(h, a, n) for a, n in cuts]), F.lit(">"))
+    return F.concat(F.lit("<urn:page:"), F.coalesce(page_id.cast("string"), F.lit("none")), F.lit(">"))
+
+
+def _start(archive: str) -> str:
+    return f"WARC/1.1\r\nX-Archive-ID: {archive}\r\n"
 
 
-def headers(kind: Column, url: Column, page_id: Column, refers: Column, digest: Column, size: Column) -> Column:
+def headers(archive: str, kind: Column, url: Column, page_id: Column, refers: Column, digest: Column, size: Column) -> Column:
+    """A record's header block with the empty line that ends it.  Its second line,
+    random for each archive, tells record starts from payloads that hold WARC."""
     line = lambda name, value: F.concat(F.lit(f"{name}: "), value, F.lit("\r\n"))
     clean = F.regexp_replace(F.coalesce(url, F.lit("")), r"[\r\n]+", " ")
     return F.concat(
-        F.lit("WARC/1.1\r\n"),
+        F.lit(f"{_start(archive)}"),
         line("WARC-Type", kind),
         line("WARC-Record-ID", record_id(page_id)),
         line("WARC-Date", F.lit(DATE)),
@@ -83,6 +93,9 @@ def write(pages: DataFrame, root: str, min_revisit_bytes: int = MIN_REVISIT_BYTE
         F.min("digest").alias("digest"),
         ((F.min("size") == F.max("size")) & (F.min("digest") == F.max("digest"))).alias("verified"),
     )
+    # written, so that the rows of a payload that most pages share can be split in the joins
+    first.write.parquet(f"{root}/first")
+    first = pages.sparkSession.read.schema(first.schema).parquet(f"{root}/first")
     # payload bytes: the first row of each digest; rows repeated whole are one.
     # Join and duplicate removal share their keys, so payloads move once.
     stored = (
@@ -111,48 +124,79 @@ def write(pages: DataFrame, root: str, min_revisit_bytes: int = MIN_REVISIT_BYTE
             "refers_to",
             "kind",
             "address",
-            F.encode(headers(F.col("kind"), F.col("url"), F.col("page_id"), F.col("refers_to"), F.col("digest"), F.col("size")), "UTF-8").alias("header"),
+            F.encode(headers(uuid.uuid4().hex, F.col("kind"), F.col("url"), F.col("page_id"), F.col("refers_to"), F.col("digest"), F.col("size")), "UTF-8").alias("header"),
         )
     )
     records.write.parquet(f"{root}/records")
 
 
-def read_records(spark: SparkSession, root: str) -> DataFrame:
+_BREAK = "\r\n\r\n"
+
+
+def read_records(spark: SparkSession, root: str, kind: str | None = None) -> DataFrame:
     """Original records: header block, payload and the record's bytes.
 
     A revisit gets the payload it refers to in ``payload``; ``record`` holds
     the bytes as archived (a revisit's block is empty)."""
     payloads = spark.read.parquet(f"{root}/payloads").select("address", "payload")
     records = spark.read.parquet(f"{root}/records")
+    if kind:
+        records = records.filter(F.col("kind") == kind)
     block = F.when(F.col("kind") == "response", F.col("payload")).otherwise(F.encode(F.lit(""), "UTF-8"))
-    end = F.encode(F.lit("\r\n\r\n"), "UTF-8")
-    return records.join(payloads, "address").withColumn("record", F.concat("header", block, end))
+    return records.join(payloads, "address").withColumn("record", F.concat("header", block, F.encode(F.lit(_BREAK), "UTF-8")))
+
+
+def parsed(records: DataFrame, record: str = "record") -> DataFrame:
+    """``records`` with what the bytes of each say: page_id, record_type,
+    refers_to, named (the digest), block, whole (lengths and ends agree)."""
+    text = F.col(record).cast("string")
+    head = F.concat(F.substring_index(text, _BREAK, 1), F.lit("\r\n"))
+    field = lambda name: F.regexp_extract("_head", rf"(?m)^{name}: ([^\r]*)\r", 1)
+    page = lambda name: F.regexp_extract(field(name), r"^<urn:page:(-?\d+)>$", 1).try_cast("long")
+    size, start = field("Content-Length").try_cast("int"), F.octet_length("_head") + 2
+    return (
+        records.withColumn("_head", head)
+        .withColumn("page_id", page("WARC-Record-ID"))
+        .withColumn("record_type", field("WARC-Type"))
+        .withColumn("refers_to", page("WARC-Refers-To"))
+        .withColumn("named", field("WARC-Payload-Digest"))
+        .withColumn("block", F.substring(F.col(record), start + 1, size))
+        .withColumn("whole", (F.octet_length(record) == start + size + 4) & (F.substring(F.col(record), -4, 4) == F.encode(F.lit(_BREAK), "UTF-8")))
+        .drop("_head")
+    )
 
 
 def read_index(spark: SparkSession, root: str) -> DataFrame:
-    """Per record its id, type and payload facts, the facts taken from the
-    stored bytes once per payload and checked against their address and against
-    the digest in the record's own header."""
-    stored = spark.read.parquet(f"{root}/payloads").select(
+    """Per record its id, type and payload facts, all read from the rebuilt
+    records: responses with their payload, then revisits, which must name the
+    digest and the id of the response that they are joined with."""
+    got = parsed(read_records(spark, root, "response").select("address", "record"))
+    digest = base32(F.sha1("block"))
+    good = F.col("whole") & (F.col("record_type") == "response") & (F.col("named") == F.concat(F.lit("sha1:"), digest))
+    responses = got.select(
         "address",
-        F.octet_length("payload").cast("long").alias("payload_bytes"),
-        base32(F.sha1("payload")).alias("payload_digest"),
-        (F.unhex(F.sha2("payload", 256)) == F.col("address")).alias("whole"),
-    )
-    head = F.decode("header", "UTF-8")
-    field = lambda name: F.regexp_extract(head, rf"(?m)^{name}: ([^\r]*)", 1)
-    records = spark.read.parquet(f"{root}/records").select(
-        "page_id", "address", "refers_to", field("WARC-Type").alias("record_type"), field("WARC-Payload-Digest").alias("named")
+        "page_id",
+        F.octet_length("block").cast("long").alias("payload_bytes"),
+        F.when(good & (F.unhex(F.sha2("block", 256)) == F.col("address")), digest)
+        .otherwise(F.raise_error("a record does not match its digest"))
+        .alias("payload_digest"),
+        "record_type",
+        "refers_to",
     )
-    joined = records.join(stored, "address", "left")
-    good = F.col("whole") & (F.col("named") == F.concat(F.lit("sha1:"), F.col("payload_digest")))
-    return joined.select(
+    responses.write.parquet(f"{root}/read")
+    responses = spark.read.schema(responses.schema).parquet(f"{root}/read")
+    empty = F.concat("header", F.encode(F.lit(_BREAK), "UTF-8"))
+    revisits = parsed(spark.read.parquet(f"{root}/records").filter("kind = 'revisit'").select("address", empty.alias("record")))
+    seen = responses.select("address", F.col("page_id").alias("seen_id"), "payload_bytes", "payload_digest")
+    right = F.col("whole") & (F.col("named") == F.concat(F.lit("sha1:"), F.col("payload_digest"))) & F.col("refers_to").eqNullSafe(F.col("seen_id"))
+    joined = revisits.join(seen, "address", "left").select(
         "page_id",
         "payload_bytes",
-        F.when(good, F.col("payload_digest")).otherwise(F.raise_error("a payload does not match its digest")).alias("payload_digest"),
+        F.when(right, F.col("payload_digest")).otherwise(F.raise_error("a revisit does not match its response")).alias("payload_digest"),
         "record_type",
         "refers_to",
     )
+    return responses.drop("address").unionByName(joined)
 
 
 def archive(pages: DataFrame, min_revisit_bytes: int = MIN_REVISIT_BYTES) -> DataFrame:
@@ -163,6 +207,27 @@ def archive(pages: DataFrame, min_revisit_bytes: int = MIN_REVISIT_BYTES) -> Dat
     return read_index(spark, root)
 
 
+def export(spark: SparkSession, root: str, path: str) -> None:
+    """Write the archive's records as plain WARC files, one for each task."""
+    value = F.expr("substring(record, 1, octet_length(record) - 4)").cast("string").alias("value")
+    read_records(spark, root).select(value).write.option("lineSep", _BREAK).text(path)  # the writer ends each record
+
+
+def read_files(spark: SparkSession, path: str) -> DataFrame:
+    """The records of exported WARC files as ``record`` and what ``parsed`` adds."""
+    first = spark.read.text(path).limit(2).collect()
+    if not first:
+        return parsed(spark.createDataFrame([], "record binary"))
+    start = _start(first[1][0].removesuffix("\r").split(": ", 1)[1])
+    # what stands between separators lacks its start, but for the first of a file, and
+    # its end, but for the last of a file, as its length tells
+    value = F.when(F.startswith("value", F.lit(start)), F.col("value")).otherwise(F.concat(F.lit(start), F.col("value")))
+    rows = parsed(spark.read.option("lineSep", _BREAK + start).text(path).select(F.encode(value, "UTF-8").alias("part")), "part")
+    over = F.octet_length("part") - F.octet_length(F.substring_index(F.col("part").cast("string"), _BREAK, 1)) - 4 - F.octet_length("block")
+    record = F.when((over == 4) & F.col("whole"), F.col("part")).otherwise(F.concat("part", F.encode(F.lit(_BREAK), "UTF-8")))
+    return parsed(rows.select(record.alias("record")))
+
+
 ORACLE = """
 WITH p AS (
   SELECT page_id, encode(coalesce(html, '')) AS b FROM pages),

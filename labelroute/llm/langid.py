@@ -3,10 +3,11 @@
 Counts of hashed 1- to 3-grams per language are summed on the executors from a
 training sample whose size is bounded by the parameter ``train_rows`` (rows are
 taken by a hash of their content, so the sample is spread over the table).  The
-log-probability matrix, ``languages x buckets``, is broadcast; whole texts are
-scored in numpy by sparse sums over a batch.
+log-probability matrix, ``languages x buckets``, is broadcast.  The grams of a
+batch are one sparse list of (text, bucket) entries; each text sums the matrix
+rows of its entries in numpy, whole texts always.
 
-Defined results: null texts and texts without a letter are ``und`` with score 0;
+Defined results: null texts and texts without a letter (Unicode category L) are ``und`` with score 0;
 rows without a label or text do not train; without any training row every text
 is ``und``.  Ties go to the language that sorts first.  Extra columns are
 ignored; rows are predicted one by one.
@@ -15,13 +16,13 @@ ignored; rows are predicted one by one.
 from __future__ import annotations
 
 import pickle
-import re
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -35,10 +36,12 @@ TRAIN_ROWS = 20_000
 MAX_LANGUAGES = 1_000
 UND = "und"
 
-_LETTER = re.compile(r"[^\W\d_]")
+_LETTER = regex.compile(r"\p{L}")
 _MIX = np.array([0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D], np.uint32)
 #: Code points that numpy handles at once.
 _SLICE = 1 << 20
+#: Code points above which a text is counted by itself, and of a batch of shorter ones.
+_LONG = 1 << 15
 
 
 def grams(codes: np.ndarray, order: int, bits: int = BUCKET_BITS) -> np.ndarray:
@@ -76,32 +79,55 @@ class Model:
     least: np.ndarray | None = None
     spread: np.ndarray | None = None
 
-    def plausible(self, text: str, lang: str) -> bool:
-        """Whether the mean log-probability of the grams is one of ``lang``, at
+    def plausible(self, at: int, mean: float, n: int) -> bool:
+        """Whether the mean log-probability of ``n`` grams is one of a language, at
         any length: a posterior only tells which language is less unlikely."""
-        codes, at = codes_of(text), self.langs.index(lang)
-        bits, total, n = self.log_prob.shape[0].bit_length() - 1, 0.0, 0
-        for lo in range(0, len(codes), _SLICE):
-            for o in ORDERS:
-                idx = grams(codes[lo : lo + _SLICE + o - 1], o, bits)
-                total += float(self.log_prob[idx, at].sum(dtype=np.float64))
-                n += len(idx)
-        return total / n >= self.least[at] - 2 * self.spread[at] / np.sqrt(n)
-
-    def score(self, text: str | None) -> tuple[str, float]:
-        if not text or not self.langs or not _LETTER.search(text):
-            return UND, 0.0
-        codes, total = codes_of(text), self.log_prior.copy()
+        return mean >= self.least[at] - 2 * self.spread[at] / np.sqrt(n)
+
+    def sums(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Log-probability of each text's grams by language, and their number."""
         bits = self.log_prob.shape[0].bit_length() - 1
-        for at in range(0, len(codes), _SLICE):
+        total, n = np.zeros((len(texts), len(self.langs))), np.zeros(len(texts), np.int64)
+        codes = [codes_of(t) for t in texts]
+        at = 0
+        while at < len(texts):
+            if len(codes[at]) > _LONG:  # one dense row
+                counts = counts_of(texts[at], bits)
+                total[at], n[at] = counts.astype(np.float64) @ self.log_prob, counts.sum()
+                at += 1
+                continue
+            to, held = at, 0
+            while to < len(texts) and len(codes[to]) <= _LONG and held <= _LONG:
+                held += len(codes[to])
+                to += 1
+            sizes = np.array([len(c) for c in codes[at:to]])
+            ends = np.cumsum(sizes)
+            all_codes = np.concatenate(codes[at:to])
             for o in ORDERS:
-                idx = grams(codes[at : at + _SLICE + o - 1], o, bits)
-                if len(idx) > 1 << 14:
-                    total += np.bincount(idx, minlength=1 << bits).astype(np.float64) @ self.log_prob
-                else:
-                    total += self.log_prob[idx].sum(0, dtype=np.float64)
-        best = int(np.argmax(total))
-        return self.langs[best], float(1.0 / np.exp(total - total[best]).sum())
+                idx = grams(all_codes, o, bits)
+                of = np.repeat(np.arange(to - at), np.maximum(sizes, 0))[: len(idx)]
+                inside = np.arange(len(idx)) + o <= ends[of]  # no gram reaches into the next text
+                idx, of = idx[inside], of[inside]
+                if not len(idx):
+                    continue
+                starts = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1])))
+                total[at + of[starts]] += np.add.reduceat(self.log_prob[idx], starts, axis=0, dtype=np.float64)
+                n[at + of[starts]] += np.diff(np.append(starts, len(idx)))
+            at = to
+        return total, n
+
+    def scores(self, texts: list[str | None]) -> list[tuple[str, float, bool]]:
+        """Language, posterior, and whether the text is plausible in it (true
+        where no bounds were learned)."""
+        out = [(UND, 0.0, False)] * len(texts)
+        at = [i for i, t in enumerate(texts) if t and self.langs and _LETTER.search(t)]
+        total, n = self.sums([texts[i] for i in at])
+        for i, row, m in zip(at, total, n.tolist(), strict=True):
+            full = row + self.log_prior
+            best = int(np.argmax(full))
+            fits = self.least is None or self.plausible(best, row[best] / m, m)
+            out[i] = self.langs[best], float(1.0 / np.exp(full - full[best]).sum()), fits
+        return out
 
 
 def _sample(train: DataFrame, train_rows: int) -> DataFrame:
@@ -117,6 +143,9 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
     """Fit on rows ``(text, lang)`` of ``train``; both must be non-null."""
     common.tune_arrow(train.sparkSession)
     rows = _sample(train, train_rows)
+    known = rows.select("lang").distinct().limit(MAX_LANGUAGES + 1).count()
+    if known > MAX_LANGUAGES:  # before anything of that size is gathered
+        raise ValueError(f"more than {MAX_LANGUAGES} languages, the bound of the broadcast matrix")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: dict[str, np.ndarray] = {}
@@ -135,8 +164,6 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
     found = rows.mapInPandas(run, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
     table = found.toPandas()  # at most languages x (buckets + 1) rows
     langs = sorted(table["lang"].unique().tolist())
-    if len(langs) > MAX_LANGUAGES:
-        raise ValueError(f"{len(langs)} languages; the broadcast matrix is bounded at {MAX_LANGUAGES}")
     counts, prior = np.zeros((1 << bits, len(langs))), np.zeros(len(langs))
     col = table["lang"].map({x: i for i, x in enumerate(langs)}).to_numpy(dtype=int)
     at, n = table["bucket"].to_numpy(), table["n"].to_numpy()
@@ -193,7 +220,7 @@ def predict(docs: DataFrame, model: Model, key: list[str]) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = pickle.loads(sent.value)
         for b in batches:
-            got = [m.score(t) for t in b.column(len(key)).to_pylist()]
+            got = m.scores(b.column(len(key)).to_pylist())
             cols = [b.column(i) for i in range(len(key))]
             yield pa.RecordBatch.from_arrays(
                 [*cols, pa.array([x[0] for x in got], pa.string()), pa.array([x[1] for x in got], pa.float64())],
@@ -227,10 +254,7 @@ def keep_identified(docs: DataFrame, min_score: float = 0.5, train_rows: int = T
     def run(batches):
         m = pickle.loads(sent.value)
         for b in batches:
-            kept = []
-            for t in b.column(at).to_pylist():
-                lang, score = m.score(t)
-                kept.append(lang != UND and score >= min_score and m.plausible(t, lang))
+            kept = [lang != UND and score >= min_score and fits for lang, score, fits in m.scores(b.column(at).to_pylist())]
             yield b.filter(pa.array(kept, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

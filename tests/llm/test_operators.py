@@ -187,6 +187,51 @@ def test_texts_of_no_learned_language_go(spark, small):
     assert len(got) - len(stay) >= 0.995 * wordy
 
 
+def test_identify_equals_brute_force(spark):
+    """Plain dictionaries of gram counts, one text and one gram at a time."""
+    import math
+    from collections import Counter
+
+    rng = np.random.default_rng(21)
+    alphabet = {"aa": "abcdef ", "bb": "defghi ", "cc": "ghiéäö "}
+    rows = []
+    for i in range(120):
+        lang = str(rng.choice(list(alphabet)))
+        n = 40_000 if i == 7 else int(rng.integers(1, 60))
+        rows.append((i, "".join(rng.choice(list(alphabet[lang]), n)), None if i % 11 == 0 else lang, "s", n))
+    got = by_id(langid.identify(spark.createDataFrame(rows, DOCS)))
+    import zlib
+
+    def buckets(text):
+        codes = langid.codes_of(text)
+        return Counter(int(langid.grams(codes[i : i + o], o)[0]) for o in (1, 2, 3) for i in range(len(codes) - o + 1))
+
+    held = {i: zlib.crc32(str(i).encode()) % 5 == 0 for i, *_ in rows}
+    letters = lambda t: any(c.isalpha() for c in t)
+    train = [(t, la) for i, t, la, *_ in rows if not held[i] and la and letters(t)]
+    count = {la: Counter() for la in alphabet}
+    for t, la in train:
+        count[la].update(buckets(t))
+    size = 1 << langid.BUCKET_BITS
+    for i, t, *_ in rows:
+        if not letters(t):
+            assert got[i]["lang_pred"] == "und"
+            continue
+        full = {}
+        for la, c in count.items():
+            total = sum(c.values()) + 0.5 * size
+            full[la] = math.log(sum(x == la for _, x in train) / len(train)) + sum(k * math.log((c[b] + 0.5) / total) for b, k in buckets(t).items())
+        best = max(sorted(full), key=full.get)
+        score = 1 / sum(math.exp(v - full[best]) for v in full.values())
+        assert (got[i]["held_out"], got[i]["lang_pred"]) == (held[i], best) and abs(got[i]["score"] - score) < 1e-3
+
+
+def test_numerals_are_no_letters(spark):
+    rows = [(i, t, "en", "s", 1) for i, t in enumerate(["the cat and the dog"] * 10)] + [(50 + i, t, None, "s", 1) for i, t in enumerate(["² ½", "Ⅷ ⅻ", "_", "ª", "字"])]
+    got = by_id(langid.identify(spark.createDataFrame(rows, DOCS)))
+    assert [got[50 + i]["lang_pred"] for i in range(5)] == ["und", "und", "und", "en", "en"]
+
+
 def test_slices_count_every_gram():
     text = "abcdefg" * 1000
     whole = langid.counts_of(text)
@@ -215,6 +260,20 @@ def test_url_edges_and_many_rules(spark):
     assert urlfilter.judge(pages.limit(0)).count() == 0
 
 
+def test_rules_without_tokens_and_line_feeds(spark):
+    urls = ["http://a\nb.com/en/1", "http://é.com/x", "http://x.é/--/1", "http://x/--", "://", "http://b.com\n/en/"]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    rules = [("block", "com", "/en/"), ("block", "é", ""), ("allow", "é", "/--"), ("block", "É.COM", "/x")]
+    for inline in (2_000, 1):
+        old, urlfilter.INLINE_RULES = urlfilter.INLINE_RULES, inline
+        try:
+            got = by_id(urlfilter.judge(pages, rules), "page_id")
+        finally:
+            urlfilter.INLINE_RULES = old
+        assert [got[i]["rule"] for i in range(6)] == ["com/en/", None, "é/--", None, None, None]
+        assert got[5]["host"] == "b.com\n" and got[2]["verdict"] == "allow"
+
+
 # 5 substring dedup --------------------------------------------------------------------------------
 
 
@@ -250,6 +309,39 @@ def test_repeats_equal_brute_force(spark, deep):
     assert got == _brute(rows, 20)
 
 
+def test_the_subtree_gives_the_longest_repeat_of_each_leaf():
+    rng = np.random.default_rng(12)
+    for _ in range(60):
+        texts = {d: [f"{x}".encode() for x in rng.integers(0, 2, int(rng.integers(3, 30)))] for d in range(4)}
+        n = int(rng.integers(2, 5))
+        places = [(d, 0, i) for d, w in texts.items() for i in range(len(w) - n + 1)]
+        suffix = lambda p: b"".join(x + b" " for x in texts[p[0]][p[2] :])  # noqa: E731, B023
+        got = dict(substrings.subtree([(suffix(p), 2 * n, p) for p in places], n))
+
+        def shared(p, q):
+            a, b = texts[p[0]][p[2] :], texts[q[0]][q[2] :]  # noqa: B023
+            return next((i for i, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
+
+        want = {p: max((shared(p, q) for q in places if q < p), default=0) for p in places}
+        assert got == {p: m for p, m in want.items() if m >= n}
+
+
+def test_prefixes_are_lengthened_until_groups_fit(spark, monkeypatch):
+    """Windows that share 8, 12 and 16 words before they differ, and one that is hot as a whole."""
+    rng = np.random.default_rng(13)
+    head = [f"h{i}" for i in range(40)]
+    rows = []
+    for d in range(120):
+        cut = int(rng.choice([9, 13, 17, 40]))
+        tail = [f"t{x}" for x in rng.integers(0, 3, 30)]
+        rows.append((d, " ".join(head[:cut] + tail)))
+    steps, cut = [], common.cut
+    monkeypatch.setattr(common, "cut", lambda df, s, why: steps.append(why) or cut(df, s, why))
+    got = {r["doc_id"]: (r["n_words"], r["n_removed"], r["kept_sha256"]) for r in substrings.digests(docs(spark, rows), deep=6).collect()}
+    assert got == _brute(rows, 20)
+    assert substrings.lengths(20, 8) == (8, 12, 16, 20) and steps.count("long-prefixes") == 8 and "first-leaves" in steps
+
+
 def test_repeated_rows_and_removal(spark):
     text = " ".join(f"x{i}" for i in range(30))
     df = docs(spark, [(1, text), (1, text), (2, text + " tail"), (3, "short"), (4, None)])
@@ -280,13 +372,66 @@ def test_held_out_pages_and_consistent_labels():
     model = html.trained()
     right = total = 0
     for page, y in html.generated(60, 991):
-        kept = page.decode(model.score(page.features()))
+        kept = page.decode(model.trees.score(page.features(model.odds)))
         assert all(kept[p] for i, p in enumerate(page.parent) if kept[i] and p >= 0)
         right += int((kept == y).sum())
         total += len(y)
     assert right / total >= 0.97
 
 
+def _templates(rng):
+    """Pages of a second generator: other structures, other names, some in other
+    languages and some meaningless; gives the source and its main text."""
+    vocabulary = ["lake", "Haus", "the", "und", "market", "señor", "rivière", "of", "years", "stand", "because", "Regen", "people", "city", "water"]
+    text = lambda lo, hi: " ".join(rng.choice(vocabulary, int(rng.integers(lo, hi)))).capitalize() + "."
+    several = lambda n, f: [f() for _ in range(int(n))]
+    links = lambda n: "".join(f'<li><a href="#">{text(1, 6)}</a></li>' for _ in range(n))
+    paragraphs = several(rng.integers(3, 8), lambda: text(25, 90))
+    title = text(3, 8)
+    body = f"<h1>{title}</h1>" + "".join(f"<p>{x}</p>" for x in paragraphs)
+    shell = [
+        '<div id="seite"><div class="kopf"><div class="logo">{t}</div><ul class="hauptnavigation">{l}</ul></div><div class="artikeltext">{b}</div>'
+        '<div class="kommentare"><h3>{t}</h3><div class="kommentar"><p>{t}</p></div><div class="kommentar"><p>{t}</p></div></div><div class="fuss">{t}</div></div>',
+        "<header><h2>{t}</h2><nav><ul>{l}</ul></nav></header><main><article>{b}</article><section class='commentaires'><article><p>{t}</p></article><article><p>{t}</p></article></section></main><footer>{t}</footer>",
+        '<div class="barra"><ul>{l}</ul></div><div class="articulo-cuerpo">{b}</div><div class="lo-mas-leido"><h3>{t}</h3><ul>{l}</ul></div><div class="aviso-legal"><p>{t}</p></div>',
+        '<div class="Xk3"><ul>{l}</ul></div><div class="pQ9">{b}</div><div class="more-stories"><h2>{t}</h2><ul>{l}</ul></div>',
+        '<body><div id="cookieBanner">{t}<button>OK</button></div><section id="storyContent">{b}</section><aside class="readNext"><h4>{t}</h4><ul>{l}</ul></aside><form><p>{t}</p><input></form></body>',
+        '<nav>{l}</nav>{b}<div class="sponsoredBox"><p>{t}</p></div><ol class="comment-list"><li><p>{t}</p></li><li><p>{t}</p></li><li><p>{t}</p></li></ol>',
+    ]
+    source = shell[int(rng.integers(len(shell)))]
+    while "{t}" in source:
+        source = source.replace("{t}", text(2, 14), 1)
+    while "{l}" in source:
+        source = source.replace("{l}", links(int(rng.integers(2, 8))), 1)
+    return "<html><head><title>x</title>" + source.replace("{b}", body), [title, *paragraphs]
+
+
+def test_pages_of_another_generator():
+    rng, model = np.random.default_rng(31), html.trained()
+    right = given = wanted = whole = 0
+    for _ in range(300):
+        source, want = _templates(rng)
+        got = html.main_text(source, model).split("\n")
+        size = lambda parts: sum(len(x) for x in parts)
+        both = [x for x in got if x in want]
+        right, given, wanted, whole = right + size(both), given + size(got), wanted + size(want), whole + (got == want)
+    assert right / given >= 0.98 and right / wanted >= 0.98 and whole / 300 >= 0.8
+
+
+def test_open_heads_deep_pages_and_stray_tags():
+    import time
+
+    model, body = html.trained(), "<p>" + "Words of the story go on, and on. " * 20
+    assert html.main_text(f"<html><head><title>x</title><meta charset=x><body><article>{body}</article>", model).startswith("Words")
+    assert html.main_text(f"<head><link rel=x><script>y</script>{body}", model).startswith("Words")
+    assert html.main_text("<head>Bare text, it goes on and on." * 3, model).startswith("Bare")
+    assert html.main_text(f"<head><title>T</title><style>p</style></head>{body}", model).startswith("Words")
+    start = time.time()
+    for source in ("<div>" * 20_000 + "x" + "</b>" * 20_000, "<b>" + "<div>" * 20_000 + "</b>" * 20_000, "<p><b>" * 20_000 + "</div>" * 20_000):
+        html.main_text(source, model)
+    assert time.time() - start < 10
+
+
 def test_html_edges(spark):
     body = "<p>" + "Words of the story go on, and on. " * 20
     sources = [None, "", "<div", f"<article>{body}<p>A &amp; B&nbsp;c<br>d</article><script>x='</p>'</script><!-- {body} -->", "<nav><a href=x>Home</a></nav>", f"<article>{body * 300}"]
@@ -435,6 +580,34 @@ def test_records_come_back_exactly(spark):
     assert warc.archive(df.limit(0)).count() == 0
 
 
+def test_files_of_records_read_back_byte_for_byte(spark):
+    """Payloads that hold record ends, record starts and no text at all."""
+    tricky = ["a\r\n\r\nWARC/1.1\r\nX-Archive-ID: 0\r\nWARC-Type: response\r\n\r\n", "\r\n\r\n", "", "plain", "end\r\n\r\n", "plain", None]
+    df = spark.createDataFrame([(i, f"http://h/{i}", t) for i, t in enumerate(tricky * 5)], "page_id long, url string, html string").repartition(3)
+    root = common.shared_dir(spark, "w")
+    warc.write(df, root)
+    warc.export(spark, root, f"{root}/files")
+    want = sorted(bytes(r["record"]) for r in warc.read_records(spark, root).collect())
+    got = warc.read_files(spark, f"{root}/files").collect()
+    assert sorted(bytes(r["record"]) for r in got) == want and all(r["whole"] for r in got)
+    texts = {r["page_id"]: bytes(r["block"]).decode() for r in got if r["record_type"] == "response"}
+    assert texts == {0: tricky[0], 1: tricky[1], 2: "", 3: "plain", 4: tricky[4]}
+    raw = spark.read.text(f"{root}/files", wholetext=True).collect()
+    assert all(r[0].startswith("WARC/1.1\r\n") and r[0].endswith("\r\n\r\n") for r in raw)
+
+
+def test_a_damaged_archive_is_not_read(spark):
+    df = spark.createDataFrame([(1, "u", "one"), (2, "u", "one"), (3, "u", "two")], "page_id long, url string, html string")
+    for change in ("regexp_replace(h, 'Content-Length: 3', 'Content-Length: 2')", "regexp_replace(h, 'Refers-To: <urn:page:1>', 'Refers-To: <urn:page:9>')"):
+        root = common.shared_dir(spark, "w")
+        warc.write(df, root)
+        records = spark.read.parquet(f"{root}/records").withColumn("h", F.col("header").cast("string"))
+        records = common.cut(records.withColumn("header", F.encode(F.expr(change), "UTF-8")).drop("h"), spark, "damaged")
+        records.write.mode("overwrite").parquet(f"{root}/records")
+        with pytest.raises(Exception, match="does not match"):
+            warc.read_index(spark, root).collect()
+
+
 # 10 embeddings ------------------------------------------------------------------------------------------------------------
 
 

@@ -86,28 +86,54 @@ def cardinality(b) -> Column:
 
 
 def subsets(b, max_card: int = 16) -> Column:
-    """All sub-masks of a bit form; sets with more labels than ``max_card`` fail loudly."""
-    b = _col(b)
-    one = F.lit(1).cast("long")
-    places = F.filter(F.sequence(F.lit(0), F.lit(62)), lambda i: _bit(b, i) != 0)
-    n = F.bit_count(b)
-    masks = F.sequence(F.lit(0).cast("long"), F.pow(F.lit(2.0), n).cast("long") - one)
-
-    def mask(m):
-        picked = F.filter(F.transform(places, lambda p, i: F.when(_bit(m, i) != 0, _power(p))), lambda x: x.isNotNull())
-        return F.aggregate(picked, F.lit(0).cast("long"), lambda a, x: a + x)
+    """All sub-masks of a bit form; sets with more labels than ``max_card`` fail loudly.
 
-    return F.when(n <= max_card, F.transform(masks, mask)).otherwise(
+    The masks are made by doubling: each label adds itself to all masks so far.
+    """
+    b = _col(b)
+    masks = F.aggregate(
+        singles(b),
+        F.array(F.lit(0).cast("long")),
+        lambda made, x: F.concat(made, F.transform(made, lambda m: m + x)),
+    )
+    return F.when(F.bit_count(b) <= max_card, masks).otherwise(
         F.raise_error(F.lit(f"a label set has more than {max_card} labels")).cast("array<bigint>")
     )
 
 
-def _power(i) -> Column:
-    return F.element_at(F.array(*[F.lit(1 << j).cast("long") for j in range(63)]), (i + 1).cast("int"))
+def singles(b) -> Column:
+    """The one-label masks of a bit form."""
+    b = _col(b)
+    powers = F.array(*[F.lit(1 << j).cast("long") for j in range(MAX_LABELS)])
+    return F.filter(powers, lambda p: b.bitwiseAND(p) != 0)
 
 
-def _bit(b, i) -> Column:
-    return b.bitwiseAND(_power(i))
+def meeting(sets: DataFrame, grouped: DataFrame, mode: str = "contain") -> DataFrame:
+    """(qbits, bits): for each distinct set ``bits`` of ``sets`` the groups that match.
+
+    Always an equi-join, at any width: a set meets the groups that hold the one
+    of its labels that the fewest groups hold, and each pair is then tested in
+    full.  The empty set is one row and meets every group.
+    """
+    q = sets.select(F.col("bits").alias("qbits")).distinct().filter("qbits >= 0")
+    g = grouped.select("bits").distinct()
+    if mode == "equal":
+        return q.join(g, q["qbits"] == g["bits"]).select("qbits", "bits")
+    held = g.select(F.explode(singles("bits")).alias("label"), "bits")
+    asked = q.select("qbits", F.explode(singles("qbits")).alias("label"))
+    if mode == "overlap":
+        return asked.join(held, "label").select("qbits", "bits").distinct()
+    counts = held.groupBy("label").count()
+    # a label that no group holds ends the set's search, so an inner join would not do
+    rarest = (
+        asked.join(counts, "label", "left")
+        .groupBy("qbits")
+        .agg(F.min(F.struct(F.coalesce("count", F.lit(0)).alias("c"), "label")).alias("m"))
+        .select("qbits", F.col("m.label").alias("label"))
+    )
+    some = rarest.join(held, "label").filter(contains_all("bits", "qbits")).select("qbits", "bits")
+    empty = q.filter("qbits = 0")  # one row at most
+    return some.unionByName(g.join(F.broadcast(empty)).select("qbits", "bits"))
 
 
 def groups(base: DataFrame) -> DataFrame:
@@ -145,15 +171,19 @@ def top_labels(base: DataFrame, k: int = 28, col: str = "labels") -> DataFrame:
 
 def match_counts(base: DataFrame, sets: DataFrame, mode: str = "contain") -> DataFrame:
     """Matching rows of each distinct set ``bits`` of ``sets`` and the selectivity."""
-    g = groups(base).select(F.col("bits").alias("g"), "n")
+    g = groups(base)
     total = g.agg(F.sum("n").alias("total"))
-    q = sets.select("bits").distinct()
-    # groups and query sets are both aggregates of label sets; only they meet here
-    met = q.join(g, matches("g", "bits", mode), "left").groupBy("bits").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("match_count"))
-    return met.crossJoin(F.broadcast(total)).select(
+    return counted(sets, g, mode).crossJoin(F.broadcast(total)).select(  # one row
         "bits", "match_count", (F.col("match_count") / F.col("total")).alias("selectivity")
     )
 
 
+def counted(sets: DataFrame, grouped: DataFrame, mode: str = "contain") -> DataFrame:
+    """(bits, match_count) of each distinct set, 0 where nothing matches."""
+    met = meeting(sets, grouped, mode).join(grouped.select("bits", "n"), "bits").groupBy("qbits").agg(F.sum("n").alias("c"))
+    q = sets.select("bits").distinct()
+    return q.join(met, q["bits"] == met["qbits"], "left").select("bits", F.coalesce("c", F.lit(0)).cast("long").alias("match_count"))
+
+
 def ranked(df: DataFrame, by: list, order: list, name: str = "rank") -> DataFrame:
     return df.withColumn(name, F.row_number().over(Window.partitionBy(*by).orderBy(*order)))

@@ -25,6 +25,8 @@ class Params:
     alpha: float = 1.0
     layered: bool = True
     gamma: int = 1  # edges per node are gamma * m on the ground layer
+    dense: bool = False  # the ground layer's edges are the nearest nodes, none occluded
+    m_beta: int | None = None  # of a dense node's edges, the nearest that are always stored
 
 
 @dataclass
@@ -91,6 +93,48 @@ def _layer(members: np.ndarray, vecs: np.ndarray, m: int, cap: int, ef: int, alp
     return links
 
 
+def _dense_layer(order: np.ndarray, vecs: np.ndarray, p: Params) -> list[np.ndarray]:
+    """``gamma * m`` nearest nodes of every node, blind to labels, and its nearest
+    earlier node both ways, which keeps the graph in one piece.
+
+    With ``m_beta`` only the nearest ``m_beta`` are all stored; of the others those
+    that a stored one leads to in one more step are left out."""
+    n, most = len(vecs), min(p.m * p.gamma, len(vecs) - 1)
+    links: list[list[int]] = [[] for _ in range(n)]
+    place = np.empty(n, np.int64)
+    place[order] = np.arange(n)
+    norms = (vecs * vecs).sum(1)
+    for lo in range(0, n, 512):
+        d = norms[None, :] + norms[lo : lo + 512, None] - 2 * vecs[lo : lo + 512] @ vecs.T
+        for i, row in enumerate(d, lo):
+            row[i] = np.inf
+            near = np.argpartition(row, most - 1)[:most] if most else np.empty(0, np.int64)
+            links[i] = near[np.lexsort((near, row[near]))].tolist()
+            if place[i]:
+                before = order[: place[i]]
+                links[i].append(int(before[np.argmin(row[before])]))
+    full = [list(dict.fromkeys(x)) for x in links]
+    for i in order.tolist():
+        if place[i]:
+            back = links[i][-1]
+            if i not in full[back]:
+                full[back].append(i)
+    if p.m_beta is not None and p.m_beta < most:
+        whole = [set(x) for x in full]
+        pruned = []
+        for x in full:
+            kept, reached = x[: p.m_beta], set()
+            for y in kept:
+                reached |= whole[y]
+            for y in x[p.m_beta : most]:
+                if y not in reached:
+                    kept.append(y)
+                    reached |= whole[y]
+            pruned.append(kept + [y for y in x[most:] if y not in kept])
+        full = pruned
+    return [np.array(x, np.int32) for x in full]
+
+
 def build(ids, vecs, bits, p: Params) -> Graph:
     ids, vecs, bits = np.asarray(ids, np.int64), np.asarray(vecs, np.float64), np.asarray(bits, np.int64)
     n = len(ids)
@@ -104,6 +148,9 @@ def build(ids, vecs, bits, p: Params) -> Graph:
     layers = []
     for l in range(int(level.max(initial=0)) + 1):  # noqa: E741
         members = order[level[order] >= l]
+        if l == 0 and p.dense:
+            layers.append(_dense_layer(order, vecs, p))
+            continue
         per, cap = (p.m * p.gamma, 2 * p.m * p.gamma) if l == 0 else (p.m, p.m)
         links = _layer(members, vecs, per, cap, max(p.ef_build, per), p.alpha)
         layers.append([np.array(links.get(i, []), np.int32) for i in range(n)])
@@ -158,7 +205,8 @@ def search(g: Graph, q: np.ndarray, qbits: int, k: int, ef: int, rule: str = "po
 
     ``post``: mismatches are walked through and never returned; ``pre``:
     mismatches are dropped on sight; ``twohop``: a mismatch is replaced by its
-    own neighbours; ``label``: a label-navigating graph from its minimal sets.
+    own neighbours; ``label``: a label-navigating graph from its minimal sets;
+    ``next``: nodes are taken one at a time in growing distance until k match.
     Deleted ids (``dead``) count as mismatches.
     """
     st = Stats()
@@ -168,6 +216,16 @@ def search(g: Graph, q: np.ndarray, qbits: int, k: int, ef: int, rule: str = "po
     ok = (g.bits & qbits) == qbits
     if dead:
         ok = ok & ~np.isin(g.ids, list(dead))
+    if rule == "next":
+        got = []
+        for d, i in neighbours(g, q, st):
+            st.expanded += 1
+            if ok[i]:
+                st.matched += 1
+                got.append((d, int(g.ids[i])))
+                if len(got) == k:
+                    break
+        return sorted(got), st
     dist = lambda at: distances(q, g.vecs[at])
     start = [g.entry]
     if rule == "label":
@@ -238,17 +296,28 @@ def search(g: Graph, q: np.ndarray, qbits: int, k: int, ef: int, rule: str = "po
     return found, st
 
 
-def neighbours(g: Graph, q: np.ndarray):
-    """Nodes in (approximately) increasing distance, one at a time."""
+def neighbours(g: Graph, q: np.ndarray, st: Stats | None = None):
+    """(distance, node) in (approximately) increasing distance, one at a time."""
+    st = st or Stats()
     q = np.asarray(q, np.float64)
     seen = np.zeros(len(g.ids), bool)
-    open_ = [(float(distances(q, g.vecs[[g.entry]])[0]), g.entry)]
-    seen[g.entry] = True
+    at, d = g.entry, float(distances(q, g.vecs[[g.entry]])[0])
+    for layer in reversed(g.layers[1:]):  # down to the ground, nearer at each step
+        while len(near := layer[at]):
+            ds = distances(q, g.vecs[near])
+            st.distances += len(near)
+            i = int(np.argmin(ds))
+            if ds[i] >= d:
+                break
+            at, d = int(near[i]), float(ds[i])
+    open_ = [(d, at)]
+    seen[at] = True
     while open_:
         d, i = heapq.heappop(open_)
-        yield d, int(g.ids[i])
+        yield d, i
         near = [x for x in g.layers[0][i].tolist() if not seen[x]]
         if near:
             seen[near] = True
+            st.distances += len(near)
             for dd, x in zip(distances(q, g.vecs[near]).tolist(), near, strict=True):
                 heapq.heappush(open_, (dd, x))

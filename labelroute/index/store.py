@@ -1,26 +1,35 @@
 """Index sets on Spark: membership, sharded builds, sharded search.
 
 One Parquet row holds one shard of one index (links, vectors, bits as a blob).
-Builds run one task per (index, shard); searches attach each query to the
-shards of its routed index, run one kernel per shard and merge by rank.
+Builds run one task per (index, shard).  A search scans the built table where it
+lies: queries, a stated set, are sent to the shards in blocks of a fixed size,
+so no blob is ever shuffled; each shard answers by one kernel and the answers
+are merged by rank.
 """
 
 from __future__ import annotations
 
+import pickle
+import time
 from functools import lru_cache
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import labels as lb
-from ..operators.search import cut
+from ..operators.search import cut, most
 from ..sources.sinks import scratch
 from . import cells, graph
 
 #: Rows of one shard; a shard is one task's work and one row's blob.
 SHARD_ROWS = 20_000
+#: Queries that one scan of the built table answers.
+QUERY_BLOCK = 20_000
+#: Bytes of one Arrow batch of blobs; a larger blob travels alone.
+BATCH_BYTES = 32 << 20
 
 
 def members(base: DataFrame, selection: DataFrame) -> DataFrame:
@@ -29,8 +38,7 @@ def members(base: DataFrame, selection: DataFrame) -> DataFrame:
     Groups meet the selection (both small), then rows meet their group by
     equality: the base is read once.
     """
-    s = selection.select(F.col("bits").alias("index_bits"))
-    inside = lb.groups(base).select("bits").join(s, lb.contains_all("bits", "index_bits"))
+    inside = lb.meeting(selection, lb.groups(base)).withColumnRenamed("qbits", "index_bits")
     return base.select("vec_id", "vec", "bits").join(inside, "bits").select("index_bits", "vec_id", "vec", "bits")
 
 
@@ -42,11 +50,22 @@ def sharded(rows: DataFrame, selection: DataFrame, shard_rows: int = SHARD_ROWS)
     )
 
 
-def build(base: DataFrame, selection: DataFrame, kind: str = "graph", params: graph.Params | None = None, shard_rows: int = SHARD_ROWS, path: str | None = None) -> DataFrame:
+SCHEMA = "index_bits long, shard int, n long, link_bytes long, blob binary"
+
+
+def build(
+    base: DataFrame,
+    selection: DataFrame,
+    kind: str = "graph",
+    params: graph.Params | None = None,
+    shard_rows: int = SHARD_ROWS,
+    path: str | None = None,
+    first_shard: int = 0,
+) -> DataFrame:
     """(index_bits, shard, n, link_bytes, blob), one row per shard, stored at ``path``."""
     p = params or graph.Params()
 
-    def one(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def one(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("vec_id")
         vecs = np.stack(pdf["vec"].to_numpy()) if len(pdf) else np.zeros((0, 1))
         args = pdf["vec_id"].to_numpy(), vecs, pdf["bits"].to_numpy()
@@ -54,15 +73,37 @@ def build(base: DataFrame, selection: DataFrame, kind: str = "graph", params: gr
             g = graph.build_label_graph(*args, p)
         elif kind == "cells":
             g = cells.build(*args)
+        elif kind == "buckets":
+            g = cells.build_buckets(*args)
         else:
             g = graph.build(*args, p)
         return pd.DataFrame({"index_bits": [key[0]], "shard": [key[1]], "n": [len(pdf)], "link_bytes": [g.link_bytes], "blob": [g.dump()]})
 
-    rows = sharded(members(base, selection), selection, shard_rows)
-    schema = "index_bits long, shard int, n long, link_bytes long, blob binary"
+    rows = sharded(members(base, selection), selection, shard_rows).withColumn("shard", F.col("shard") + first_shard)
     path = path or scratch(base.sparkSession, "index")
-    rows.groupBy("index_bits", "shard").applyInPandas(one, schema).write.mode("overwrite").parquet(path)
-    return base.sparkSession.read.schema(schema).parquet(path)
+    _tune(base.sparkSession)
+    rows.groupBy("index_bits", "shard").applyInPandas(one, SCHEMA).write.mode("overwrite").parquet(path)
+    return base.sparkSession.read.schema(SCHEMA).parquet(path)
+
+
+def extend(built: DataFrame, fresh: DataFrame, selection: DataFrame, kind: str = "graph", params: graph.Params | None = None, shard_rows: int = SHARD_ROWS, path: str | None = None) -> DataFrame:
+    """Shards of the rows ``fresh`` for every selected index that they belong to,
+    to stand beside those of ``built``: answers of shards are merged by rank, so
+    nothing that was built is touched."""
+    sizes = lb.counted(selection, lb.groups(fresh)).filter("match_count > 0").withColumnRenamed("match_count", "n")
+    last = built.agg(F.max("shard")).first()[0]
+    return build(fresh, sizes, kind, params, shard_rows, path, 0 if last is None else last + 1)
+
+
+def marks(base: DataFrame, dead: DataFrame, selection: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """(index_bits, shard, dead): deleted ids (``dead(vec_id)``) of each shard, no
+    more than it has rows."""
+    gone = members(base.join(dead.select("vec_id").distinct(), "vec_id", "left_semi"), selection)
+    return sharded(gone, selection, shard_rows).groupBy("index_bits", "shard").agg(F.collect_list("vec_id").alias("dead"))
+
+
+def _tune(spark: SparkSession) -> None:
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
 
 
 @lru_cache(maxsize=8)
@@ -70,40 +111,87 @@ def _load(blob: bytes):
     return graph.Graph.load(blob)
 
 
-def search(built: DataFrame, queries: DataFrame, routes: DataFrame, ef: int = 64, rule: str = "post", dead: frozenset = frozenset()) -> DataFrame:
-    """qid, vec_id, dist, and the counters of each shard, before the merge."""
-    r = routes.select(F.col("bits").alias("qb"), "index_bits")
-    q = queries.select("qid", "qvec", "k", F.col("bits").alias("qb")).join(r, "qb")
-    asked = q.join(built.select("index_bits", "shard"), "index_bits").select(
-        F.col("index_bits").alias("asked_index"), F.col("shard").alias("asked_shard"), "qid", "qvec", "k", "qb"
-    )
+_ANSWER = "qid long, ef int, index_bits long, shard int, vec_id long, dist double, examined long, distances long, seconds double"
 
-    def one(key, shard: pd.DataFrame, qs: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        for blob in shard["blob"]:
-            g = _load(bytes(blob))
-            run = cells.search if isinstance(g, cells.Cells) else graph.search
-            for x in qs.itertuples():
-                found, st = run(g, np.asarray(x.qvec), int(x.qb), int(x.k), ef, rule, dead)
-                for d, i in found:
-                    out.append((x.qid, i, d, st.expanded, st.distances))
-                if not found:
-                    out.append((x.qid, None, None, st.expanded, st.distances))
-        return pd.DataFrame(out, columns=["qid", "vec_id", "dist", "examined", "distances"]).astype({"vec_id": "Int64"})
-
-    return (
-        built.groupBy("index_bits", "shard")
-        .cogroup(asked.groupBy("asked_index", "asked_shard"))
-        .applyInPandas(one, "qid long, vec_id long, dist double, examined long, distances long")
-    )
+
+def search(
+    built: DataFrame,
+    queries: DataFrame,
+    routes: DataFrame,
+    ef: int | tuple[int, ...] = 64,
+    rule: str = "post",
+    marked: DataFrame | None = None,
+) -> DataFrame:
+    """Answers of each shard before the merge, with its counters and the seconds
+    that its kernel took: qid, ef, index_bits, shard, vec_id, dist, examined,
+    distances, seconds.  Several ``ef`` are answered in one scan.
+
+    ``marked`` (of ``marks``) names deleted ids; searches walk past them.
+    """
+    spark = built.sparkSession
+    _tune(spark)
+    beams = (ef,) if isinstance(ef, int) else tuple(ef)
+    r = routes.select(F.col("bits").alias("qb"), "index_bits")
+    q = queries.select("qid", F.col("qvec").cast("array<double>").alias("qvec"), "k", F.col("bits").alias("qb")).join(r, "qb")
+    shards = built.select("index_bits", "shard", "blob")
+    if marked is None:
+        shards = shards.withColumn("dead", F.lit(None).cast("array<bigint>"))
+    else:  # Spark broadcasts the marks only under its own threshold
+        shards = shards.join(marked, ["index_bits", "shard"], "left").select("index_bits", "shard", "blob", "dead")
+    blocks = max(1, -(-q.count() // QUERY_BLOCK))
+    out = None
+    for i in range(blocks):
+        some = q if blocks == 1 else q.filter(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == i)
+        asked: dict[int, list] = {}
+        for x in some.select("index_bits", "qid", "qvec", "k", "qb").collect():  # about QUERY_BLOCK rows
+            asked.setdefault(x[0], []).append((x[1], np.asarray(x[2]), x[3], x[4]))
+        part = shards.mapInArrow(_answers(spark.sparkContext.broadcast(pickle.dumps(asked)), beams, rule), _ANSWER)
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def _answers(sent, beams, rule):
+    def run(batches):
+        asked = pickle.loads(sent.value)
+        types = (pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.float64())
+        names = [x.split(" ")[0] for x in _ANSWER.split(", ")]
+        for b in batches:
+            for i in range(b.num_rows):
+                index, shard, blob, dead = (b.column(j)[i].as_py() for j in range(4))
+                mine = asked.get(index)
+                if not mine:
+                    continue
+                g = _load(blob)
+                kernel = {cells.Cells: cells.search, cells.Buckets: cells.search_buckets}.get(type(g), graph.search)
+                gone, rows = frozenset(dead or ()), []
+                for qid, vec, k, bits in mine:
+                    for ef in beams:
+                        began = time.perf_counter()
+                        found, st = kernel(g, vec, bits, k, ef, rule, gone)
+                        took = time.perf_counter() - began
+                        for d, x in found or [(None, None)]:
+                            rows.append((qid, ef, index, shard, x, d, st.expanded, st.distances, took))
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names)
+
+    return run
 
 
 def work(parts: DataFrame) -> DataFrame:
-    """Nodes expanded and distances computed per query, over its shards."""
-    each = parts.select("qid", "examined", "distances").distinct()
-    return each.groupBy("qid").agg(F.sum("examined").alias("examined"), F.sum("distances").alias("distances"))
+    """Nodes expanded, distances computed and kernel seconds per query and beam,
+    summed over its shards."""
+    each = parts.select("qid", "ef", "index_bits", "shard", "examined", "distances", "seconds").dropDuplicates(["qid", "ef", "index_bits", "shard"])
+    return each.groupBy("qid", "ef").agg(F.sum("examined").alias("examined"), F.sum("distances").alias("distances"), F.sum("seconds").alias("seconds"))
 
 
 def merge(parts: DataFrame, queries: DataFrame) -> DataFrame:
+    """Best k of the shards' answers; of one beam."""
     found = parts.filter("vec_id IS NOT NULL").select("qid", "vec_id", "dist").distinct()
     return cut(found.join(queries.select("qid", "k").distinct(), "qid"), queries)
+
+
+def merge_beams(parts: DataFrame, queries: DataFrame) -> DataFrame:
+    """(qid, ef, rank, vec_id, dist): the same for every beam of a sweep."""
+    found = parts.filter("vec_id IS NOT NULL").select("qid", "ef", "vec_id", "dist").distinct()
+    w = Window.partitionBy("qid", "ef").orderBy("dist", "vec_id")
+    ranked = found.join(queries.select("qid", "k").distinct(), "qid").withColumn("rank", F.row_number().over(w))
+    return ranked.filter((F.col("rank") <= F.lit(most(queries))) & (F.col("rank") <= F.col("k"))).drop("k")

@@ -6,6 +6,7 @@ import json
 import uuid
 from fractions import Fraction
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -96,12 +97,14 @@ def update_for_budget(lattice: sel.Lattice, current: list[int], tau: int, c_mill
 
 class Manifest:
     """Versions of an index set.  A reader pins a version; a writer publishes
-    the next by renaming a complete file, and fails if another got there first."""
+    the next by a rename that never replaces a file, and fails if another got
+    there first."""
 
     def __init__(self, spark: SparkSession, root: str):
-        self.root = root.rstrip("/")
+        self.spark, self.root = spark, root.rstrip("/")
         self._jvm = spark.sparkContext._jvm
-        self._fs = self._path(root).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        self._conf = spark.sparkContext._jsc.hadoopConfiguration()
+        self._fs = self._path(root).getFileSystem(self._conf)
 
     def _path(self, p: str):
         return self._jvm.org.apache.hadoop.fs.Path(p)
@@ -129,9 +132,15 @@ class Manifest:
             out.write(json.dumps(indexes).encode())
         finally:
             out.close()
-        if self._fs.exists(final) or not self._fs.rename(aside, final):
+        options = self.spark.sparkContext._gateway.new_array(self._jvm.org.apache.hadoop.fs.Options.Rename, 0)
+        try:
+            files = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._fs.getUri(), self._conf)
+            files.rename(self._fs.makeQualified(aside), self._fs.makeQualified(final), options)
+        except Py4JJavaError as e:
+            if "FileAlreadyExists" not in e.java_exception.getClass().getName():
+                raise
             self._fs.delete(aside, False)
-            raise RuntimeError("another writer published this version")
+            raise RuntimeError("another writer published this version") from e
         return base + 1
 
 

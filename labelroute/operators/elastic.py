@@ -72,8 +72,7 @@ def is_feasible(universe: DataFrame, selection: DataFrame, c_milli: int, tau: in
 
 def overlap_sizes(sets: DataFrame, grouped: DataFrame) -> DataFrame:
     """Rows that share at least one label with each set."""
-    g = grouped.select(F.col("bits").alias("g"), "n")
-    return sets.select("bits").distinct().join(g, lb.overlaps("g", "bits")).groupBy("bits").agg(F.sum("n").cast("long").alias("n"))
+    return lb.counted(sets, grouped, "overlap").filter("match_count > 0").select("bits", F.col("match_count").alias("n"))
 
 
 def overlap_factor(sets: DataFrame, selection: DataFrame, grouped: DataFrame) -> DataFrame:
@@ -84,7 +83,9 @@ def overlap_factor(sets: DataFrame, selection: DataFrame, grouped: DataFrame) ->
     q = overlap_sizes(sets, grouped).select("bits", F.col("n").alias("n_q"))
     i = overlap_sizes(selection.filter("bits <> 0"), grouped).select(F.col("bits").alias("i"), F.col("n").alias("n_i"))
     total = grouped.agg(F.sum("n").cast("long").alias("total"))
-    met = q.join(i, lb.contains_all("i", "bits"), "left").groupBy("bits", "n_q").agg(F.min("n_i").alias("n_i"))
+    above = lb.meeting(q, i.withColumnRenamed("i", "bits")).select("qbits", F.col("bits").alias("i"))
+    least = above.join(i, "i").groupBy("qbits").agg(F.min("n_i").alias("n_i"))
+    met = q.join(least, q["bits"] == least["qbits"], "left")
     return met.crossJoin(F.broadcast(total)).select("bits", (F.col("n_q") / F.least(F.coalesce("n_i", "total"), "total")).alias("factor"))
 
 

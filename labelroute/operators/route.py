@@ -36,11 +36,7 @@ def plan(selection: DataFrame, query_sets: DataFrame, grouped: DataFrame, scan_r
 
 
 def lb_counts(query_sets: DataFrame, grouped: DataFrame) -> DataFrame:
-    g = grouped.select(F.col("bits").alias("g"), "n")
-    q = query_sets.select("bits").distinct()
-    return q.join(g, lb.contains_all("g", "bits") & (F.col("bits") >= 0), "left").groupBy("bits").agg(
-        F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n_q")
-    )
+    return lb.counted(query_sets, grouped).withColumnRenamed("match_count", "n_q")
 
 
 def auto_strategy(match_count, total, k, flat_cost: float = 1.0):

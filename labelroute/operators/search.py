@@ -16,13 +16,13 @@ from ..functions import labels as lb
 from ..functions import vectors as vx
 
 
+#: Queries that a fused search sends to the executors at a time.
+FUSED_QUERIES = 4_096
+
+
 def admitted(queries: DataFrame, grouped: DataFrame, mode: str = "contain") -> DataFrame:
     """(qbits, bits): for each query set the groups whose rows match it."""
-    q = queries.select(F.col("bits").alias("qbits")).distinct()
-    on = lb.matches("bits", "qbits", mode) & (F.col("qbits") >= 0)
-    if mode == "overlap":
-        on = lb.overlaps("bits", "qbits") & (F.col("qbits") >= 0)
-    return q.join(grouped.select("bits"), on)
+    return lb.meeting(queries, grouped, mode)
 
 
 def candidates(base: DataFrame, queries: DataFrame, mode: str = "contain") -> DataFrame:
@@ -60,15 +60,15 @@ def bruteforce_stats(base: DataFrame, queries: DataFrame) -> DataFrame:
     return q.join(counts, q["bits"] == counts["b"], "left").select("qid", F.coalesce("match_count", F.lit(0)).cast("long").alias("scanned"))
 
 
-def index_pairs(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
+def index_pairs(base: DataFrame, queries: DataFrame, routes: DataFrame, *more: str) -> DataFrame:
     """Every row of a query's routed index with its distance and whether it matches."""
     r = routes.select(F.col("bits").alias("qbits"), "index_bits")
-    q = queries.select("qid", "qvec", "k", F.col("bits").alias("qbits")).join(r, "qbits")
+    q = queries.select("qid", "qvec", "k", F.col("bits").alias("qbits"), *more).join(r, "qbits")
     g = lb.groups(base).select("bits")
-    inside = q.select("index_bits").distinct().join(g, lb.contains_all("bits", "index_bits"))
+    inside = lb.meeting(q.select(F.col("index_bits").alias("bits")), g).withColumnRenamed("qbits", "index_bits")
     met = q.join(inside, "index_bits").join(base.select("vec_id", "vec", "bits"), "bits")
     return met.select(
-        "qid", "k", "vec_id", "index_bits", lb.contains_all("bits", "qbits").alias("match"), vx.l2sq("qvec", "vec").alias("dist")
+        "qid", "k", "vec_id", "index_bits", lb.contains_all("bits", "qbits").alias("match"), vx.l2sq("qvec", "vec").alias("dist"), *more
     )
 
 
@@ -76,41 +76,61 @@ def pre_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFram
     return cut(index_pairs(base, queries, routes).filter("match"), queries)
 
 
+def _nearer(base: DataFrame, queries: DataFrame, routes: DataFrame, found: DataFrame) -> DataFrame:
+    """(qid, slot, n): rows of the routed index between a query's answers; slot 0
+    holds those up to the first, slot 1 those from there up to the second.
+
+    The answers, at most k a query, go along with their query as sorted bounds,
+    so the rows are only counted, by partial sums, and never ranked."""
+    bounds = found.groupBy("qid").agg(F.array_sort(F.collect_list(F.struct("dist", "vec_id"))).alias("bounds"))
+    asked = queries.join(bounds, "qid")
+    at = F.struct("dist", "vec_id")
+    slot = F.size(F.filter("bounds", lambda x: x < at))
+    rows = index_pairs(base, asked, routes, "bounds").select("qid", slot.alias("slot"), F.size("bounds").alias("last"))
+    return rows.filter("slot < last").groupBy("qid", "slot").agg(F.count("*").alias("n"))
+
+
 def post_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
     """Walk each index in distance order until k rows match: result rows with
-    the number of rows examined up to each."""
-    w = Window.partitionBy("qid").orderBy("dist", "vec_id")
-    walked = index_pairs(base, queries, routes).select(
-        "qid", "k", "vec_id", "dist", "match",
-        F.row_number().over(w).alias("examined"),
-        F.sum(F.col("match").cast("int")).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("rank"),
-    )
-    return walked.filter(F.col("match") & (F.col("rank") <= F.col("k"))).select("qid", F.col("rank").cast("int").alias("rank"), "vec_id", "dist", "examined")
+    the number of rows examined up to each.
+
+    The answers come from a limited rank over the matches; what the walk would
+    have examined is then counted, not walked."""
+    found = pre_flat(base, queries, routes)
+    n = _nearer(base, queries, routes, found).withColumn("rank", F.col("slot") + 1)
+    w = Window.partitionBy("qid").orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)  # k rows a query
+    upto = n.withColumn("examined", F.sum("n").over(w)).select("qid", "rank", "examined")
+    return found.join(upto, ["qid", "rank"]).select("qid", "rank", "vec_id", "dist", "examined")
 
 
 def post_examined(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
     """Rows examined until the k-th match, the whole index if there are fewer."""
-    w = Window.partitionBy("qid").orderBy("dist", "vec_id")
-    walked = index_pairs(base, queries, routes).select(
-        "qid", "k", "match", F.row_number().over(w).alias("at"),
-        F.sum(F.col("match").cast("int")).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("seen"),
-    )
-    kth = F.min(F.when(F.col("match") & (F.col("seen") == F.col("k")), F.col("at")))
-    return walked.groupBy("qid").agg(F.coalesce(kth, F.count("*")).cast("long").alias("examined"))
+    found = pre_flat(base, queries, routes)
+    full = found.join(queries.select("qid", "k"), "qid").filter("rank = k").drop("k")
+    upto = _nearer(base, queries, routes, full).select("qid", F.col("n").alias("upto"))
+    sizes = lb.counted(routes.select(F.col("index_bits").alias("bits")), lb.groups(base)).withColumnRenamed("bits", "index_bits")
+    whole = queries.select("qid", "bits").join(routes.select("bits", "index_bits"), "bits").join(sizes, "index_bits")
+    return whole.join(upto, "qid", "left").select("qid", F.coalesce("upto", "match_count").cast("long").alias("examined"))
 
 
 def fused_knn(base: DataFrame, queries: DataFrame, weight: float) -> DataFrame:
     """Distance plus ``weight`` per missing label; answers may miss labels.
 
     A fused distance filters nothing, so each query is scored against all rows:
-    queries are a stated, bounded set and are broadcast.
+    a stated query set, sent in blocks of ``FUSED_QUERIES`` by the hash of its id.
     """
     q = queries.select("qid", "qvec", "k", F.col("bits").alias("qbits"))
+    blocks = -(-queries.count() // FUSED_QUERIES)
     missing = F.bit_count(F.col("qbits").bitwiseAND(F.bitwise_not("bits")))
-    pairs = base.crossJoin(F.broadcast(q)).select(
-        "qid", "k", "vec_id", (vx.l2sq("qvec", "vec") + F.lit(float(weight)) * missing).alias("dist"), (missing == 0).alias("match")
-    )
-    return cut(pairs, queries, "match")
+    out = None
+    for i in range(max(1, blocks)):
+        some = q if blocks <= 1 else q.filter(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == i)
+        pairs = base.crossJoin(F.broadcast(some)).select(
+            "qid", "k", "vec_id", (vx.l2sq("qvec", "vec") + F.lit(float(weight)) * missing).alias("dist"), (missing == 0).alias("match")
+        )
+        part = cut(pairs, queries, "match")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def merge_topk(parts: DataFrame, k: int) -> DataFrame:

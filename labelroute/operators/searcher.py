@@ -30,17 +30,18 @@ class LabelSearcher:
     def explain(self, queries: DataFrame) -> DataFrame:
         return rt.plan(self.selection, queries, lb.groups(self.base), self.scan_rows)
 
-    def search(self, queries: DataFrame, ef: int = 64, rule: str = "post", dead: frozenset = frozenset()) -> DataFrame:
-        """qid, rank, vec_id, dist."""
+    def search(self, queries: DataFrame, ef: int = 64, rule: str = "post", dead: DataFrame | None = None) -> DataFrame:
+        """qid, rank, vec_id, dist; ``dead(vec_id)`` are deleted rows."""
         plan = self.explain(queries).select(F.col("bits").alias("pb"), "plan")
         q = queries.join(plan, queries["bits"] == plan["pb"]).drop("pb")
         cols = queries.columns
-        base = self.base if not dead else self.base.filter(~F.col("vec_id").isin(list(dead)))
+        base = self.base if dead is None else self.base.join(dead.select("vec_id").distinct(), "vec_id", "left_anti")
         scanned = sr.exact_knn(base, q.filter("plan = 'scan'").select(cols))
         through = q.filter("plan = 'index'").select(cols)
         routes = rt.route(self.selection, through)
         if self.kind == "flat":
-            found = sr.post_flat(base, through, routes).drop("examined")
+            found = sr.pre_flat(base, through, routes)  # the answers of a walk, without counting it
         else:
-            found = store.merge(store.search(self.built, through, routes, ef, rule, dead), through)
+            marked = None if dead is None else store.marks(self.base, dead, self.selection, self.shard_rows)
+            found = store.merge(store.search(self.built, through, routes, ef, rule, marked), through)
         return scanned.unionByName(found)

@@ -5,8 +5,9 @@
 
 The cover relation is one Spark job; up to ``driver_limit`` edges the greedy
 loop runs on the driver with a lazy heap, above it on the executors, a block of
-candidates a round.  Both make the same picks: benefit (a fraction, compared by
-cross-multiplication) descending, then size, then key ascending.
+candidates a round whose edges are bounded too.  Both make the same picks:
+benefit (a fraction, compared by cross-multiplication) descending, then size,
+then key ascending.  The budget search runs either loop.
 """
 
 from __future__ import annotations
@@ -16,15 +17,26 @@ from dataclasses import dataclass, field
 from fractions import Fraction
 from itertools import combinations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .elastic import MILLI, cover_edges
+from ..sources.sinks import scratch
+from .elastic import MILLI, cover_edges, serving
 
 DRIVER_LIMIT = 5_000_000
+#: Edges of one block of candidates that the distributed greedy brings to the driver.
+BLOCK_EDGES = 1_000_000
 TOP = 0
 
 
+def written(df: DataFrame) -> DataFrame:
+    """``df`` as a table of the shared folder: computed once, and lineage ends there."""
+    path = scratch(df.sparkSession, "cut")
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 @dataclass
 class Lattice:
     """Sizes, and for every pair of sets in relation who serves whom."""
@@ -36,14 +48,19 @@ class Lattice:
     @classmethod
     def collect(cls, universe: DataFrame, containment: str = "labels", driver_limit: int = DRIVER_LIMIT) -> Lattice | None:
         """The lattice on the driver, or None if it has more edges than allowed."""
-        edges = cover_edges(universe, None, containment)
-        rows = edges.select("src", "dst").limit(driver_limit + 1).collect()
-        if len(rows) > driver_limit:
+        universe = written(universe)  # both sides of the relation and the sizes read it
+        edges = cover_edges(universe, None, containment).select("src", "dst")
+        table = edges.limit(driver_limit + 1).toArrow()
+        if table.num_rows > driver_limit:
             return None
+        src, dst = (table.column(i).to_numpy() for i in (0, 1))
         size = {r["bits"]: r["n"] for r in universe.select("bits", "n").collect()}
+        order = np.lexsort((dst, src))
+        src, dst = src[order], dst[order]
+        starts = np.flatnonzero(np.concatenate(([True], src[1:] != src[:-1]))) if len(src) else np.empty(0, np.int64)
         serves: dict = {k: [] for k in size}
-        for r in rows:
-            serves[r["src"]].append(r["dst"])
+        for at, part in zip(starts.tolist(), np.split(dst, starts[1:]) if len(src) else (), strict=True):
+            serves[int(src[at])] = part.tolist()
         return cls(size, serves)
 
     @classmethod
@@ -201,64 +218,70 @@ def _selection(lat: Lattice, picks: list[Pick], c_milli: int, charge_top: bool,
     return Selection(picks, lat.cost(chosen, charge_top), lat.factor(chosen), c_milli, count, lat)
 
 
-def _distributed(universe: DataFrame, c_milli: int, charge_top: bool, containment: str, block: int = 64) -> Selection:
+def _distributed(universe: DataFrame, c_milli: int, charge_top: bool, containment: str, block: int = 64, block_edges: int = BLOCK_EDGES) -> Selection:
     """Greedy with the cover relation on the executors.
 
     A round computes all current benefits (an upper bound for later rounds),
-    brings the best ``block`` candidates with their still uncovered sets' sizes
-    to the driver and takes them in order while a fresh benefit precedes the
-    next stale one, so picks equal those of the plain loop.
+    brings the best candidates, at most ``block`` with ``block_edges`` edges, with
+    their still uncovered sets' sizes to the driver and takes them in order
+    while a fresh benefit precedes the next stale one, so picks equal those of
+    the plain loop.  A first candidate with more edges is taken without them.
+    What the picks cover is joined on the executors.
     """
-    edges = cover_edges(universe, c_milli, containment).cache()
+    spark = universe.sparkSession
+    universe = written(universe)
+    edges = written(cover_edges(universe, c_milli, containment))
     top = universe.filter(F.col("bits") == TOP).first()
     if top is None:
         return Selection([], 0, Fraction(1), c_milli)
     picks = [Pick(TOP, top["n"], 0, 0, top["n"])]
-    covered = edges.filter(F.col("src") == TOP).select("dst").checkpoint()
+    covered = edges.filter(F.col("src") == TOP).select("dst")
     picks[0].num = universe.join(covered.withColumnRenamed("dst", "bits"), "bits", "left_semi").agg(F.sum("n")).first()[0]
-    body = edges.filter(F.col("src") != TOP)
+    live = written(edges.filter(F.col("src") != TOP).join(covered, "dst", "left_anti"))
     rnd = 0
     while True:
-        live = body.join(covered, "dst", "left_anti")
-        gain = live.groupBy("src", "n_src").agg(F.sum("n_dst").alias("num"))
+        gain = live.groupBy("src", "n_src").agg(F.sum("n_dst").alias("num"), F.count("*").alias("edges"))
         # the exact order of fractions is settled on the driver; doubles only choose the block
         best = gain.orderBy((F.col("num") / F.col("n_src")).desc(), "n_src", "src").limit(block + 1).collect()
         if not best:
             break
-        order = sorted((-Fraction(r["num"], r["n_src"]), r["n_src"], r["src"]) for r in best)
-        stale_after = order[block] if len(order) > block else None
-        order = order[:block]
+        many = {r["src"]: r["edges"] for r in best}
+        ranked = sorted((-Fraction(r["num"], r["n_src"]), r["n_src"], r["src"]) for r in best)
+        order, held = [], 0
+        for o in ranked[:block]:
+            held += many[o[2]]
+            if order and held > block_edges:
+                break
+            order.append(o)
+        stale_after = ranked[len(order)] if len(order) < len(ranked) else None
         names = [s for _, _, s in order]
         reach: dict = {s: [] for s in names}
-        for r in live.filter(F.col("src").isin(names)).select("src", "dst", "n_dst").collect():
-            reach[r["src"]].append((r["dst"], r["n_dst"]))
+        if held <= block_edges:
+            for r in live.filter(F.col("src").isin(names)).select("src", "dst", "n_dst").collect():
+                reach[r["src"]].append((r["dst"], r["n_dst"]))
         heap = [(*o, 0) for o in order]
         heapq.heapify(heap)
         done: set = set()
-        taken = 0
+        chosen: list = []
         while heap:
             f, n, s, stamp = heap[0]
-            if stamp != taken:
+            if stamp != len(chosen):
                 heapq.heappop(heap)
                 g = sum(x for d, x in reach[s] if d not in done)
                 if g:
-                    heapq.heappush(heap, (-Fraction(g, n), n, s, taken))
+                    heapq.heappush(heap, (-Fraction(g, n), n, s, len(chosen)))
                 continue
-            if taken and stale_after is not None and (f, n, s) > stale_after:
+            if chosen and stale_after is not None and (f, n, s) > stale_after:
                 break
             heapq.heappop(heap)
             rnd += 1
-            taken += 1
+            chosen.append(s)
             picks.append(Pick(s, n, rnd, int(-f * n), n))
             done.update(d for d, _ in reach[s])
-        more = universe.sparkSession.createDataFrame([(d,) for d in sorted(done)], "dst long")
-        covered = covered.unionByName(more).checkpoint()
-    edges.unpersist()
-    spark = universe.sparkSession
-    chosen = spark.createDataFrame([(p.bits, p.n) for p in picks], "bits long, n long")
-    from .elastic import serving
-
-    worst = serving(universe, chosen, containment).agg(F.min(F.struct((F.col("n_q") / F.col("n_i")).alias("f"), "n_q", "n_i")).alias("w")).first()["w"]
+        gone = live.filter(F.col("src").isin(chosen)).select("dst").distinct()
+        live = written(live.join(gone, "dst", "left_anti"))
+    taken = spark.createDataFrame([(p.bits, p.n) for p in picks], "bits long, n long")
+    worst = serving(universe, taken, containment).agg(F.min(F.struct((F.col("n_q") / F.col("n_i")).alias("f"), "n_q", "n_i")).alias("w")).first()["w"]
     cost = sum(p.n for p in picks if charge_top or p.bits != TOP)
     return Selection(picks, cost, Fraction(worst["n_q"], worst["n_i"]), c_milli)
 
@@ -282,7 +305,7 @@ def select_for_budget(
     """
     lat = universe if isinstance(universe, Lattice) else Lattice.collect(universe, containment, driver_limit)
     if lat is None:
-        raise ValueError("the cover relation exceeds driver_limit; raise it or drop small sets first")
+        return _budget_on_executors(universe, tau, space_ratio, eps, search, charge_top, containment)
     limit = tau if tau is not None else int(space_ratio * lat.size.get(TOP, 0))
     if charge_top and limit < lat.size.get(TOP, 0):
         raise ValueError("the budget is below the size of the top index")
@@ -331,6 +354,50 @@ def select_for_budget(
     return best
 
 
+def _budget_on_executors(universe: DataFrame, tau: int | None, space_ratio: float, eps: float, search: str, charge_top: bool, containment: str) -> Selection:
+    """The same search where the cover relation is too large for the driver: each
+    attempt is a distributed greedy.  ``breakpoints`` would need every ratio on
+    the driver; in steps of ``eps`` it is ``descending``."""
+    universe = written(universe)
+    top = universe.filter(F.col("bits") == TOP).first()
+    limit = tau if tau is not None else int(space_ratio * (top["n"] if top else 0))
+    if charge_top and top and limit < top["n"]:
+        raise ValueError("the budget is below the size of the top index")
+    step, runs = max(1, round(eps * MILLI)), 0
+
+    def attempt(c_milli: int) -> Selection | None:
+        nonlocal runs
+        runs += 1
+        got = _distributed(universe, c_milli, charge_top, containment)
+        return got if got.cost <= limit else None
+
+    best = None
+    if search == "bisect":
+        low, high = 0, MILLI
+        got = attempt(high)
+        if got is not None:
+            best, low = got, high
+        while high - low > step:
+            mid = (low + high) // 2
+            got = attempt(mid)
+            if got is None:
+                high = mid
+            else:
+                low = mid
+                if best is None or got.realised >= best.realised:
+                    best = got
+    elif search in ("descending", "breakpoints"):
+        best = next((got for c in range(MILLI, 0, -step) if (got := attempt(c)) is not None), None)
+    else:
+        raise ValueError(search)
+    if best is None:  # the top alone
+        least, total = universe.agg(F.min("n"), F.sum("n")).first()
+        picks = [Pick(TOP, top["n"], 0, total, top["n"])] if top else []
+        best = Selection(picks, top["n"] if charge_top and top else 0, Fraction(least, top["n"]) if top else Fraction(1), step)
+    best.evaluations = runs
+    return best
+
+
 def _greedy_at(lat: Lattice, f: Fraction) -> tuple[list[Pick], int]:
     """Greedy at an exact ratio, by scaling sizes so that thousandths suffice."""
 
@@ -421,3 +488,18 @@ def set_cover_instance(elements: list[int], sets: list[list[int]]) -> tuple[Latt
         serves[("s", i)] = [("s", i), *[("e", e) for e in members]]
     serves[TOP] += [k for k in size if k != TOP]
     return Lattice(size, serves), b
+
+
+def cover_of_elements(lat: Lattice, c_milli: int) -> list:
+    """Greedy picks among the sets of ``set_cover_instance`` until they cover all
+    elements at the factor ``c``."""
+    kind = lambda x: x[0] if isinstance(x, tuple) else None
+    reach = {x: {y for y in lat.covered_by(x, c_milli) if kind(y) == "e"} for x in lat.size if kind(x) == "s"}
+    want, got, picks = {x for x in lat.size if kind(x) == "e"}, set(), []
+    while got != want:
+        best = max(reach, key=lambda x: (Fraction(len(reach[x] - got), lat.size[x]), str(x)))
+        if reach[best] <= got:
+            raise ValueError("the sets do not cover every element")
+        picks.append(best)
+        got |= reach[best]
+    return picks

@@ -34,20 +34,19 @@ def universe_workload(base: DataFrame, workload: DataFrame, how: str = "auto", m
     """Only the workload's sets (and the empty set); sets without a match go.
 
     ``explode`` meets the subsets of each group with the workload in an
-    equi-join; ``nested`` tests each pair, for labels too wide to explode.
-    ``auto`` explodes when the widest group allows it.
+    equi-join; ``rarest`` meets each set with the groups that hold its rarest
+    label, at any width.  ``auto`` explodes when the widest group allows it.
     """
     spark = base.sparkSession
     grouped = lb.groups(base)
     wanted = workload.select("bits").unionByName(spark.createDataFrame([(0,)], "bits long")).distinct()
     if how == "auto":
         widest = grouped.agg(F.max(F.bit_count("bits"))).first()[0] or 0
-        how = "explode" if widest <= max_card else "nested"
+        how = "explode" if widest <= max_card else "rarest"
     if how == "explode":
         out = from_groups(grouped, max_card).join(wanted, "bits", "left_semi")
     else:
-        g = grouped.select(F.col("bits").alias("g"), "n")
-        out = wanted.join(g, lb.contains_all("g", "bits")).groupBy("bits").agg(F.sum("n").cast("long").alias("n"))
+        out = lb.counted(wanted, grouped).filter("match_count > 0").select("bits", F.col("match_count").alias("n"))
     return drop_small(out, min_rows) if min_rows else out
 
 

@@ -182,7 +182,7 @@ def _(s, d):
 )
 def _(s, d):
     b, w = encoded(s, d, "line")
-    return un.universe_workload(b, _event_sets(s, d, w), how="nested").select(key(w), "n")
+    return un.universe_workload(b, _event_sets(s, d, w), how="rarest").select(key(w), "n")
 
 
 @query("b03_universe_min_rows", with_(LINE, G, U) + f"SELECT {skey()} AS key, n FROM u WHERE n >= 4000 OR len(labels) = 0")

@@ -31,8 +31,8 @@ def encoded(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, lis
 
 
 def split(spark: SparkSession, sf_dir: str, k: int = 10, take: int = 2) -> tuple[DataFrame, DataFrame, list[str]]:
-    """Base and held-out queries of the document set; a query asks for the
-    first ``take`` of its own labels."""
+    """All rows of the document set and its queries, the rows whose id 20
+    divides; a query asks for the first ``take`` of its own labels."""
     all_rows, words = encoded(spark, sf_dir, "doc_vec")
     base, held = ds.split(all_rows)
     q = held.select(
@@ -66,11 +66,15 @@ LINE = """base AS (
 ORDER = f"""base AS (
   SELECT o_orderkey AS vec_id, list_sort(list_filter(['status:' || o_orderstatus, 'prio:' || o_orderpriority, 'year:' || year(o_orderdate),
     'seg:' || c_mktsegment], {_NN})) AS labels FROM orders LEFT JOIN customer ON o_custkey = c_custkey)"""
-#: Document set with vectors, its base and held-out queries.
+#: Document set with vectors and its queries.
 SPLIT = DOC.replace("base AS", "alld AS", 1) + """,
 allv AS (SELECT vec_id, embedding AS vec, labels FROM alld JOIN embeddings USING (vec_id)),
-base AS (SELECT * FROM allv WHERE vec_id % 20 <> 7),
-q AS (SELECT vec_id AS qid, vec AS qvec, labels[1:{take}] AS ql FROM allv WHERE vec_id % 20 = 7)"""
+base AS (SELECT * FROM allv),
+q AS (SELECT vec_id AS qid, vec AS qvec, labels[1:{take}] AS ql FROM allv WHERE vec_id % 20 = 0)"""
+#: The same set without the rows that stand for inserts.
+BEFORE = DOC.replace("base AS", "alld AS", 1) + """,
+allv AS (SELECT vec_id, embedding AS vec, labels FROM alld JOIN embeddings USING (vec_id)),
+base AS (SELECT * FROM allv WHERE vec_id % 20 <> 7)"""
 DICT = "dict AS (SELECT label, row_number() OVER (ORDER BY label) - 1 AS bit FROM (SELECT DISTINCT unnest(labels) AS label FROM base))"
 G = "g AS (SELECT labels, count(*) AS n FROM base GROUP BY labels)"
 SUB = "list_transform(range(0, (1 << len({0}))::BIGINT), lambda m: list_filter({0}, lambda x, i: ((m >> (i - 1)) & 1) = 1))"

@@ -6,8 +6,10 @@ from pyspark.sql import functions as F
 
 from ..functions import labels as lb
 from ..operators import elastic as el
+from ..operators import generate
 from ..operators import select as sel
 from ..operators import universe as un
+from ..sources.tables import load
 from .common import DOC, G, LINE, U, encoded, key, skey, small_selection, with_
 
 Q, O = {}, {}  # noqa: E741
@@ -115,14 +117,66 @@ def _(s, d):
 
 @query("c02_select_factor_executors")
 def _(s, d):
-    if s.sparkContext.getCheckpointDir() is None:
-        from ..streaming.feeds import local_checkpoints
-
-        local_checkpoints(s)
     b, w = encoded(s, d, "doc")
     return _picked(sel.select_for_factor(un.universe_all(b), 0.2, driver_limit=0), s, w)
 
 
+@query("c05_select_budget_executors")
+def _(s, d):
+    b, w = encoded(s, d, "doc")
+    got = sel.select_for_budget(un.universe_all(b), space_ratio=2.0, eps=0.05, driver_limit=0)
+    return got.df(s).select(key(w), "n", F.lit(round(got.realised_factor, 6)).alias("realised_factor"), F.lit(got.cost).alias("cost"))
+
+
+def _checks(s, rows):
+    return s.createDataFrame(rows, "dataset string, fact string, holds boolean")
+
+
+def _true(*facts, sets=("doc", "order")):
+    return "SELECT * FROM (VALUES " + ", ".join(f"('{x}', '{f}', true)" for x in sets for f in facts) + ") t(dataset, fact, holds)"
+
+
+@query("c02_factor_checks", _true("every set is served at c", "lazy, plain and executor picks are equal", "cost is the sum of picked sizes", "no pick is redundant to the first", "realised factor is the least served one"))
+def _(s, d):
+    """What must hold of a factor-bound selection, computed from its picks by joins."""
+    rows = []
+    for name in ("doc", "order"):
+        b, _w = encoded(s, d, name)
+        u = sel.written(un.universe_all(b))
+        lat = sel.Lattice.collect(u)
+        got = sel.select_for_factor(lat, 0.2)
+        chosen = got.df(s)
+        f = el.is_feasible(u, chosen, 200, got.cost, False).first()
+        least = el.serving(u, chosen).agg(F.min(F.col("n_q") / F.col("n_i"))).first()[0]
+        same = got.picks == sel.select_for_factor(lat, 0.2, "plain").picks == sel.select_for_factor(u, 0.2, driver_limit=0).picks
+        rows += [
+            (name, "every set is served at c", f["violations"] == 0),
+            (name, "lazy, plain and executor picks are equal", same),
+            (name, "cost is the sum of picked sizes", f["cost"] == got.cost),
+            (name, "no pick is redundant to the first", all(p.num > 0 for p in got.picks)),
+            (name, "realised factor is the least served one", abs(least - got.realised_factor) < 1e-12),
+        ]
+    return _checks(s, rows)
+
+
+@query("c05_budget_checks", _true("cost is within the budget", "no smaller factor than the top alone", "executor and driver picks are equal", "a larger budget never lowers the factor"))
+def _(s, d):
+    rows = []
+    for name in ("doc", "order"):
+        b, _w = encoded(s, d, name)
+        u = sel.written(un.universe_all(b))
+        lat = sel.Lattice.collect(u)
+        got, wide = (sel.select_for_budget(lat, space_ratio=r, eps=0.125) for r in (2.0, 4.0))
+        far = sel.select_for_budget(u, space_ratio=2.0, eps=0.125, driver_limit=0)
+        rows += [
+            (name, "cost is within the budget", got.cost <= 2 * lat.size[0]),
+            (name, "no smaller factor than the top alone", got.realised >= lat.factor([0])),
+            (name, "executor and driver picks are equal", got.picks == far.picks),
+            (name, "a larger budget never lowers the factor", wide.realised >= got.realised),
+        ]
+    return _checks(s, rows)
+
+
 for _search in ("bisect", "descending", "breakpoints"):
 
     def _budget(s, d, search=_search):
@@ -196,22 +250,11 @@ def _(s, d):
 def _(s, d):
     lat, b = sel.set_cover_instance([1, 2, 3, 4], [[1, 2, 3], [2, 3, 4], [1, 4, 2]])
     c = 2 * b / lat.size[sel.TOP]
-    # only sets (2b) may be picked to cover elements (b + 1) at this factor
-    picks = _cover(lat, round(c * 1000))
+    picks = sel.cover_of_elements(lat, round(c * 1000))
     rows = [("element", b + 1), ("set", 2 * b), ("top", lat.size[sel.TOP]), ("c_milli", round(c * 1000)), ("selected_sets", len(picks)), ("cost", sum(lat.size[p] for p in picks))]
     return s.createDataFrame(rows, "fact string, value int")
 
 
-def _cover(lat, m):
-    reach = {x: {e for e in lat.covered_by(x, m) if isinstance(e, tuple) and e[0] == "e"} for x in lat.size if isinstance(x, tuple) and x[0] == "s"}
-    want, got, picks = {x for x in lat.size if isinstance(x, tuple) and x[0] == "e"}, set(), []
-    while got != want:
-        best = max(reach, key=lambda x: (len(reach[x] - got) / lat.size[x], str(x)))
-        picks.append(best)
-        got |= reach[best]
-    return picks
-
-
 @query("c15_disjoint", "SELECT 13::BIGINT AS candidates, 13::BIGINT AS selected, 24::BIGINT AS rows")
 def _(s, d):
     rows = s.range(12).select(F.col("id").alias("vec_id"), F.array(F.concat(F.lit("L"), F.col("id").cast("string"))).alias("labels"))
@@ -231,13 +274,22 @@ def _(s, d):
     return a.crossJoin(c.agg(F.count("*").alias("selected"), F.sum("n").cast("long").alias("selected_rows")))
 
 
+def _sets(s, d):
+    """Given labelled sets, and the embeddings under four label distributions."""
+    for name in ("doc", "part", "line", "order", "source", "page", "event", "meta", "keywords"):
+        yield name, encoded(s, d, name)[0]
+    e = load(s, d, "embeddings").select("vec_id")
+    for name in ("zipf", "uniform", "poisson", "multinomial"):
+        rows = getattr(generate, name)(e)
+        yield name, lb.encode(rows, lb.dictionary(rows))
+
+
 @query("x03_selection_statistics")
 def _(s, d):
-    """Candidates, selected sets and their rows by labelled set, factor bound and
-    budget bound."""
+    """Candidates, selected sets and their rows by labelled set and distribution,
+    factor bound and budget bound."""
     out = []
-    for name in ("doc", "part", "line", "order", "source", "page", "event", "meta", "keywords"):
-        b, _w = encoded(s, d, name)
+    for name, b in _sets(s, d):
         lat = sel.Lattice.collect(un.universe_all(b))
         for method, got in (("factor 0.2", sel.select_for_factor(lat, 0.2)), ("budget 2.0", sel.select_for_budget(lat, space_ratio=2.0))):
             st = got.stats()
@@ -245,6 +297,27 @@ def _(s, d):
     return s.createDataFrame(out, "dataset string, method string, candidates long, selected long, candidate_rows long, selected_rows long, min_factor double")
 
 
+@query(
+    "x03_shapes",
+    "SELECT * FROM (VALUES " + ", ".join(f"('{m}', '{f}', true)" for m in ("factor 0.2", "budget 2.0") for f in ("fewer sets than candidates on every set", "fewer rows than all candidates", "bound kept")) + ") t(method, fact, holds)",
+)
+def _(s, d):
+    """The reported behaviour of the selection statistics, as facts."""
+    rows = Q["x03_selection_statistics"](s, d).collect()
+    base = {r["dataset"]: 0 for r in rows}
+    out = []
+    for m in ("factor 0.2", "budget 2.0"):
+        mine = [r for r in rows if r["method"] == m]
+        out.append((m, "fewer sets than candidates on every set", all(r["selected"] < r["candidates"] for r in mine)))
+        out.append((m, "fewer rows than all candidates", all(r["selected_rows"] < r["candidate_rows"] for r in mine)))
+        if m == "factor 0.2":
+            out.append((m, "bound kept", all(r["min_factor"] >= 0.2 for r in mine)))
+        else:  # twice the rows of the top besides it
+            top = {name: b.count() for name, b in _sets(s, d) if name in base}
+            out.append((m, "bound kept", all(r["selected_rows"] <= 3 * top[r["dataset"]] for r in mine)))
+    return s.createDataFrame(out, "method string, fact string, holds boolean")
+
+
 @query(
     "x09_thresholds",
     """SELECT * FROM (VALUES (500, 'A', true), (500, 'B', false), (500, 'C', false), (500, 'A|B', false), (300, 'A', true), (300, 'B', true),
@@ -268,8 +341,9 @@ def _(s, d):
     from ..operators import metrics
 
     out = []
-    for name in ("line", "part"):
-        b, _w = encoded(s, d, name)
+    e = load(s, d, "embeddings").select("vec_id")
+    zipf = lambda n: (lambda rows: lb.encode(rows, lb.dictionary(rows)))(generate.zipf(e, n))
+    for name, b in (("line", encoded(s, d, "line")[0]), ("part", encoded(s, d, "part")[0]), ("zipf 24", zipf(24)), ("zipf 32", zipf(32))):
         lat, job = metrics.timed(lambda b=b: sel.Lattice.collect(un.universe_all(b)))
         for method in ("lazy", "plain"):
             got, sec = metrics.timed(lambda lat=lat, m=method: sel.select_for_factor(lat, 0.2, m))

@@ -10,9 +10,13 @@ from pyspark.sql import types as T
 
 from ..functions import labels as lb
 from ..functions import vectors as vx
+from ..operators import route
+from ..operators import search as sr
+from ..operators import universe as un
+from ..plans import inspect
 from ..sources import sinks
 from ..sources.tables import SCHEMAS, load, views
-from .common import D2, DOC, G, LINE, SUB, U, encoded, key, skey, with_
+from .common import D2, DOC, G, LINE, SUB, U, encoded, key, skey, small_selection, split, with_
 
 Q, O = {}, {}  # noqa: E741
 
@@ -423,4 +427,57 @@ def _(s, d):
     return e.filter(F.col("embedding").isNull() | (F.size("embedding") != 64)).select("vec_id")
 
 
+@query("o_udtf_nearest", f"""SELECT label, vec_id FROM (SELECT label, vec_id, row_number() OVER (PARTITION BY label ORDER BY {D2.format('e.embedding', 'q.embedding')}, vec_id) AS r
+ FROM embeddings e, (SELECT embedding FROM embeddings WHERE vec_id = 0) q) WHERE r <= 3""")
+def _(s, d):
+    """The three nearest rows of every label to one vector, by a table function."""
+    from .tablefuncs import NearestOf
+
+    s.udtf.register("nearest_of", NearestOf)
+    e = load(s, d, "embeddings")
+    e.select("vec_id", F.col("embedding").alias("vec"), "label").createOrReplaceTempView("_labelled")
+    first = ", ".join(f"{float(x)!r}D" for x in e.filter("vec_id = 0").select("embedding").first()[0])
+    got = s.sql(f"SELECT * FROM nearest_of(TABLE(_labelled) PARTITION BY (label), array({first}), 3)")
+    return got.join(s.table("_labelled").select("vec_id", "label"), "vec_id").select("label", "vec_id")
+
+
+@query("o_topk_merge", f"""SELECT qid, rank, vec_id FROM (SELECT q.vec_id AS qid, e.vec_id, row_number() OVER (PARTITION BY q.vec_id ORDER BY {D2.format('e.embedding', 'q.embedding')}, e.vec_id)::INT AS rank
+ FROM embeddings e, (SELECT * FROM embeddings WHERE vec_id % 20 = 0) q) WHERE rank <= 5""")
+def _(s, d):
+    """Best answers of four parts of the base, merged."""
+    e = load(s, d, "embeddings").select("vec_id", F.col("embedding").alias("vec"), F.lit(0).cast("long").alias("bits"))
+    q = e.filter("vec_id % 20 = 0").select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"), "bits", F.lit(5).alias("k"))
+    parts = None
+    for i in range(4):
+        some = sr.exact_knn(e.filter(F.pmod(F.xxhash64("vec_id"), F.lit(4)) == i), q).drop("rank")
+        parts = some if parts is None else parts.unionByName(some)
+    return sr.merge_topk(parts, 5).select("qid", "rank", "vec_id")
+
+
+@query("o_sink_bucketed", "SELECT o_orderkey, count(*) AS lines FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderkey")
+def _(s, d):
+    """Two tables bucketed alike: their join exchanges nothing."""
+    left = sinks.bucketed(load(s, d, "orders").select("o_orderkey"), "o_orderkey", 8)
+    right = sinks.bucketed(load(s, d, "lineitem").select(F.col("l_orderkey").alias("o_orderkey"), "l_linenumber"), "o_orderkey", 8)
+    return left.join(right, "o_orderkey").groupBy("o_orderkey").agg(F.count("*").alias("lines"))
+
+
+@query("o_plan_checks", "SELECT * FROM (VALUES ('no product of queries and rows', true), ('answers are ranked before the shuffle', true), ('a walk is counted, not ranked', true), ('selection reads no vectors', true), ('filters reach the scan', true)) t(fact, holds)")
+def _(s, d):
+    """What the plans of search and selection must look like."""
+    b, q, _w = split(s, d)
+    found = sr.exact_knn(b, q)
+    routes = route.route(small_selection(b), q)
+    walk = sr.post_flat(b, q, routes)
+    counted = encoded(s, d, "doc")[0]
+    rows = [
+        ("no product of queries and rows", inspect.no_cartesian(found) and inspect.no_cartesian(routes) and inspect.no_cartesian(walk)),
+        ("answers are ranked before the shuffle", inspect.has(found, "WindowGroupLimit")),
+        ("a walk is counted, not ranked", inspect.has(walk, "partial_count") and inspect.has(walk, "WindowGroupLimit")),
+        ("selection reads no vectors", not {"text", "embedding"} & inspect.scanned_columns(un.universe_all(counted))),
+        ("filters reach the scan", any("l_quantity" in x for x in inspect.pushed(load(s, d, "lineitem").filter("l_quantity > 40").select("l_orderkey")))),
+    ]
+    return s.createDataFrame(rows, "fact string, holds boolean")
+
+
 _ = DataFrame, T, SCHEMAS

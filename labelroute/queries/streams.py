@@ -8,10 +8,13 @@ from pyspark.sql import functions as F
 
 from ..functions import labels as lb
 from ..operators import universe as un
-from ..operators import select as sel
+from ..operators import versioned
+from ..operators.versioned import IndexStore
+from ..sources import datasets as ds
+from ..sources.sinks import scratch
 from ..sources.tables import load
 from ..streaming import feeds
-from .common import encoded, key
+from .common import key
 
 Q, O = {}, {}  # noqa: E741
 
@@ -34,25 +37,34 @@ def _events(s, d):
     return feeds.event_stream(s, d)
 
 
-@query("f10_stream_insert", "SELECT '∅' AS index_key, count(*) AS rows FROM events UNION ALL SELECT 'lang:en', count(*) FROM events")
+_EVENT_LABELS = """list_sort(['type:' || event_type, 'day:' || (dayofweek(ts) + 1), 'user:' || (user_id % 4)])"""
+
+
+@query(
+    "f10_stream_insert",
+    f"""WITH base AS (SELECT event_id, {_EVENT_LABELS} AS labels FROM events),
+sel AS (SELECT DISTINCT [x] AS labels FROM (SELECT unnest(labels) AS x FROM base WHERE event_id % 2 = 0) UNION ALL SELECT []::VARCHAR[])
+SELECT CASE WHEN len(sel.labels) = 0 THEN '∅' ELSE sel.labels[1] END AS index_key, count(*) AS rows
+FROM base JOIN sel ON list_has_all(base.labels, sel.labels) WHERE event_id % 2 = 1 GROUP BY 1""",
+)
 def _(s, d):
-    """Event rows as inserts: each micro-batch finds the indexes it belongs to."""
-    b, w = encoded(s, d, "doc")
-    chosen = sel.select_top(un.universe_all(b)).unionByName(un.universe_all(b).filter(F.bit_count("bits") == 1)).cache()
-    target = _name("inserts")
-    got = []
+    """Every other event is inserted from a stream, with its own labels, into the
+    indexes of the others; each micro-batch comes twice and counts once."""
+    e = load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    words = lb.dictionary(ds.event_rows(e))
+    base = lb.encode(ds.event_rows(e.filter("event_id % 2 = 0")), words)
+    u = un.universe_all(base)
+    home = IndexStore(s, scratch(s, "inserts"), "flat")
+    home.create(base, u.filter(F.bit_count("bits") <= 1))
 
     def apply(batch, batch_id):
-        rows = lb.encode(batch.select(F.col("event_id").alias("vec_id"), F.array(F.lit("lang:en")).alias("labels")), w)
-        member = rows.join(chosen.select(F.col("bits").alias("index_bits")), lb.contains_all("bits", "index_bits"))
-        got.append(member.groupBy("index_bits").agg(F.count("*").alias("rows")).select(key(w, "index_bits", "index_key"), "rows").collect())
-
-    import tempfile
+        rows = lb.encode(ds.event_rows(batch), words)
+        home.insert(rows, batch_id)
+        home.insert(rows, batch_id)  # a replay after a failure
 
-    base = s.conf.get("spark.checkpoint.dir", None)
-    feeds.insert_stream(_events(s, d), apply, f"{base}/{target}" if base else tempfile.mkdtemp()).awaitTermination()
-    rows = [tuple(r) for part in got for r in part]
-    return s.createDataFrame(rows, "index_key string, rows long").groupBy("index_key").agg(F.sum("rows").alias("rows"))
+    arriving = feeds.file_stream(s, [e.filter(f"event_id % 2 = 1 AND event_id % 3 {sign} 0") for sign in ("=", "<>")])
+    feeds.insert_stream(arriving, apply, scratch(s, "inserts-state")).awaitTermination()
+    return versioned.membership(home.waiting()).select(key(words, "index_bits", "index_key"), "rows")
 
 
 def _windowed(s, d, size, slide=None):
@@ -90,15 +102,20 @@ b AS (SELECT user_id, ts, sum(CASE WHEN p IS NULL OR ts >= p + INTERVAL 30 MINUT
 SELECT user_id, n, count(*) AS sessions FROM (SELECT user_id, g, count(*) AS n FROM b GROUP BY user_id, g) GROUP BY user_id, n""",
 )
 def _(s, d):
-    e = load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    w = feeds.sessions(e)
+    w = feeds.drain(feeds.sessions(_events(s, d)), _name("sessions"), "complete")
     return w.groupBy("user_id", "n").agg(F.count("*").alias("sessions"))
 
 
 @query("f12_dedup_late", "SELECT event_id, event_type FROM events")
 def _(s, d):
-    e = _events(s, d).withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1))))
-    return feeds.drain(feeds.once(e).select("event_id", "event_type"), _name("once"))
+    """Every event comes twice, then rows that are later than the watermark: those
+    with a year-old instant are dropped, whatever their id."""
+    e = load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    twice = e.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("copy")
+    first, second = (twice.filter(f"event_id % 2 = {i}") for i in (0, 1))
+    # a micro-batch is held against the watermark of the one before it
+    late = e.withColumn("event_id", -1 - F.col("event_id")).withColumn("ts", F.col("ts") - F.expr("INTERVAL 400 DAYS"))
+    return feeds.drain(feeds.once(feeds.file_stream(s, [first, second, late])).select("event_id", "event_type"), _name("once"))
 
 
 @query("o_stream_dedup", "SELECT event_type, count(*) AS n FROM events GROUP BY event_type")

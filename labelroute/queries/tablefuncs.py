@@ -27,3 +27,25 @@ class GreedyTrace:
         trace: list = []
         greedy(Lattice.of(size), round(c * 1000), "plain", trace=trace)
         yield from trace
+
+
+@udtf(returnType="vec_id long, dist double")
+class NearestOf:
+    """The ``k`` nearest rows of a table argument's partition to a vector, by
+    squared distance; holds ``k`` rows."""
+
+    def __init__(self):
+        self.best, self.k = [], 0
+
+    def eval(self, row, vec, k):
+        import heapq
+
+        d = sum((float(a) - float(b)) ** 2 for a, b in zip(row["vec"], vec, strict=True))
+        self.k = int(k)
+        heapq.heappush(self.best, (-d, -row["vec_id"]))
+        if len(self.best) > self.k:
+            heapq.heappop(self.best)
+
+    def terminate(self):
+        for d, i in sorted(self.best, reverse=True):
+            yield -i, -d

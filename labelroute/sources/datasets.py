@@ -2,7 +2,8 @@
 
 Each function returns ``(vec_id, vec, labels)``; where only label sets matter
 (selection never reads vectors) use the ``*_labels`` form, whose scan prunes
-every other column.  Queries hold out ``vec_id % 20 = 7``.
+every other column.  Queries are the rows whose id 20 divides, against all rows;
+inserts are the rows of another remainder, held out of their base.
 """
 
 from __future__ import annotations
@@ -14,7 +15,9 @@ from ..functions import rng, vectors
 from ..functions.labels import canon
 from .tables import load
 
-HELD_OUT = 7
+QUERY_EVERY = 20
+#: Remainder of the rows that stand for inserts.
+ARRIVING = 7
 
 
 def _labels(*cols: Column) -> Column:
@@ -57,6 +60,13 @@ def part_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def part_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parts with their exact size: more labels than one number holds."""
+    p = load(spark, sf_dir, "part").withColumnRenamed("p_partkey", "vec_id")
+    names = _labels(_tag("brand", F.col("p_brand")), _tag("type", F.col("p_type")), _tag("size", F.col("p_size")))
+    return _vectors(spark, sf_dir).join(p.select("vec_id", names.alias("labels")), "vec_id")
+
+
 def part(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _vectors(spark, sf_dir).join(part_labels(spark, sf_dir), "vec_id")
 
@@ -116,16 +126,7 @@ def page_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def event_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = load(spark, sf_dir, "events")
-    return e.select(
-        F.col("event_id").alias("vec_id"),
-        _labels(
-            _tag("type", F.col("event_type")), _tag("day", F.dayofweek("ts")), _tag("user", F.pmod("user_id", F.lit(4)))
-        ).alias("labels"),
-        F.array(
-            F.col("value").cast("float"), (F.hour("ts") / 24).cast("float"), F.get_json_object("props", "$.k").cast("float")
-        ).alias("vec"),
-    )
+    return event_rows(load(spark, sf_dir, "events"))
 
 
 def meta(spark: SparkSession, sf_dir: str, nearest: int = 3) -> DataFrame:
@@ -183,6 +184,22 @@ def amplified(spark: SparkSession, sf_dir: str, copies: int, alphabet: int = 12)
 
 
 def split(base: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Base rows and held-out rows."""
-    held = F.pmod("vec_id", F.lit(20)) == HELD_OUT
-    return base.filter(~held), base.filter(held)
+    """All rows, and those that are queries."""
+    return base, base.filter(F.pmod("vec_id", F.lit(QUERY_EVERY)) == 0)
+
+
+def arrivals(base: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Rows that were there before, and rows that are inserted."""
+    new = F.pmod("vec_id", F.lit(QUERY_EVERY)) == ARRIVING
+    return base.filter(~new), base.filter(new)
+
+
+def event_rows(e: DataFrame) -> DataFrame:
+    """Labelled vectors of (streamed or stored) events."""
+    return e.select(
+        F.col("event_id").alias("vec_id"),
+        F.array(
+            F.col("value").cast("float"), (F.hour("ts") / 24).cast("float"), F.get_json_object("props", "$.k").cast("float")
+        ).alias("vec"),
+        _labels(_tag("type", F.col("event_type")), _tag("day", F.dayofweek("ts")), _tag("user", F.pmod("user_id", F.lit(4)))).alias("labels"),
+    )

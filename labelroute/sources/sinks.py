@@ -41,6 +41,8 @@ def overwritten(df: DataFrame, by: str, gone: Column) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def bucketed(df: DataFrame, table: str, by: str, buckets: int) -> None:
-    """A table whose joins on ``by`` need no shuffle."""
-    df.write.bucketBy(buckets, by).sortBy(by).mode("overwrite").saveAsTable(table)
+def bucketed(df: DataFrame, by: str, buckets: int) -> DataFrame:
+    """``df`` as a table in the shared folder whose joins on ``by`` need no shuffle."""
+    spark, name = df.sparkSession, f"bucketed_{uuid.uuid4().hex}"
+    df.write.bucketBy(buckets, by).sortBy(by).option("path", scratch(spark, "bucketed")).saveAsTable(name)
+    return spark.table(name)

@@ -6,12 +6,12 @@ Each function takes a streaming (or batch) DataFrame and stays declarative;
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.sinks import scratch
 from ..sources.tables import SCHEMAS, path
 
 
@@ -46,8 +46,8 @@ def refresh_trigger(inserts: DataFrame, base_rows: int, share: float = 0.1) -> D
 
     State is one counter per index.
     """
-    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
     import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     limit = max(1, int(base_rows * share))
 
@@ -65,28 +65,34 @@ def refresh_trigger(inserts: DataFrame, base_rows: int, share: float = 0.1) -> D
 def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Run a stream over what its source holds now; the result as a table.
 
-    For local runs and tests: results go to a memory table.
+    Every micro-batch is written under its own number in the shared folder, so one
+    that comes again replaces itself; of a ``complete`` stream the last is the
+    result.
     """
-    spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    folder = f"{base}/stream-{name}" if base else tempfile.mkdtemp(prefix="labelroute-stream-")
-    q = (
-        df.writeStream.format("memory")
-        .queryName(name)
-        .outputMode(mode)
-        .option("checkpointLocation", folder)
-        .trigger(availableNow=True)
-        .start()
-    )
+    spark, folder = df.sparkSession, scratch(df.sparkSession, f"stream-{name}")
+    last: list[int] = []
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/b{batch_id:08d}")
+        last.append(batch_id)
+
+    q = df.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    if not last:
+        return spark.createDataFrame([], df.schema)
+    paths = [f"{folder}/out/b{i:08d}" for i in sorted(set(last))]
+    return spark.read.schema(df.schema).parquet(*(paths[-1:] if mode == "complete" else paths))
+
+
+def file_stream(spark: SparkSession, parts: list[DataFrame]) -> DataFrame:
+    """A stream whose micro-batches are the given tables, in order."""
+    folder = scratch(spark, "arrivals")
+    for part in parts:  # one file each; sources take files by their time
+        part.coalesce(1).write.mode("append").parquet(folder)
+    return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(folder)
 
 
 def local_checkpoints(spark: SparkSession) -> None:
-    """A checkpoint folder for local sessions that name none."""
-    if spark.conf.get("spark.checkpoint.dir", None):
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir"))
-    elif spark.sparkContext.master.startswith("local"):
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="labelroute-"))
-    else:
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+    """The session's shared folder for ``DataFrame.checkpoint``; a temporary one
+    only in local sessions that name none."""
+    spark.sparkContext.setCheckpointDir(scratch(spark, "checkpoints"))

@@ -120,16 +120,16 @@ def _dense_layer(order: np.ndarray, vecs: np.ndarray, p: Params) -> list[np.ndar
             if i not in full[back]:
                 full[back].append(i)
     if p.m_beta is not None and p.m_beta < most:
-        whole = [set(x) for x in full]
+        stored = [set(x[: p.m_beta]) for x in full]  # of every node, whatever else is left out
         pruned = []
         for x in full:
             kept, reached = x[: p.m_beta], set()
             for y in kept:
-                reached |= whole[y]
+                reached |= stored[y]
             for y in x[p.m_beta : most]:
                 if y not in reached:
                     kept.append(y)
-                    reached |= whole[y]
+                    reached |= stored[y]
             pruned.append(kept + [y for y in x[most:] if y not in kept])
         full = pruned
     return [np.array(x, np.int32) for x in full]

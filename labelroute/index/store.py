@@ -50,7 +50,7 @@ def sharded(rows: DataFrame, selection: DataFrame, shard_rows: int = SHARD_ROWS)
     )
 
 
-SCHEMA = "index_bits long, shard int, n long, link_bytes long, blob binary"
+SCHEMA = "index_bits long, shard int, n long, link_bytes long, ids array<bigint>, blob binary"
 
 
 def build(
@@ -62,7 +62,7 @@ def build(
     path: str | None = None,
     first_shard: int = 0,
 ) -> DataFrame:
-    """(index_bits, shard, n, link_bytes, blob), one row per shard, stored at ``path``."""
+    """(index_bits, shard, n, link_bytes, ids, blob), one row per shard, stored at ``path``."""
     p = params or graph.Params()
 
     def one(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
@@ -77,7 +77,7 @@ def build(
             g = cells.build_buckets(*args)
         else:
             g = graph.build(*args, p)
-        return pd.DataFrame({"index_bits": [key[0]], "shard": [key[1]], "n": [len(pdf)], "link_bytes": [g.link_bytes], "blob": [g.dump()]})
+        return pd.DataFrame({"index_bits": [key[0]], "shard": [key[1]], "n": [len(pdf)], "link_bytes": [g.link_bytes], "ids": [args[0]], "blob": [g.dump()]})
 
     rows = sharded(members(base, selection), selection, shard_rows).withColumn("shard", F.col("shard") + first_shard)
     path = path or scratch(base.sparkSession, "index")
@@ -95,11 +95,12 @@ def extend(built: DataFrame, fresh: DataFrame, selection: DataFrame, kind: str =
     return build(fresh, sizes, kind, params, shard_rows, path, 0 if last is None else last + 1)
 
 
-def marks(base: DataFrame, dead: DataFrame, selection: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def marks(built: DataFrame, dead: DataFrame) -> DataFrame:
     """(index_bits, shard, dead): deleted ids (``dead(vec_id)``) of each shard, no
-    more than it has rows."""
-    gone = members(base.join(dead.select("vec_id").distinct(), "vec_id", "left_semi"), selection)
-    return sharded(gone, selection, shard_rows).groupBy("index_bits", "shard").agg(F.collect_list("vec_id").alias("dead"))
+    more than it has rows.  Reads the shards' ids alone."""
+    held = built.select("index_bits", "shard", F.explode("ids").alias("vec_id"))
+    gone = held.join(dead.select("vec_id").distinct(), "vec_id", "left_semi")
+    return gone.groupBy("index_bits", "shard").agg(F.collect_list("vec_id").alias("dead"))
 
 
 def _tune(spark: SparkSession) -> None:

@@ -42,6 +42,6 @@ class LabelSearcher:
         if self.kind == "flat":
             found = sr.pre_flat(base, through, routes)  # the answers of a walk, without counting it
         else:
-            marked = None if dead is None else store.marks(self.base, dead, self.selection, self.shard_rows)
+            marked = None if dead is None else store.marks(self.built, dead)
             found = store.merge(store.search(self.built, through, routes, ef, rule, marked), through)
         return scanned.unionByName(found)

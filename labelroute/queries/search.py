@@ -312,7 +312,7 @@ def _(s, d):
     b, q, _w = split(s, d)
     b = b.cache()
     top, built, rule = baselines.hpg_post(b, un.universe_all(b))
-    marked = store.marks(b, b.filter("vec_id % 3 = 0"), top)
+    marked = store.marks(built, b.filter("vec_id % 3 = 0"))
     found = store.merge(store.search(built, q, route.route(top, q), 80, rule, marked), q)
     return _with_recall(found, b.filter("vec_id % 3 <> 0"), q)
 

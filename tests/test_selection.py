@@ -87,14 +87,28 @@ def test_greedy_never_beats_the_optimum(lat, m):
 
 
 def test_executor_rounds_equal_the_driver_loop(spark):
-    from labelroute.streaming.feeds import local_checkpoints
+    u = spark.createDataFrame(list(R1.items()), "bits long, n long")
+    for c in (0.3, 0.6):
+        assert sel.select_for_factor(u, c, driver_limit=0).picks == sel.select_for_factor(u, c).picks
+
 
-    local_checkpoints(spark)
+def test_blocks_are_bounded_by_edges_too(spark, monkeypatch):
     u = spark.createDataFrame(list(R1.items()), "bits long, n long")
+    monkeypatch.setattr(sel._distributed, "__defaults__", (64, 2))
     for c in (0.3, 0.6):
         assert sel.select_for_factor(u, c, driver_limit=0).picks == sel.select_for_factor(u, c).picks
 
 
+@pytest.mark.parametrize("search", ["bisect", "descending"])
+def test_budget_on_executors_equals_the_driver(spark, search):
+    u = spark.createDataFrame(list(R1.items()), "bits long, n long")
+    for tau in (17, 26):
+        near, far = (sel.select_for_budget(u, tau=tau, eps=0.1, charge_top=True, search=search, driver_limit=n) for n in (10**6, 0))
+        assert (near.picks, near.cost, near.realised) == (far.picks, far.cost, far.realised)
+    with pytest.raises(ValueError):
+        sel.select_for_budget(u, tau=16, charge_top=True, driver_limit=0)
+
+
 def test_extents_and_closures(spark):
     # B (2) occurs only with A (1)
     base = spark.createDataFrame([(3,)] * 3 + [(1,)] * 2, "bits long")

@@ -88,24 +88,23 @@ class Model:
         """Log-probability of each text's grams by language, and their number."""
         bits = self.log_prob.shape[0].bit_length() - 1
         total, n = np.zeros((len(texts), len(self.langs))), np.zeros(len(texts), np.int64)
-        codes = [codes_of(t) for t in texts]
         at = 0
         while at < len(texts):
-            if len(codes[at]) > _LONG:  # one dense row
+            if len(texts[at]) > _LONG:  # one dense row
                 counts = counts_of(texts[at], bits)
                 total[at], n[at] = counts.astype(np.float64) @ self.log_prob, counts.sum()
                 at += 1
                 continue
             to, held = at, 0
-            while to < len(texts) and len(codes[to]) <= _LONG and held <= _LONG:
-                held += len(codes[to])
+            while to < len(texts) and len(texts[to]) <= _LONG and held <= _LONG:
+                held += len(texts[to])
                 to += 1
-            sizes = np.array([len(c) for c in codes[at:to]])
-            ends = np.cumsum(sizes)
-            all_codes = np.concatenate(codes[at:to])
+            codes = [codes_of(t) for t in texts[at:to]]
+            sizes = np.array([len(c) for c in codes])
+            ends, all_codes = np.cumsum(sizes), np.concatenate(codes)
             for o in ORDERS:
                 idx = grams(all_codes, o, bits)
-                of = np.repeat(np.arange(to - at), np.maximum(sizes, 0))[: len(idx)]
+                of = np.repeat(np.arange(to - at), sizes)[: len(idx)]
                 inside = np.arange(len(idx)) + o <= ends[of]  # no gram reaches into the next text
                 idx, of = idx[inside], of[inside]
                 if not len(idx):

@@ -65,7 +65,7 @@ class _Hashes(dict):
 
     def __missing__(self, w: bytes) -> int:
         v = xxhash.xxh64_intdigest(w)
-        if len(self) > 1_000_000:
+        if len(self) > 300_000:
             self.clear()
         self[w] = v
         return v

@@ -41,12 +41,19 @@ def shared_dir(spark: SparkSession, purpose: str) -> str:
 
 
 def cut(df: DataFrame, spark: SparkSession, purpose: str) -> DataFrame:
-    """Cut lineage: write ``df`` to the shared folder and read it back."""
+    """Cut lineage: write ``df`` to the shared folder and read it back.
+
+    The folder goes when the application ends."""
     path = shared_dir(spark, purpose)
     df.write.parquet(path)
+    _file_system(spark, path).deleteOnExit(spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path))
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _file_system(spark: SparkSession, path: str):
+    return spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 #: Words of 64 bits in the bitmap that ``may_be_in`` sends, its bound at any size.
 BITMAP_WORDS = 1 << 19
 
@@ -81,9 +88,7 @@ def may_be_in(rows: DataFrame, key: str, ids: DataFrame, flag: str) -> DataFrame
 
 
 def delete_path(spark: SparkSession, path: str) -> None:
-    jvm = spark.sparkContext._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+    _file_system(spark, path).delete(spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path), True)
 
 
 def connected_components(edges: DataFrame, spark: SparkSession, max_rounds: int = 60) -> DataFrame:

@@ -557,6 +557,17 @@ def test_bpe_edges(spark):
     assert bpe.round_trip(df.limit(0)).count() == 0
 
 
+def test_every_text_of_a_table_is_encoded_as_the_library_does(spark, small):
+    enc = bpe.encoder()
+    rows = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
+    got = by_id(QUERIES["op8_bpe"](spark, small))
+    assert got.keys() == rows.keys()
+    for i, t in rows.items():
+        ids = enc.encode_ordinary(t)
+        want = len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(t.encode()).hexdigest()
+        assert (got[i]["n_tokens"], got[i]["ids_sha256"], got[i]["decoded_sha256"]) == want
+
+
 # 9 WARC -------------------------------------------------------------------------------------------------------------
 
 
@@ -707,3 +718,61 @@ def test_pipeline(spark, small):
     for _name, stage in cp.STAGES:
         empty = common.cut(stage(spark, empty, small), spark, "t-empty")
     assert empty.count() == 0
+
+
+def test_pipeline_equals_brute_force(spark, small):
+    """Each stage against a plain version of it, on what the one before it kept."""
+    import corpus_pipeline as cp
+
+    given = spark.read.parquet(f"{small}/documents.parquet")
+    extra = [(10**6 + i, t, "en", "s", len(t)) for i, t in enumerate([" ".join(f"w{j}" for j in range(60)), " ".join(f"w{j}" for j in range(59)) + " end", "x " + " ".join(f"w{j}" for j in range(20, 50))])]
+    bench = {r["item_id"]: r["text"] for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()}
+    leak = next(iter(bench.values()))
+    extra.append((10**6 + 5, f"That is what stands here, and {leak} and more of the text goes on after it.", "en", "s", 0))
+    rows = given.select("doc_id", "text", "lang", "source", "n_chars").unionByName(spark.createDataFrame(extra, DOCS))
+    now = {r["doc_id"]: r["text"] for r in rows.collect()}
+    out = by_id(common.cut(cp.near_duplicates(spark, rows, small), spark, "t"))
+    comps = _components(_sets(now.items(), 5), 80)
+    now = {d: t for d, t in now.items() if comps[d] == d}
+    assert {d: r["text"] for d, r in out.items()} == now
+    kept = spark.createDataFrame([tuple(r) for r in out.values()], DOCS)
+    out = by_id(common.cut(cp.repeats(spark, kept, small), spark, "t"))
+    gone = _brute([(d, t) for d, t in now.items()], 20)
+    for d, t in now.items():
+        words, removed, sha = gone[d]
+        assert (d in out) == (removed < words or not words)
+        if d in out:
+            text = out[d]["text"]
+            assert text == t if not removed else hashlib.sha256(text.encode()).hexdigest() == sha
+            assert out[d]["n_chars"] == len(text or "") or text is None
+    kept = spark.createDataFrame([tuple(r) for r in out.values()], DOCS)
+    texts = {d: r["text"] for d, r in out.items()}
+    grams = {}
+    for t in bench.values():
+        w = decontaminate.words_of(t)
+        for i in range(max(len(w) - 9, 1) if w else 0):
+            grams.setdefault(min(10, len(w)), set()).add(tuple(w[i : i + 10]))
+
+    def plain(t):
+        first = None
+        while True:
+            w = decontaminate.words_of(t)
+            hit = np.zeros(len(w), bool)
+            for n, known in grams.items():
+                for i in range(len(w) - n + 1):
+                    if tuple(w[i : i + n]) in known:
+                        hit[i : i + n] = True
+            if not hit.any():
+                return t
+            first = first or len(w)
+            if (~hit).sum() <= 0.2 * first + 1e-9:
+                return None
+            t = decontaminate.cut_spans(t, hit)
+
+    out = by_id(common.cut(cp.leaks(spark, kept, small), spark, "t"))
+    want = {d: None if t is None else plain(t) for d, t in texts.items()}
+    assert {d: r["text"] for d, r in out.items()} == {d: t for d, t in want.items() if t is not None or texts[d] is None}
+    kept = spark.createDataFrame([tuple(r) for r in out.values()], DOCS)
+    enc = bpe.encoder()
+    for r in cp.tokens(spark, kept, small).collect():
+        assert r["ids"] == enc.encode_ordinary(out[r["doc_id"]]["text"] or "") and r["round_trip"]

@@ -21,7 +21,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..sources.sinks import scratch
+from ..sources.sinks import saved as written
 from .elastic import MILLI, cover_edges, serving
 
 DRIVER_LIMIT = 5_000_000
@@ -30,13 +30,6 @@ BLOCK_EDGES = 1_000_000
 TOP = 0
 
 
-def written(df: DataFrame) -> DataFrame:
-    """``df`` as a table of the shared folder: computed once, and lineage ends there."""
-    path = scratch(df.sparkSession, "cut")
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 @dataclass
 class Lattice:
     """Sizes, and for every pair of sets in relation who serves whom."""

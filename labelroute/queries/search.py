@@ -13,15 +13,30 @@ from ..operators import select as sel
 from ..operators import universe as un
 from ..operators.searcher import LabelSearcher
 from ..sources import datasets as ds
+from ..sources.sinks import saved
 from ..sources.tables import load
+from . import algebra
 from .common import BEFORE, D2, DOC, G, U, encoded, key, skey, small_selection, split, split_sql, with_
 
 Q, O = {}, {}  # noqa: E741
 
 
+_tables: dict = {}
+_MEASURED = ("e0", "e1", "x0", "x1", "d10", "f01_inserted")
+
+
 def query(name, sql=None):
+    """Registers a query.  Experiments without SQL are measured once for an
+    application and folder: the facts about them read the same table."""
+
     def put(f):
-        Q[name] = f
+        def measured(s, d):
+            at = s.sparkContext.applicationId, d, name
+            if at not in _tables:
+                _tables[at] = saved(f(s, d), name)
+            return _tables[at]
+
+        Q[name] = f if sql or not name.startswith(_MEASURED) else measured
         if sql:
             O[name] = sql
         return f
@@ -285,6 +300,43 @@ def _(s, d):
     return r.select(F.round("min_factor", 6).alias("min_factor"), F.round("mean_factor", 6).alias("mean_factor"), "sets")
 
 
+def chosen_sets(s, d, name="doc"):
+    """The universe of a labelled set and the two selections that the methods make."""
+    b, w = encoded(s, d, name)
+    lat = sel.Lattice.collect(un.universe_all(b))
+    return lat, {"factor 0.2": sel.select_for_factor(lat, 0.2), "budget 2.0": sel.select_for_budget(lat, space_ratio=2.0)}, w
+
+
+@query("m10_selected_factors")
+def _(s, d):
+    """Candidates, picks, indexed rows and the least and mean factor of the greedy selections."""
+    from ..operators import elastic as el
+
+    lat, made, _w = chosen_sets(s, d)
+    u = s.createDataFrame(sorted(lat.size.items()), "bits long, n long")
+    out = None
+    for name, got in made.items():
+        f = el.factor_summary(u, got.df(s)).crossJoin(metrics.index_rows(got.df(s)))  # one row each
+        part = f.select(F.lit(name).alias("method"), F.lit(len(lat.size)).alias("candidates"), "indexes", "rows", F.round("min_factor", 6).alias("min_factor"), F.round("mean_factor", 6).alias("mean_factor"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query("m05_stored_bytes")
+def _(s, d):
+    """Bytes of links, of shards and of raw vectors of the built greedy selections,
+    beside the estimate of links by formula."""
+    b, _q, _w = split(s, d)
+    u = saved(un.universe_all(b))
+    out = None
+    for name, chosen in (("factor 0.2", sel.select_for_factor(u, 0.2).df(s)), ("budget 2.0", sel.select_for_budget(u, space_ratio=2.0).df(s))):
+        built = store.build(b, chosen)
+        part = built.agg(F.sum("n").alias("rows"), F.sum("link_bytes").alias("link_bytes"), F.sum(F.octet_length("blob")).alias("stored_bytes"))
+        part = part.crossJoin(metrics.link_bytes(chosen).withColumnRenamed("bytes", "estimated_bytes")).withColumn("method", F.lit(name))  # one row each
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 @query("m15_label_precision", with_(split_sql(), _FUSED) + "SELECT qid, round(avg(m::INT), 6) AS label_precision FROM fu GROUP BY qid")
 def _(s, d):
     b, q, _w = split(s, d)
@@ -597,7 +649,7 @@ X1_SETS = {
 
 
 def _saved(base, q):
-    return sel.written(base), sel.written(q)
+    return saved(base), saved(q)
 
 
 @query("x01_recall_work")
@@ -614,13 +666,13 @@ def selectivity_set(s, d):
     """The document set, with queries of sets near given selectivities."""
     rows, _w = encoded(s, d, "doc_vec")
     base, held = ds.split(rows)
-    base = sel.written(base)
+    base = saved(base)
     u = un.universe_all(base)
     picked = generate.at_selectivity(u.select(F.col("bits").cast("string").alias("key"), "n"), [1.0, 0.3, 0.1, 0.05], base.count())
     q = held.select("vec_id", "vec").crossJoin(F.broadcast(picked)).select(  # four sets
         (F.col("vec_id") * 100 + F.round(F.col("target") * 20).cast("long")).alias("qid"), F.col("vec").alias("qvec"), F.lit(10).alias("k"), F.col("key").cast("long").alias("bits"), "target"
     )
-    return base, sel.written(q)
+    return base, saved(q)
 
 
 @query("x02_selectivity")
@@ -668,7 +720,7 @@ def _(s, d):
     out = None
     for name in DISTRIBUTIONS:
         base, q = distribution_set(s, d, name)
-        part = curves(s, name, base, sel.written(q))
+        part = curves(s, name, base, saved(q))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -685,7 +737,7 @@ def update_phases(s, d, kind):
         first = rows.filter("vec_id % 2 = 0").withColumn("labels", F.filter("labels", lambda x: ~x.isin("quality", "toxic")))
         second = rows.filter("vec_id % 2 = 1")
     words = lb.dictionary(first.unionByName(second))
-    return (sel.written(lb.encode(x, words)) for x in (first, second))
+    return (saved(lb.encode(x, words)) for x in (first, second))
 
 
 @query("x06_incremental_update")
@@ -700,10 +752,10 @@ def _(s, d):
         start = {"factor 0.2": sel.select_for_factor(first, 0.2), "budget 2.0": sel.select_for_budget(first, space_ratio=2.0)}
         had = {m: store.build(a, got.df(s)) for m, got in start.items()}
         for share in (10, 20, 50):
-            fresh = sel.written(b.filter(F.pmod(F.xxhash64("vec_id"), F.lit(50)) < share))
+            fresh = saved(b.filter(F.pmod(F.xxhash64("vec_id"), F.lit(50)) < share))
             now = a.unionByName(fresh)
             asked = now.filter("vec_id % 20 < 2").select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"), F.lit(10).alias("k"), "bits")
-            asked = sel.written(asked)
+            asked = saved(asked)
             truth = sr.exact_knn(now, asked).cache()
             for method, was in start.items():
                 def update(method=method, was=was, fresh=fresh, now=now):
@@ -782,10 +834,10 @@ def _(s, d):
 
 def _cost_rows(s, base, label, only=None):
     """Build seconds with the selection's share, and stored sizes of each method."""
-    base = sel.written(base)
+    base = saved(base)
     n = base.count()
     dim = len(base.select("vec").first()[0])
-    u = sel.written(un.universe_all(base))
+    u = saved(un.universe_all(base))
     budget, factor = (lambda: sel.select_for_budget(u, space_ratio=2.0).df(s)), (lambda: sel.select_for_factor(u, 0.2).df(s))
     make = {
         "label graph": (None, lambda c: baselines.label_graph(base, u)),
@@ -824,11 +876,11 @@ def _(s, d):
     out = []
     for copies in (1, 2, 4):
         rows = ds.amplified(s, d, copies)
-        base = sel.written(lb.encode(rows, lb.dictionary(rows)))
+        base = saved(lb.encode(rows, lb.dictionary(rows)))
         _all, held = ds.split(base)
-        q = sel.written(held.select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"), F.lit(10).alias("k"), "bits"))
+        q = saved(held.select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"), F.lit(10).alias("k"), "bits"))
         truth = sr.exact_knn(base, q)
-        u = sel.written(un.universe_all(base))
+        u = saved(un.universe_all(base))
         for name, pick in (("factor 0.2", lambda: sel.select_for_factor(u, 0.2)), ("budget 2.0", lambda: sel.select_for_budget(u, space_ratio=2.0))):
             got, picking = metrics.timed(pick)
             built, sec = metrics.timed(lambda g=got, b=base: store.build(b, g.df(s), params=graph.Params(16, 100)))
@@ -857,15 +909,9 @@ def _(s, d):
 
 # facts about the experiments ------------------------------------------------
 
-_tables: dict = {}
-
-
 def _once(s, d, name):
-    """A query's result as rows, computed once for an application and folder."""
-    at = s.sparkContext.applicationId, d, name
-    if at not in _tables:
-        _tables[at] = Q[name](s, d).collect()
-    return _tables[at]
+    """A query's rows."""
+    return (Q.get(name) or algebra.Q[name])(s, d).collect()
 
 
 def _facts(name, *facts):
@@ -957,7 +1003,7 @@ def _(s, d):
     rows = _once(s, d, "x05_distributions")
     mine = ("factor 0.2", "budget 2.0")
     base, q = distribution_set(s, d, "uniform")
-    q = sel.written(q)
+    q = saved(q)
     top, built, rule = baselines.hpg_pre(base, un.universe_all(base))
     dropped = metrics.mean_recall(store.merge(store.search(built, q, route.route(top, q), 160, rule), q), sr.exact_knn(base, q))
     return {
@@ -1022,8 +1068,78 @@ def _(s, d):
 def _(s, d):
     """Whether each set of the workload is served at c = 0.2 by the selection."""
     base, q = _wide(s, d)
-    u = sel.written(wide.numbered(wide.universe(base, q)))
+    u = saved(wide.numbered(wide.universe(base, q)))
     lat = wide.lattice(u)
     chosen = sel.select_for_factor(lat, 0.2).sets
     served = {x for c in chosen for x in lat.covered_by(c, 200)}
     return u.select(lb.key_of("labels").alias("key"), F.col("bits").isin(sorted(served)).alias("served"))
+
+
+@facts(
+    "x04_shapes", "the dense graph stores the most links on every set", "the thin graph stores fewer links than the dense one", "selected indexes store fewer links than the dense graph",
+    "budget indexes hold at most twice the base rows besides the top", "every selection holds the top",
+)
+def _(s, d):
+    rows = _once(s, d, "x04_build_cost")
+    sets = sorted({r["dataset"] for r in rows})
+    links = lambda x, m: _at(rows, "link_mb", dataset=x, method=m)
+    mine = ("factor 0.2", "budget 2.0")
+    wide_sets = [x for x in sets if not x.startswith("zipf") or x == "zipf 8"]
+    return {
+        "the dense graph stores the most links on every set": all(links(x, "dense graph") >= max(links(x, m) for m in ("label graph", "thin graph", "budget 2.0")) for x in sets),
+        "the thin graph stores fewer links than the dense one": all(links(x, "thin graph") < links(x, "dense graph") for x in sets),
+        "selected indexes store fewer links than the dense graph": all(links(x, m) < links(x, "dense graph") for x in wide_sets for m in mine),
+        "budget indexes hold at most twice the base rows besides the top": all(r["indexed_rows"] <= 3 * r["base_rows"] for r in rows if r["method"] == "budget 2.0"),
+        "every selection holds the top": all(r["indexed_rows"] >= r["base_rows"] for r in rows if r["method"] in mine),
+    }
+
+
+@facts("x11_shapes", "indexed rows of a budget grow with the base", "recall stays above 0.95 as the base grows", "nodes examined stay within twice k over c", "stored bytes grow with the indexed rows")
+def _(s, d):
+    rows = _once(s, d, "x11_scale")
+    of = lambda m: sorted((r for r in rows if r["method"] == m), key=lambda r: r["copies"])
+    return {
+        "indexed rows of a budget grow with the base": all(r["indexed_rows"] <= 3 * r["base_rows"] for r in of("budget 2.0")),
+        "recall stays above 0.95 as the base grows": all(r["recall"] >= 0.95 for r in rows),
+        "nodes examined stay within twice k over c": all(r["examined"] <= 2 * 10 / 0.2 for r in of("factor 0.2")),
+        "stored bytes grow with the indexed rows": all(a["stored_mb"] < b["stored_mb"] for m in ("factor 0.2", "budget 2.0") for a, b in zip(of(m), of(m)[1:], strict=False)),
+    }
+
+
+@facts("f06_update_checks", "an update for a factor serves every set", "an update for a budget stays within it", "pruning leaves no set unserved", "what an update keeps was chosen before")
+def _(s, d):
+    old, new, _w = _lattices(s, d)
+    was, spent = sel.select_for_factor(old, 0.2), sel.select_for_budget(old, space_ratio=2.0)
+    grown, fit = dynamic.update_for_factor(new, was.sets, 0.2), dynamic.update_for_budget(new, spent.sets, 2 * new.size[0], spent.c_milli)
+    full = sel.select_for_factor(new, 0.2).sets
+    kept = sel.prune(new, full, 150)
+    reach = lambda sets, m: set().union(*(new.covered_by(x, m) for x in sets))
+    return {
+        "an update for a factor serves every set": grown.realised >= sel.Fraction(1, 5),
+        "an update for a budget stays within it": fit.cost <= 2 * new.size[0],
+        "pruning leaves no set unserved": reach(kept, 150) == reach(full, 150),
+        "what an update keeps was chosen before": set(was.sets) & set(new.size) <= set(grown.sets),
+    }
+
+
+@facts("b05_sketch_bounds", "every estimate is within a tenth of the rows or five", "most estimates are within a twentieth")
+def _(s, d):
+    rows = _once(s, d, "b05_universe_sketch")
+    most = max(r["n"] for r in rows)
+    far = [abs(r["estimate"] - r["n"]) for r in rows]
+    return {
+        "every estimate is within a tenth of the rows or five": all(x <= max(5, 0.1 * most) for x in far),
+        "most estimates are within a twentieth": sum(x <= max(5, 0.05 * most) for x in far) >= 0.9 * len(far),
+    }
+
+
+@facts("f01_insert_facts", "inserted rows are answers at once", "and after a refresh", "recall is 0.95 in both states")
+def _(s, d):
+    rows = _once(s, d, "f01_inserted_are_found")
+    new = {x: {r["vec_id"] for r in rows if r["state"] == x and r["vec_id"] % 20 == ds.ARRIVING} for x in ("waiting", "refreshed")}
+    recall = {x: {r["qid"]: r["recall"] for r in rows if r["state"] == x} for x in new}
+    return {
+        "inserted rows are answers at once": len(new["waiting"]) > 0,
+        "and after a refresh": len(new["refreshed"]) > 0,
+        "recall is 0.95 in both states": all(sum(x.values()) >= 0.95 * len(x) for x in recall.values()),
+    }

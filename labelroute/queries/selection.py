@@ -9,6 +9,7 @@ from ..operators import elastic as el
 from ..operators import generate
 from ..operators import select as sel
 from ..operators import universe as un
+from ..sources.sinks import saved
 from ..sources.tables import load
 from .common import DOC, G, LINE, U, encoded, key, skey, small_selection, with_
 
@@ -142,7 +143,7 @@ def _(s, d):
     rows = []
     for name in ("doc", "order"):
         b, _w = encoded(s, d, name)
-        u = sel.written(un.universe_all(b))
+        u = saved(un.universe_all(b))
         lat = sel.Lattice.collect(u)
         got = sel.select_for_factor(lat, 0.2)
         chosen = got.df(s)
@@ -164,7 +165,7 @@ def _(s, d):
     rows = []
     for name in ("doc", "order"):
         b, _w = encoded(s, d, name)
-        u = sel.written(un.universe_all(b))
+        u = saved(un.universe_all(b))
         lat = sel.Lattice.collect(u)
         got, wide = (sel.select_for_budget(lat, space_ratio=r, eps=0.125) for r in (2.0, 4.0))
         far = sel.select_for_budget(u, space_ratio=2.0, eps=0.125, driver_limit=0)

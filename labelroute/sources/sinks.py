@@ -19,6 +19,17 @@ def scratch(spark: SparkSession, name: str) -> str:
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
+def saved(df: DataFrame, name: str = "cut") -> DataFrame:
+    """``df`` as a table of the shared folder: computed once, and lineage ends
+    there.  The folder goes when the application ends."""
+    spark, path = df.sparkSession, scratch(df.sparkSession, name)
+    df.write.parquet(path)
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    folder = jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(conf).deleteOnExit(folder)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def round_trip(df: DataFrame, fmt: str) -> DataFrame:
     spark, path = df.sparkSession, scratch(df.sparkSession, fmt)
     options = {"header": "true"} if fmt == "csv" else {}

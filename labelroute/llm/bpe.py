@@ -16,7 +16,6 @@ import base64
 import hashlib
 from collections.abc import Iterator
 
-import pandas as pd
 import public_tokenizers
 import pyarrow as pa
 import regex
@@ -82,27 +81,18 @@ def encode_column(
     df: DataFrame, text: str = "text", ids: str = "ids", ranks_path: str = RANKS
 ) -> DataFrame:
     """Add ``ids`` (array of int) to every row of ``df``; other columns pass through."""
-    common.tune_arrow(df.sparkSession)
-
-    run = F.pandas_udf(_iterator(lambda enc, t: encode(t or "", enc), ranks_path), "array<int>")
-    return df.withColumn(ids, run(F.col(text)))
-
-
-def _iterator(fn, ranks_path):
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        enc = encoder(ranks_path)
-        for s in batches:
-            yield pd.Series([fn(enc, t) for t in s], dtype=object)
+    from .columns import mapped  # loads pandas, which workers of the other functions do without
 
-    return run
+    common.tune_arrow(df.sparkSession)
+    return df.withColumn(ids, mapped(lambda t: encode(t or "", encoder(ranks_path)), "array<int>")(F.col(text)))
 
 
 def decode_column(df: DataFrame, ids: str = "ids", raw: str = "raw", ranks_path: str = RANKS) -> DataFrame:
     """Add the raw bytes that ``ids`` stand for; null ids give empty bytes."""
-    run = F.pandas_udf(
-        _iterator(lambda enc, t: b"" if t is None else enc.decode_bytes([int(x) for x in t]), ranks_path), "binary"
-    )
-    return df.withColumn(raw, run(F.col(ids)))
+    from .columns import mapped
+
+    back = lambda t: b"" if t is None else encoder(ranks_path).decode_bytes([int(x) for x in t])
+    return df.withColumn(raw, mapped(back, "binary")(F.col(ids)))
 
 
 def encode_documents(df: DataFrame, ranks_path: str = RANKS) -> DataFrame:

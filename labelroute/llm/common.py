@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 #: Rows and bytes of one Arrow batch sent to a Python worker.  Bytes bound the
 #: worker's memory even where single texts are very long.
 BATCH_ROWS = 2000
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

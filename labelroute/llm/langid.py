@@ -20,7 +20,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -146,11 +145,11 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
     if known > MAX_LANGUAGES:  # before anything of that size is gathered
         raise ValueError(f"more than {MAX_LANGUAGES} languages, the bound of the broadcast matrix")
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] = {}
         docs: dict[str, int] = {}
         for b in batches:
-            for text, lang in zip(b["text"], b["lang"], strict=True):
+            for text, lang in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 if _LETTER.search(text):
                     if lang not in held:
                         held[lang] = np.zeros(1 << bits, np.int64)
@@ -158,9 +157,10 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
                     docs[lang] = docs.get(lang, 0) + 1
         for lang, c in held.items():
             at = np.flatnonzero(c)
-            yield pd.DataFrame({"lang": lang, "bucket": np.append(at, -1), "n": np.append(c[at], docs[lang])})
+            cols = [pa.array([lang] * (len(at) + 1)), pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(c[at], docs[lang]))]
+            yield pa.RecordBatch.from_arrays(cols, ["lang", "bucket", "n"])
 
-    found = rows.mapInPandas(run, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
+    found = rows.mapInArrow(run, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
     table = found.toPandas()  # at most languages x (buckets + 1) rows
     langs = sorted(table["lang"].unique().tolist())
     counts, prior = np.zeros((1 << bits, len(langs))), np.zeros(len(langs))
@@ -183,21 +183,22 @@ def bounded(model: Model, train: DataFrame, train_rows: int = TRAIN_ROWS, alpha:
         return model
     sent = train.sparkSession.sparkContext.broadcast(pickle.dumps(model))
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = pickle.loads(sent.value)
         bits = m.log_prob.shape[0].bit_length() - 1
         for b in batches:
             out = []
-            for text, lang in zip(b["text"], b["lang"], strict=True):
+            for text, lang in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 if _LETTER.search(text):
                     own, i = counts_of(text, bits), m.langs.index(lang)
                     at = np.flatnonzero(own)
                     n = own[at]
                     rest = np.maximum(np.exp(m.log_prob[at, i].astype(np.float64)) * m.totals[i] - n, alpha)
                     out.append((lang, float((n * np.log(rest / (m.totals[i] - n.sum()))).sum() / n.sum())))
-            yield pd.DataFrame(out, columns=["lang", "mean"])
+            langs, means = zip(*out, strict=True) if out else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(langs, pa.string()), pa.array(means, pa.float64())], ["lang", "mean"])
 
-    means = _sample(train, train_rows).mapInPandas(run, "lang string, mean double")
+    means = _sample(train, train_rows).mapInArrow(run, "lang string, mean double")
     found = {
         r["lang"]: r["q"] for r in means.groupBy("lang").agg(F.percentile_approx("mean", [0.01, 0.5], 10_000).alias("q")).collect()
     }

@@ -106,9 +106,13 @@ class ShardStore:
             files = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._fs.getUri(), conf)
             files.rename(self._fs.makeQualified(aside), self._fs.makeQualified(final), options)
         except Py4JJavaError as e:
-            if "FileAlreadyExists" in e.java_exception.getClass().getName():
+            name = e.java_exception.getClass().getName()
+            if "FileAlreadyExists" in name:
                 return False
-            raise
+            if "UnsupportedFileSystem" not in name:
+                raise
+            # a scheme that only has the older interface: its rename is as good as the store's
+            return not self._fs.exists(final) and self._fs.rename(aside, final)
         return True
 
     def _version(self) -> int:

@@ -55,7 +55,7 @@ DEEP = 4_000
 #: Hot anchors (of eight bytes) that may be broadcast.
 HOT_ROWS = 500_000
 #: Anchors that a task holds to merge those it sees twice.
-MERGE_ROWS = 1_000_000
+MERGE_ROWS = 400_000
 _MULT = np.uint64(0x9E3779B97F4A7C15)
 _LAST = (1 << 63) - 1
 

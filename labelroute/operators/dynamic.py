@@ -137,10 +137,13 @@ class Manifest:
             files = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._fs.getUri(), self._conf)
             files.rename(self._fs.makeQualified(aside), self._fs.makeQualified(final), options)
         except Py4JJavaError as e:
-            if "FileAlreadyExists" not in e.java_exception.getClass().getName():
-                raise
+            name = e.java_exception.getClass().getName()
+            if "UnsupportedFileSystem" in name and not self._fs.exists(final) and self._fs.rename(aside, final):
+                return base + 1  # a scheme that only has the older interface
             self._fs.delete(aside, False)
-            raise RuntimeError("another writer published this version") from e
+            if "FileAlreadyExists" in name or "UnsupportedFileSystem" in name:
+                raise RuntimeError("another writer published this version") from e
+            raise
         return base + 1
 
 

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from ..functions import labels as lb
 from ..functions import vectors as vx
+from ..sources.sinks import saved
 
 
 #: Queries that a fused search sends to the executors at a time.
@@ -96,7 +97,7 @@ def post_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFra
 
     The answers come from a limited rank over the matches; what the walk would
     have examined is then counted, not walked."""
-    found = pre_flat(base, queries, routes)
+    found = saved(pre_flat(base, queries, routes), "answers")  # at most k rows a query, used twice
     n = _nearer(base, queries, routes, found).withColumn("rank", F.col("slot") + 1)
     w = Window.partitionBy("qid").orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)  # k rows a query
     upto = n.withColumn("examined", F.sum("n").over(w)).select("qid", "rank", "examined")
@@ -105,7 +106,7 @@ def post_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFra
 
 def post_examined(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
     """Rows examined until the k-th match, the whole index if there are fewer."""
-    found = pre_flat(base, queries, routes)
+    found = saved(pre_flat(base, queries, routes), "answers")
     full = found.join(queries.select("qid", "k"), "qid").filter("rank = k").drop("k")
     upto = _nearer(base, queries, routes, full).select("qid", F.col("n").alias("upto"))
     sizes = lb.counted(routes.select(F.col("index_bits").alias("bits")), lb.groups(base)).withColumnRenamed("bits", "index_bits")

@@ -473,7 +473,7 @@ def _(s, d):
     rows = [
         ("no product of queries and rows", inspect.no_cartesian(found) and inspect.no_cartesian(routes) and inspect.no_cartesian(walk)),
         ("answers are ranked before the shuffle", inspect.has(found, "WindowGroupLimit")),
-        ("a walk is counted, not ranked", inspect.has(walk, "partial_count") and inspect.has(walk, "WindowGroupLimit")),
+        ("a walk is counted, not ranked", inspect.has(walk, "partial_count") and inspect.has(sr.pre_flat(b, q, routes), "WindowGroupLimit")),
         ("selection reads no vectors", not {"text", "embedding"} & inspect.scanned_columns(un.universe_all(counted))),
         ("filters reach the scan", any("l_quantity" in x for x in inspect.pushed(load(s, d, "lineitem").filter("l_quantity > 40").select("l_orderkey")))),
     ]

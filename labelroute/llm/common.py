@@ -6,6 +6,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -54,6 +55,12 @@ def _file_system(spark: SparkSession, path: str):
     return spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
 
 
+def numbers(spark: SparkSession, **columns: list[int]) -> DataFrame:
+    """A small table of long columns, handed over as Arrow: no Python worker is
+    started on the executors for it."""
+    return spark.createDataFrame(pa.table({name: pa.array(x, pa.int64()) for name, x in columns.items()}))
+
+
 #: Words of 64 bits in the bitmap that ``may_be_in`` sends, its bound at any size.
 BITMAP_WORDS = 1 << 19
 

@@ -26,17 +26,18 @@ def admitted(queries: DataFrame, grouped: DataFrame, mode: str = "contain") -> D
     return lb.meeting(queries, grouped, mode)
 
 
-def candidates(base: DataFrame, queries: DataFrame, mode: str = "contain") -> DataFrame:
-    """(qid, k, vec_id, qvec, vec) of every matching pair, by equi-joins."""
-    groups = lb.groups(base)
-    pairs = admitted(queries, groups, mode)
+def candidates(base: DataFrame, queries: DataFrame, mode: str = "contain", groups: DataFrame | None = None) -> DataFrame:
+    """(qid, k, vec_id, qvec, vec) of every matching pair, by equi-joins.
+
+    ``groups`` are the base's, where they are known already."""
+    pairs = admitted(queries, lb.groups(base) if groups is None else groups, mode)
     q = queries.select("qid", "qvec", "k", F.col("bits").alias("qbits")).join(pairs, "qbits")
     return q.join(base.select("vec_id", "vec", "bits"), "bits")
 
 
-def exact_knn(base: DataFrame, queries: DataFrame, metric: str = "l2", mode: str = "contain") -> DataFrame:
+def exact_knn(base: DataFrame, queries: DataFrame, metric: str = "l2", mode: str = "contain", groups: DataFrame | None = None) -> DataFrame:
     """qid, rank, vec_id, dist of the nearest ``k`` matches; fewer if fewer match."""
-    pairs = candidates(base, queries, mode).select("qid", "k", "vec_id", vx.distance("qvec", "vec", metric).alias("dist"))
+    pairs = candidates(base, queries, mode, groups).select("qid", "k", "vec_id", vx.distance("qvec", "vec", metric).alias("dist"))
     return cut(pairs, queries)
 
 
@@ -61,11 +62,11 @@ def bruteforce_stats(base: DataFrame, queries: DataFrame) -> DataFrame:
     return q.join(counts, q["bits"] == counts["b"], "left").select("qid", F.coalesce("match_count", F.lit(0)).cast("long").alias("scanned"))
 
 
-def index_pairs(base: DataFrame, queries: DataFrame, routes: DataFrame, *more: str) -> DataFrame:
+def index_pairs(base: DataFrame, queries: DataFrame, routes: DataFrame, *more: str, groups: DataFrame | None = None) -> DataFrame:
     """Every row of a query's routed index with its distance and whether it matches."""
     r = routes.select(F.col("bits").alias("qbits"), "index_bits")
     q = queries.select("qid", "qvec", "k", F.col("bits").alias("qbits"), *more).join(r, "qbits")
-    g = lb.groups(base).select("bits")
+    g = (lb.groups(base) if groups is None else groups).select("bits")
     inside = lb.meeting(q.select(F.col("index_bits").alias("bits")), g).withColumnRenamed("qbits", "index_bits")
     met = q.join(inside, "index_bits").join(base.select("vec_id", "vec", "bits"), "bits")
     return met.select(
@@ -73,11 +74,11 @@ def index_pairs(base: DataFrame, queries: DataFrame, routes: DataFrame, *more: s
     )
 
 
-def pre_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
-    return cut(index_pairs(base, queries, routes).filter("match"), queries)
+def pre_flat(base: DataFrame, queries: DataFrame, routes: DataFrame, groups: DataFrame | None = None) -> DataFrame:
+    return cut(index_pairs(base, queries, routes, groups=groups).filter("match"), queries)
 
 
-def _nearer(base: DataFrame, queries: DataFrame, routes: DataFrame, found: DataFrame) -> DataFrame:
+def _nearer(base: DataFrame, queries: DataFrame, routes: DataFrame, found: DataFrame, groups: DataFrame) -> DataFrame:
     """(qid, slot, n): rows of the routed index between a query's answers; slot 0
     holds those up to the first, slot 1 those from there up to the second.
 
@@ -87,7 +88,7 @@ def _nearer(base: DataFrame, queries: DataFrame, routes: DataFrame, found: DataF
     asked = queries.join(bounds, "qid")
     at = F.struct("dist", "vec_id")
     slot = F.size(F.filter("bounds", lambda x: x < at))
-    rows = index_pairs(base, asked, routes, "bounds").select("qid", slot.alias("slot"), F.size("bounds").alias("last"))
+    rows = index_pairs(base, asked, routes, "bounds", groups=groups).select("qid", slot.alias("slot"), F.size("bounds").alias("last"))
     return rows.filter("slot < last").groupBy("qid", "slot").agg(F.count("*").alias("n"))
 
 
@@ -97,8 +98,9 @@ def post_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFra
 
     The answers come from a limited rank over the matches; what the walk would
     have examined is then counted, not walked."""
-    found = saved(pre_flat(base, queries, routes), "answers")  # at most k rows a query, used twice
-    n = _nearer(base, queries, routes, found).withColumn("rank", F.col("slot") + 1)
+    groups, routes = saved(lb.groups(base), "groups"), saved(routes, "routes")  # one row per label set each
+    found = saved(pre_flat(base, queries, routes, groups), "answers")  # at most k rows a query, used twice
+    n = _nearer(base, queries, routes, found, groups).withColumn("rank", F.col("slot") + 1)
     w = Window.partitionBy("qid").orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)  # k rows a query
     upto = n.withColumn("examined", F.sum("n").over(w)).select("qid", "rank", "examined")
     return found.join(upto, ["qid", "rank"]).select("qid", "rank", "vec_id", "dist", "examined")
@@ -106,10 +108,11 @@ def post_flat(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFra
 
 def post_examined(base: DataFrame, queries: DataFrame, routes: DataFrame) -> DataFrame:
     """Rows examined until the k-th match, the whole index if there are fewer."""
-    found = saved(pre_flat(base, queries, routes), "answers")
+    groups, routes = saved(lb.groups(base), "groups"), saved(routes, "routes")  # one row per label set each
+    found = saved(pre_flat(base, queries, routes, groups), "answers")
     full = found.join(queries.select("qid", "k"), "qid").filter("rank = k").drop("k")
-    upto = _nearer(base, queries, routes, full).select("qid", F.col("n").alias("upto"))
-    sizes = lb.counted(routes.select(F.col("index_bits").alias("bits")), lb.groups(base)).withColumnRenamed("bits", "index_bits")
+    upto = _nearer(base, queries, routes, full, groups).select("qid", F.col("n").alias("upto"))
+    sizes = lb.counted(routes.select(F.col("index_bits").alias("bits")), groups).withColumnRenamed("bits", "index_bits")
     whole = queries.select("qid", "bits").join(routes.select("bits", "index_bits"), "bits").join(sizes, "index_bits")
     return whole.join(upto, "qid", "left").select("qid", F.coalesce("upto", "match_count").cast("long").alias("examined"))
 

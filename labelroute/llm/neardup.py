@@ -20,8 +20,9 @@ are bands; texts that share a band are candidates.
    comparison, so a group of near copies costs about one pass.
 4. A cluster beyond ``CLUSTER_DOCS`` or ``CLUSTER_WORDS`` is not given to one
    task: the same search runs over all executors.  A round asks a block of
-   members, bounded in number and bytes, of all members that no round reached;
-   reached members are asked only while their cluster has others left.
+   members, bounded in number and bytes, of all members that its component has
+   not reached; reached members are asked while their cluster has others left or
+   more than one component waits.
 
 At similarity ``t`` a link shares no band with probability
 ``(1 - t**ROWS) ** (M / ROWS)``: 6e-11 at 0.85, 5e-8 at 0.8.
@@ -246,11 +247,32 @@ def _searched(k: int, percent: int):
     return run
 
 
+def _roots(merged: list[tuple[int, int]]) -> dict[int, int]:
+    """Smallest of the components that ``merged`` pairs join, by component."""
+    root: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while root.setdefault(x, x) != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    for a, b in merged:
+        x, y = sorted((find(a), find(b)))
+        root[y] = x
+    return {x: find(x) for x in list(root)}
+
+
 def _oversized(members: DataFrame, percent: int, k: int, block: int, block_bytes: int) -> DataFrame:
     """Edges ``(a, b)`` that connect the linked members of clusters that no
-    single task may hold; ``members(cluster, node, set, text, registers)``."""
+    single task may hold; ``members(cluster, node, set, text, registers)``.
+
+    ``part`` is the component that reached a member, null if none has.  A member
+    is compared with every asked one of another component, so a link that joins
+    two components is found as well.  New members are asked only in a block that
+    holds all waiting ones, so at most ``block`` components are open at a time."""
     spark = members.sparkSession
-    kind = "cluster long, node long, members binary, registers binary"
+    kind = "cluster long, node long, members binary, registers binary, part long"
 
     def sets(batches):
         cache = _Hashes()
@@ -258,18 +280,20 @@ def _oversized(members: DataFrame, percent: int, k: int, block: int, block_bytes
             got = list(_own(b, k, cache))
             at = pa.array([i for i, _ in got], pa.int64())
             yield pa.RecordBatch.from_arrays(
-                [b.column(0).take(at), b.column(1).take(at), pa.array([s.tobytes() for _, s in got], pa.binary()), b.column(4).take(at)],
-                ["cluster", "node", "members", "registers"],
+                [b.column(0).take(at), b.column(1).take(at), pa.array([s.tobytes() for _, s in got], pa.binary()), b.column(4).take(at), pa.nulls(len(got), pa.int64())],
+                ["cluster", "node", "members", "registers", "part"],
             )
 
-    left = common.cut(members.mapInArrow(sets, kind).dropDuplicates(["node"]), spark, "neardup-large")
-    frontier, edges, rounds = left.limit(0), common.numbers(spark, a=[], b=[]), 0
-    while left.limit(1).count():
+    pool = common.cut(members.mapInArrow(sets, kind).dropDuplicates(["node"]), spark, "neardup-large")
+    edges, rounds, waiting = common.numbers(spark, a=[], b=[]), 0, {}
+    while pool.limit(1).count():
         rounds += 1
-        pool = frontier.withColumn("turn", F.lit(0)).unionByName(left.withColumn("turn", F.lit(1)))
-        order = ["turn", F.xxhash64("node"), "node"]
+        # the members of the smaller components first: those of the largest may need no turn
+        sizes = F.broadcast(common.numbers(spark, part=list(waiting), size=list(waiting.values())))
+        order = [F.col("part").isNull(), "size", F.xxhash64("node"), "node"]
+        turns = pool.select("node", "part", F.octet_length("members").alias("n")).join(sizes, "part", "left")
         asked, held = [], 0
-        for r in pool.select("node", "turn", F.octet_length("members").alias("n")).orderBy(*order).limit(block).collect():
+        for r in turns.orderBy(*order).limit(block).collect():
             held += r["n"]
             if asked and held > block_bytes:
                 break
@@ -277,47 +301,72 @@ def _oversized(members: DataFrame, percent: int, k: int, block: int, block_bytes
         asked = F.broadcast(common.numbers(spark, node=asked))  # at most ``block``
         by: dict[int, list] = {}
         for r in pool.join(asked, "node", "left_semi").collect():  # at most ``block_bytes``, or one member
-            by.setdefault(r["cluster"], []).append((r["node"], np.frombuffer(bytes(r["members"]), np.uint64), bytes(r["registers"])))
-        speakers, inner = {}, []
+            by.setdefault(r["cluster"], []).append((r["node"], np.frombuffer(bytes(r["members"]), np.uint64), bytes(r["registers"]), r["part"]))
+        inner, was = [], []
+        labelled = {}
         for c, rows in by.items():
-            nodes, full, regs = zip(*rows, strict=True)
+            nodes, full, regs, parts = zip(*rows, strict=True)
             label = _Cluster(nodes, full, [np.frombuffer(r, np.uint16) for r in regs], percent).components().tolist()
             inner += [(n, m) for n, m in zip(nodes, label, strict=True) if n != m]
-            speakers[c] = list(zip(label, [s.tobytes() for s in full], regs, strict=True))
-        sent = spark.sparkContext.broadcast(speakers)
+            was += [(m, p) for m, p in zip(label, parts, strict=True) if p is not None]
+            labelled[c] = label, full, regs
+        root = _roots(was)  # at most ``block`` components wait, and as many were asked
+        speakers = {
+            c: sorted(zip([root.get(m, m) for m in label], [s.tobytes() for s in full], regs, strict=True), key=lambda x: x[0])
+            for c, (label, full, regs) in labelled.items()
+        }
+        sent = spark.sparkContext.broadcast((speakers, root))
 
         def compare(batches, sent=sent):
+            speakers, root = sent.value
             for b in batches:
                 cluster = b.column(0).to_numpy(zero_copy_only=False)
                 full = [np.frombuffer(x, np.uint64) for x in b.column(2).to_pylist()]
                 regs = [np.frombuffer(x, np.uint16) for x in b.column(3).to_pylist()]
+                parts = [None if p is None else root.get(p, p) for p in b.column(4).to_pylist()]
+                known = np.array([-1 if p is None else p for p in parts], np.int64)
                 sizes = np.array([len(x) for x in full], np.int64)
                 labels: list[list[int]] = [[] for _ in full]
                 for c in np.unique(cluster).tolist():
                     mine = np.flatnonzero(cluster == c)
                     open_at: dict[int, np.ndarray] = {}  # members that a component has not reached
-                    for component, s, r in sent.value.get(c, ()):
-                        at = open_at.get(component, mine)
+                    for component, s, r in speakers.get(c, ()):
+                        at = open_at[component] if component in open_at else mine[known[mine] != component]
                         if len(at):
                             hit = near_mask(
                                 np.frombuffer(s, np.uint64), np.frombuffer(r, np.uint16), [full[i] for i in at], np.stack([regs[i] for i in at]), sizes[at], percent
                             )
                             for i in at[hit].tolist():
                                 labels[i].append(component)
-                            open_at[component] = at[~hit]
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(labels, pa.list_(pa.int64()))], [*b.schema.names, "labels"])
+                            at = at[~hit]
+                        open_at[component] = at
+                columns = [*b.columns[:4], pa.array(parts, pa.int64()), pa.array(labels, pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays(columns, [*b.schema.names, "labels"])
 
-        met = common.cut(left.join(asked, "node", "left_anti").select(left.columns).mapInArrow(compare, f"{kind}, labels array<long>"), spark, "neardup-large")
+        rest = pool.join(asked, "node", "left_anti").select(pool.columns)
+        met = common.cut(rest.mapInArrow(compare, f"{kind}, labels array<long>"), spark, "neardup-large")
         sent.destroy()
-        reached = met.filter(F.size("labels") > 0)
-        left = met.filter(F.size("labels") == 0).drop("labels")
         edges = edges.unionByName(common.numbers(spark, a=[a for a, _ in inner], b=[b for _, b in inner])).unionByName(
-            reached.select(F.col("node").alias("a"), F.explode("labels").alias("b"))
+            met.filter(F.size("labels") > 0).select(F.col("node").alias("a"), F.explode("labels").alias("b"))
         )
         if rounds % 32 == 0:
             edges = common.cut(edges, spark, "neardup-large")
-        waiting = frontier.join(asked, "node", "left_anti").unionByName(reached.select(frontier.columns))
-        frontier = common.cut(waiting.join(left.select("cluster").distinct(), "cluster", "left_semi").select(left.columns), spark, "neardup-large")
+        # a member without a component goes to the first that reached it, which all others of its own join
+        placed = met.withColumn("part", F.coalesce("part", F.try_element_at("labels", F.lit(1))))
+        joined = placed.select("part", F.explode("labels").alias("other")).filter("part <> other").distinct().collect()  # pairs of open components
+        root = _roots([(r["part"], r["other"]) for r in joined])
+        counts = placed.filter("part IS NOT NULL").groupBy("cluster", "part").count().collect()  # at most ``block`` rows
+        waiting, open_in = {}, {}
+        for r in counts:
+            p = root.get(r["part"], r["part"])
+            waiting[p] = waiting.get(p, 0) + r["count"]
+            open_in.setdefault(r["cluster"], set()).add(p)
+        left = {r["cluster"] for r in met.filter("part IS NULL AND size(labels) = 0").select("cluster").distinct().collect()}  # clusters beyond a bound
+        going = left | {c for c, ps in open_in.items() if len(ps) > 1}
+        now = F.broadcast(common.numbers(spark, part=list(root), root=list(root.values())))
+        placed = placed.drop("labels").join(now, "part", "left").withColumn("part", F.coalesce("root", "part"))
+        placed = placed.join(F.broadcast(common.numbers(spark, cluster=sorted(going))), "cluster", "left_semi")
+        pool = common.cut(placed.select(pool.columns), spark, "neardup-large")
     return edges
 
 

@@ -1,7 +1,8 @@
 """Language identification: multinomial naive Bayes over hashed character n-grams.
 
-Counts of hashed 1- to 3-grams per language are summed on the executors from a
-training sample whose size is bounded by the parameter ``train_rows`` (rows are
+Counts of hashed 1- to 3-grams per language are summed on the executors, for
+``keep_identified`` over every training row, for ``identify`` over a
+sample whose size is bounded by the parameter ``train_rows`` (rows are
 taken by a hash of their content, so the sample is spread over the table).  The
 log-probability matrix, ``languages x buckets``, is broadcast.  The grams of a
 batch are one sparse list of (text, bucket) entries; each text sums the matrix
@@ -67,6 +68,28 @@ def counts_of(text: str, bits: int = BUCKET_BITS) -> np.ndarray:
     return out
 
 
+def counts_of_all(texts: list[str], bits: int = BUCKET_BITS) -> np.ndarray:
+    """Sum of ``counts_of`` over ``texts``, short ones counted together."""
+    out, at = np.zeros(1 << bits, np.int64), 0
+    while at < len(texts):
+        if len(texts[at]) > _LONG:
+            out += counts_of(texts[at], bits)
+            at += 1
+            continue
+        to, held = at, 0
+        while to < len(texts) and len(texts[to]) <= _LONG and held <= 8 * _LONG:
+            held += len(texts[to])
+            to += 1
+        codes = [codes_of(t) for t in texts[at:to]]
+        sizes = np.array([len(c) for c in codes])
+        left, all_codes = np.repeat(np.cumsum(sizes), sizes) - np.arange(sizes.sum()), np.concatenate(codes)
+        for o in ORDERS:
+            idx = grams(all_codes, o, bits)
+            out += np.bincount(idx[left[: len(idx)] >= o], minlength=1 << bits)  # no gram reaches into the next text
+        at = to
+    return out
+
+
 @dataclass
 class Model:
     langs: list[str]
@@ -128,8 +151,11 @@ class Model:
         return out
 
 
-def _sample(train: DataFrame, train_rows: int) -> DataFrame:
+def _sample(train: DataFrame, train_rows: int | None) -> DataFrame:
+    """The rows that train; all of them without a bound."""
     rows = train.filter("text IS NOT NULL AND lang IS NOT NULL").select("text", "lang")
+    if train_rows is None:
+        return rows
     total = rows.count()
     if total > train_rows:
         parts = 1 << 20
@@ -137,7 +163,7 @@ def _sample(train: DataFrame, train_rows: int) -> DataFrame:
     return rows
 
 
-def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS, alpha: float = 0.5) -> Model:
+def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int | None = TRAIN_ROWS, alpha: float = 0.5) -> Model:
     """Fit on rows ``(text, lang)`` of ``train``; both must be non-null."""
     common.tune_arrow(train.sparkSession)
     rows = _sample(train, train_rows)
@@ -149,12 +175,15 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
         held: dict[str, np.ndarray] = {}
         docs: dict[str, int] = {}
         for b in batches:
+            by: dict[str, list[str]] = {}
             for text, lang in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 if _LETTER.search(text):
-                    if lang not in held:
-                        held[lang] = np.zeros(1 << bits, np.int64)
-                    held[lang] += counts_of(text, bits)
-                    docs[lang] = docs.get(lang, 0) + 1
+                    by.setdefault(lang, []).append(text)
+            for lang, texts in by.items():
+                if lang not in held:
+                    held[lang] = np.zeros(1 << bits, np.int64)
+                held[lang] += counts_of_all(texts, bits)
+                docs[lang] = docs.get(lang, 0) + len(texts)
         for lang, c in held.items():
             at = np.flatnonzero(c)
             cols = [pa.array([lang] * (len(at) + 1)), pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(c[at], docs[lang]))]
@@ -173,7 +202,7 @@ def fit(train: DataFrame, bits: int = BUCKET_BITS, train_rows: int = TRAIN_ROWS,
     return Model(langs, np.log(smooth / smooth.sum(0)).astype(np.float32), np.log(prior / max(prior.sum(), 1)), smooth.sum(0))
 
 
-def bounded(model: Model, train: DataFrame, train_rows: int = TRAIN_ROWS, alpha: float = 0.5) -> Model:
+def bounded(model: Model, train: DataFrame, train_rows: int | None = TRAIN_ROWS, alpha: float = 0.5) -> Model:
     """``model`` with its bounds learned from the rows that it was fitted on.
 
     Each row is scored as if it had not trained.  The bound of a language lies
@@ -190,9 +219,14 @@ def bounded(model: Model, train: DataFrame, train_rows: int = TRAIN_ROWS, alpha:
             out = []
             for text, lang in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 if _LETTER.search(text):
-                    own, i = counts_of(text, bits), m.langs.index(lang)
-                    at = np.flatnonzero(own)
-                    n = own[at]
+                    i = m.langs.index(lang)
+                    if len(text) > _LONG:
+                        own = counts_of(text, bits)
+                        at = np.flatnonzero(own)
+                        n = own[at]
+                    else:
+                        codes = codes_of(text)
+                        at, n = np.unique(np.concatenate([grams(codes, o, bits) for o in ORDERS]), return_counts=True)
                     rest = np.maximum(np.exp(m.log_prob[at, i].astype(np.float64)) * m.totals[i] - n, alpha)
                     out.append((lang, float((n * np.log(rest / (m.totals[i] - n.sum()))).sum() / n.sum())))
             langs, means = zip(*out, strict=True) if out else ((), ())
@@ -241,10 +275,11 @@ def identify(docs: DataFrame, train_rows: int = TRAIN_ROWS) -> DataFrame:
     return predict(keyed, model, ["doc_id", "held_out"])
 
 
-def keep_identified(docs: DataFrame, min_score: float = 0.5, train_rows: int = TRAIN_ROWS) -> DataFrame:
+def keep_identified(docs: DataFrame, min_score: float = 0.5, train_rows: int | None = None) -> DataFrame:
     """``docs`` without the rows whose language is rejected: ``und``, a
     posterior under ``min_score``, or grams too unlikely in every language
-    learned.  All columns of ``docs`` stay."""
+    learned.  All columns of ``docs`` stay.  Counts and bounds come from every
+    row that is not held out, unless ``train_rows`` bounds them."""
     spark = docs.sparkSession
     train = docs.filter(~is_held_out())
     model = bounded(fit(train, train_rows=train_rows), train, train_rows)

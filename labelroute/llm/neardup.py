@@ -353,15 +353,18 @@ def _oversized(members: DataFrame, percent: int, k: int, block: int, block_bytes
             edges = common.cut(edges, spark, "neardup-large")
         # a member without a component goes to the first that reached it, which all others of its own join
         placed = met.withColumn("part", F.coalesce("part", F.try_element_at("labels", F.lit(1))))
-        joined = placed.select("part", F.explode("labels").alias("other")).filter("part <> other").distinct().collect()  # pairs of open components
-        root = _roots([(r["part"], r["other"]) for r in joined])
-        counts = placed.filter("part IS NOT NULL").groupBy("cluster", "part").count().collect()  # at most ``block`` rows
-        waiting, open_in = {}, {}
-        for r in counts:
-            p = root.get(r["part"], r["part"])
-            waiting[p] = waiting.get(p, 0) + r["count"]
-            open_in.setdefault(r["cluster"], set()).add(p)
-        left = {r["cluster"] for r in met.filter("part IS NULL AND size(labels) = 0").select("cluster").distinct().collect()}  # clusters beyond a bound
+        # one pass gives pairs of open components, members of each (at most ``block``) and, with neither, clusters beyond a bound
+        other = F.explode(F.array_union(F.array(F.lit(None).cast("long")), F.coalesce("labels", F.array().cast("array<long>"))))
+        state = placed.select("cluster", "part", other.alias("other")).groupBy("cluster", "part", "other").count().collect()
+        root = _roots([(r["part"], r["other"]) for r in state if r["other"] is not None and r["other"] != r["part"]])
+        waiting, open_in, left = {}, {}, set()
+        for r in state:
+            if r["part"] is None:
+                left.add(r["cluster"])
+            elif r["other"] is None:
+                p = root.get(r["part"], r["part"])
+                waiting[p] = waiting.get(p, 0) + r["count"]
+                open_in.setdefault(r["cluster"], set()).add(p)
         going = left | {c for c, ps in open_in.items() if len(ps) > 1}
         now = F.broadcast(common.numbers(spark, part=list(root), root=list(root.values())))
         placed = placed.drop("labels").join(now, "part", "left").withColumn("part", F.coalesce("root", "part"))

@@ -5,7 +5,7 @@ import pytest
 from labelroute.queries import ORACLES, QUERIES
 from labelroute.sources import tables
 
-NAMES = ["c02_running_example", "c09_optimal", "c15_disjoint", "c17_greedy_trace_udtf", "c17_selection_trace", "m14_approximation_gap"]
+NAMES = ["c02_running_example", "c09_optimal", "c14_set_cover", "c15_disjoint", "c17_greedy_trace_udtf", "c17_selection_trace", "m14_approximation_gap"]
 
 
 @pytest.mark.parametrize("name", NAMES)
